@@ -19,19 +19,25 @@ def _place(key: Column, bits: int) -> Column:
 
 def bit_table(keys: DataFrame, key: str, bits: int = BITS) -> DataFrame:
     p = keys.select(_place(F.col(key), bits).alias("p"))
-    return p.groupBy(F.floor(F.col("p") / 64).cast("int").alias("_word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 64 as int))")).alias("_bits"))
+    return p.groupBy(F.floor(F.col("p") / 64).cast("int").alias("__bit_word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 64 as int))")).alias("__bit_bits"))
 
 
 def may_contain(df: DataFrame, key: str, table: DataFrame, bits: int = BITS) -> DataFrame:
     cols = df.columns
-    p = df.withColumn("_p", _place(F.col(key), bits)).withColumn("_word", F.floor(F.col("_p") / 64).cast("int"))
-    hit = p.join(F.broadcast(table), "_word")
-    return hit.where(F.expr("(shiftright(_bits, cast(_p % 64 as int)) & 1L) = 1L")).select(*cols)
+    p = df.withColumn("__bit_p", _place(F.col(key), bits)).withColumn("__bit_word", F.floor(F.col("__bit_p") / 64).cast("int"))
+    hit = p.join(F.broadcast(table), "__bit_word")
+    return hit.where(F.expr("(shiftright(__bit_bits, cast(__bit_p % 64 as int)) & 1L) = 1L")).select(*cols)
 
 
 def lacks(df: DataFrame, key: str, table: DataFrame, bits: int = BITS) -> DataFrame:
     """The complement of ``may_contain``: rows whose key is surely not among the keys."""
     cols = df.columns
-    p = df.withColumn("_p", _place(F.col(key), bits)).withColumn("_word", F.floor(F.col("_p") / 64).cast("int"))
-    hit = p.join(F.broadcast(table), "_word", "left")
-    return hit.where(F.expr("coalesce(shiftright(_bits, cast(_p % 64 as int)) & 1L, 0L) = 0L")).select(*cols)
+    p = df.withColumn("__bit_p", _place(F.col(key), bits)).withColumn("__bit_word", F.floor(F.col("__bit_p") / 64).cast("int"))
+    hit = p.join(F.broadcast(table), "__bit_word", "left")
+    return hit.where(F.expr("coalesce(shiftright(__bit_bits, cast(__bit_p % 64 as int)) & 1L, 0L) = 0L")).select(*cols)
+
+
+def without(df: DataFrame, key: str, drop: DataFrame) -> DataFrame:
+    """``df`` less the rows whose key is in ``drop``: only rows that may be dropped are shuffled."""
+    table = bit_table(drop, key)
+    return lacks(df, key, table).union(may_contain(df, key, table).join(drop.select(key), key, "left_anti").select(df.columns))

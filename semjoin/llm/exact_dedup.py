@@ -15,7 +15,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .bitmap import bit_table, may_contain
+from .bitmap import bit_table, may_contain, without
 from .scratch import Scratch
 
 SPACES = "[\\x20\\x09-\\x0D]+"
@@ -65,5 +65,5 @@ def group_equal(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows that stay, with all their columns; ids must be distinct."""
-    drop = group_equal(docs, id_col, text_col).where("not kept").select(F.col(id_col).alias("_id"))
-    return docs.join(drop, docs[id_col] == drop["_id"], "left_anti")
+    drop = Scratch(docs.sparkSession, "exact").table(group_equal(docs, id_col, text_col).where("not kept").select(id_col), "drop")
+    return without(docs, id_col, drop)
