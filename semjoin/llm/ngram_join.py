@@ -204,7 +204,7 @@ class _Join:
         self.sizes = self.scratch.table(sig.where("n > 0").groupBy("n", "h1", "h2").agg(F.min("doc_id").alias("rep"), F.first("parity").alias("parity")), "classes")
         self.members = self.scratch.table(sig.join(self.sizes.drop("parity"), ["n", "h1", "h2"], "left").select("doc_id", "n", "rep"), "members")
         hot = all_rows.where("n < 0").select(F.explode(F.arrays_zip("common", "times")).alias("x")).groupBy("x.common").agg(F.sum("x.times").alias("times"))
-        found = hot.orderBy(F.desc("times"), "common").limit(COMMON).toPandas()
+        found = hot.orderBy(F.desc("times"), "common").limit(COMMON).toArrow().to_pandas()
         token = found["common"].to_numpy(np.int64).view(_U)
         order = np.argsort(token)
         self.common, self.rank = token[order], found["times"].to_numpy(np.int64)[order]
