@@ -40,7 +40,7 @@ from .words import mix, shingle_sets, slices
 WORDS = 5
 SIMILARITY = (75, 100)  # links: 100 * intersection >= 75 * union
 COMMON = 1 << 16  # shingles that the order puts last; a bound on memory, no effect on results
-PARITY = 1024  # bits of the parity sketch
+PARITY = 256  # bits of the parity sketch at least; it has at least one a shingle
 REGION_ROWS = 2_000_000
 _U = np.uint64
 
@@ -50,7 +50,9 @@ def _sets_hash(s: np.ndarray) -> tuple[int, int]:
 
 
 def _parity(s: np.ndarray) -> bytes:
-    return np.packbits((np.bincount((s >> _U(20)).astype(np.int64) & (PARITY - 1), minlength=PARITY) & 1).astype(np.uint8)).tobytes()
+    """Bit i tells whether an odd number of shingles falls on i; halves of a sketch add up to a shorter one."""
+    bits = max(PARITY, 1 << int(len(s) - 1).bit_length()) if len(s) else PARITY
+    return np.packbits((np.bincount((s >> _U(20)).astype(np.int64) & (bits - 1), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
 def _signatures(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,14 +162,25 @@ def _sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _not_apart(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Pairs whose parity sketches allow the similarity: bits that differ are a lower bound of the difference."""
+    num, den = SIMILARITY
     for batch in batches:
-        if not batch.num_rows:
-            continue
-        a, b = (np.frombuffer(b"".join(batch.column(batch.schema.get_field_index(x)).to_pylist()), np.uint8).reshape(batch.num_rows, -1) for x in ("pa", "pb"))
-        both = sum(np.asarray(batch.column(batch.schema.get_field_index(x))) for x in ("na", "nb"))
-        differ = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
-        num, den = SIMILARITY
-        keep = differ * (num + den) <= both * (den - num)
+        col = lambda x: batch.column(batch.schema.get_field_index(x))
+        both = np.asarray(col("na")) + np.asarray(col("nb"))
+        sketches = [[np.frombuffer(x.as_buffer(), np.uint8) for x in col(c)] for c in ("pa", "pb")]
+        size = np.array([[len(x) for x in c] for c in sketches]).reshape(2, -1)
+        keep = np.zeros(batch.num_rows, bool)
+        for p, q in np.unique(size, axis=1).T.tolist():
+            mine = np.flatnonzero((size[0] == p) & (size[1] == q))
+            for lo in range(0, len(mine), 2000):
+                part = mine[lo : lo + 2000]
+                a, b = (np.stack([c[i] for i in part]) for c in sketches)
+                while a.shape[1] != b.shape[1]:
+                    if a.shape[1] > b.shape[1]:
+                        a = a[:, : a.shape[1] // 2] ^ a[:, a.shape[1] // 2 :]
+                    else:
+                        b = b[:, : b.shape[1] // 2] ^ b[:, b.shape[1] // 2 :]
+                differ = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
+                keep[part] = differ * (num + den) <= both[part] * (den - num)
         yield batch.select([0, 1]).filter(pa.array(keep))
 
 
