@@ -53,6 +53,12 @@ def block_cost(rows_left, rows_right, batch_left, batch_right, instruction_token
     return call_count(rows_left, rows_right, batch_left, batch_right, rounding) * call_cost(batch_left, batch_right, instruction_tokens, width_left, width_right, width_match, selectivity, write_ratio)
 
 
+def ragged_cost(rows_left, rows_right, batch_left, batch_right, instruction_tokens, width_left, width_right, width_match, selectivity, write_ratio):
+    """Block total of whole calls whose last batches are ragged: a row is read once per batch of the other side."""
+    nl, nr = up(rows_left / batch_left), up(rows_right / batch_right)
+    return nl * nr * instruction_tokens + nr * rows_left * width_left + nl * rows_right * width_right + rows_left * rows_right * selectivity * width_match * write_ratio
+
+
 def fits(batch_left, batch_right, width_left, width_right, width_match, selectivity, budget):
     return call_tokens(batch_left, batch_right, 0, width_left, width_right, width_match, selectivity) <= budget
 

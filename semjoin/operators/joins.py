@@ -298,8 +298,8 @@ def semantic_filter(rows: DataFrame, predicate: SemanticPredicate, model, size:
     answers = scratch.table(ask(cells, model, predicate.text, style, "single"), "answers")
     if cut := answers.where("not stopped").count():
         raise OverflowSignal(cut, JoinRun(run_id, "filter", answers, answers))
-    at = F.explode(F.array_distinct(F.regexp_extract_all("answer", F.lit(r"(\d+);"), F.lit(1)))).cast("int")
-    found = answers.select("left_ids", at.alias("x")).select(F.try_element_at("left_ids", "x").alias("left_id")).where("left_id is not null")
+    at = F.explode(F.array_distinct(F.regexp_extract_all("answer", F.lit(r"(\d+);"), F.lit(1))))
+    found = answers.select("left_ids", at.alias("x")).select(F.try_element_at("left_ids", F.col("x").try_cast("int")).alias("left_id")).where("left_id is not null")
     return JoinRun(run_id, "filter", found, ledger_of(answers, run_id, 0, ~F.col("stopped")), seconds=time.perf_counter() - began)
 
 

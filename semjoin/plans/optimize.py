@@ -20,37 +20,38 @@ def _right_most(size: int, left: TableProfile, right: TableProfile, width_match:
     return math.floor(costs.right_size_for(size, left.width_mean, right.width_mean, width_match, estimate, budget) + 1e-9)
 
 
-def _left_most(size: int, left: TableProfile, right: TableProfile, width_match: float, estimate: float, budget: float) -> int:
-    return _right_most(size, right, left, width_match, estimate, budget)
-
-
 def optimal_batches(left: TableProfile, right: TableProfile, estimate: float, budget: float, instruction_tokens: float, width_match: float = 4, write_ratio: float = 2.0, clamp: bool = True) -> BatchPlan:
-    """Least cost in whole batches among the neighbours of the closed form (and full sides, when ``clamp``)."""
+    """The cheapest whole batches under the budget.
+
+    With ``clamp`` tables have ends: batches are at most the table, the last one is ragged, and
+    every left size is tried (at most budget / width of them) with the most right rows that fit.
+    Of sizes with as many calls the smallest is taken, which leaves the answer more room.
+    Without it, the whole neighbours of the closed form compete as if tables went on for ever.
+    """
     if estimate < 0:
         raise ValueError("the estimate must not be negative")
     a, b = continuous(left, right, width_match, estimate, budget)
     args = (left, right, width_match, estimate, budget)
-    lefts = {max(1, math.floor(a)), max(1, math.ceil(a))}
-    rights = {max(1, math.floor(b)), max(1, math.ceil(b))}
+    n, m = max(1, left.rows), max(1, right.rows)
+    money = (instruction_tokens, left.width_mean, right.width_mean, width_match, estimate, write_ratio)
+    options = []
     if clamp:
-        lefts = {min(x, left.rows) for x in lefts} | ({left.rows} if a >= left.rows else set())
-        rights = {min(x, right.rows) for x in rights}
-    options = set()
-    for x in lefts:
-        y = _right_most(x, *args)
-        options.add((x, min(y, right.rows) if clamp else y))
-    for y in rights:  # a full right side leaves room on the left
-        x = _left_most(y, *args)
-        options.add((min(x, left.rows) if clamp else x, y))
-    options = {(x, y) for x, y in options if x >= 1 and y >= 1 and costs.fits(x, y, left.width_mean, right.width_mean, width_match, estimate, budget + 1e-9)}
+        for x in range(1, min(n, max(1, int(budget / left.width_mean))) + 1):
+            y = min(m, _right_most(x, *args))
+            if y < 1:
+                break
+            nl, nr = -(-n // x), -(-m // y)
+            x_, y_ = -(-n // nl), -(-m // nr)
+            options.append((costs.ragged_cost(n, m, x_, y_, *money), x_ * y_, x_, y_))
+    else:
+        for x in {max(1, math.floor(a)), max(1, math.ceil(a))}:
+            y = _right_most(x, *args)
+            if y >= 1:
+                options.append((costs.block_cost(n, m, x, y, *money), x * y, x, y))
     if not options:
         raise BudgetTooSmall(f"{budget} tokens don't hold one row of {left.width_mean:.1f} and one of {right.width_mean:.1f} tokens with their answer")
-
-    def cost(x: int, y: int) -> float:
-        return costs.block_cost(max(1, left.rows), max(1, right.rows), x, y, instruction_tokens, left.width_mean, right.width_mean, width_match, estimate, write_ratio, "ceil")
-
-    x, y = min(options, key=lambda o: (cost(*o), -o[0] * o[1], o))
-    return BatchPlan(x, y, estimate, budget, costs.call_count(left.rows, right.rows, x, y, "ceil"), cost(x, y), a, b)
+    cost, _, x, y = min(options)
+    return BatchPlan(x, y, estimate, budget, math.ceil(left.rows / x) * math.ceil(right.rows / y), cost, a, b)
 
 
 def search_space(spark: SparkSession, rows_left: int, rows_right: int) -> DataFrame:

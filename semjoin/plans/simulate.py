@@ -41,9 +41,10 @@ METHODS = ("pairwise", "conservative", "informed", "adaptive")
 
 
 def floored_sizes(s: Setting, estimate: float) -> tuple[int, int]:
-    a = costs.left_size(s.width_left, s.width_right, s.width_match, estimate, s.budget)
+    """The floored left size, then the most right rows that fit beside it."""
+    a = max(1, min(s.rows_left, math.floor(costs.left_size(s.width_left, s.width_right, s.width_match, estimate, s.budget) + 1e-9)))
     b = costs.right_size_for(a, s.width_left, s.width_right, s.width_match, estimate, s.budget)
-    return max(1, min(s.rows_left, math.floor(a + 1e-9))), max(1, min(s.rows_right, math.floor(b + 1e-9)))
+    return a, max(1, min(s.rows_right, math.floor(b + 1e-9)))
 
 
 def overflows(s: Setting, a: int, b: int) -> bool:

@@ -1,0 +1,51 @@
+"""Semantic joins on streams: arriving rows against standing ones."""
+
+from __future__ import annotations
+
+from dataclasses import dataclass, field
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
+
+from semjoin.operators.joins import adaptive_join
+
+
+@dataclass
+class Carried:
+    """The estimate that goes from micro-batch to micro-batch; it only rises."""
+
+    estimate: float
+    batches: list[tuple[int, float]] = field(default_factory=list)
+
+
+def stream_semantic_join(arriving: DataFrame, standing: DataFrame, predicate, model, out_path: str, checkpoint: str, start_estimate: float = 0.001, growth: float = 4.0, restart: str = "failed", **trigger) -> tuple[StreamingQuery, Carried]:
+    """Every micro-batch of (row_id, text, key) is joined with the standing rows.
+
+    The pairs of a batch replace what an earlier attempt at that batch wrote, so a restarted
+    stream has every pair once.
+    """
+    carried = Carried(start_estimate)
+
+    def each(batch: DataFrame, number: int) -> None:
+        if batch.isEmpty():
+            return
+        run = adaptive_join(batch, standing, predicate, model, carried.estimate, growth, restart)
+        carried.estimate = max(carried.estimate, run.rounds[-1].estimate if run.rounds else 0.0)
+        carried.batches.append((number, carried.estimate))
+        run.pairs.write.mode("overwrite").parquet(f"{out_path}/batch={number}")
+
+    query = arriving.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
+    return query, carried
+
+
+def distinct_texts(stream: DataFrame, time_col: str, delay: str) -> DataFrame:
+    """Each text once within the watermark; naive timestamps are read as UTC."""
+    return stream.withColumn(time_col, F.col(time_col).cast("timestamp")).withWatermark(time_col, delay).dropDuplicatesWithinWatermark(["text"])
+
+
+def windowed_counts(stream: DataFrame, time_col: str, width: str, delay: str, slide: str | None = None, by: str | None = None) -> DataFrame:
+    """Rows per window: how large the join problems of a windowed join will be."""
+    s = stream.withColumn(time_col, F.col(time_col).cast("timestamp")).withWatermark(time_col, delay)
+    w = F.window(time_col, width, slide) if slide else F.window(time_col, width)
+    return s.groupBy(w, *([by] if by else [])).agg(F.count("*").alias("n_rows"))
