@@ -28,7 +28,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .scratch import Scratch
-from .words import ranges, slices, split
+from .words import Words, buffer, ranges, slices, split
 
 WINDOW = 4096
 END = 2
@@ -44,18 +44,37 @@ def vocabulary_path(name: str = VOCABULARY) -> str:
     return public_tokenizers.path(name)
 
 
+SEPARATOR = "\x01"
+_CLASS = np.zeros(256, np.int8)  # 1: ASCII letters, 2: ASCII digits and signs, 0: what may belong to either side
+_CLASS[[c for c in range(0x21, 0x7F) if c != 0x27]] = 2
+_CLASS[[c for c in range(0x21, 0x7F) if chr(c).isalpha()]] = 1
+
+
+def chunks(w: Words) -> Words:
+    """Words cut between ASCII letters and ASCII signs or digits, where no token spans either; never at an apostrophe."""
+    kind = _CLASS[w.data]
+    cut = np.zeros(len(kind), bool)
+    cut[1:] = kind[1:] * kind[:-1] == 2
+    cut[w.at[:-1]] = True
+    at = np.append(np.flatnonzero(cut), len(kind))
+    return Words(w.data, at, np.searchsorted(at, w.at[w.docs]))
+
+
 class WordTokenizer:
-    """A tokenizer file whose tokens never span white space: each distinct word is encoded once."""
+    """A tokenizer file that lower-cases and whose tokens never span white space.
 
-    MOST = 400_000  # words remembered from slice to slice; only memory depends on it
+    Each distinct chunk is encoded once, many in one text with a separator between them.
+    """
+
+    MOST = 300_000  # chunks remembered from slice to slice; only memory depends on it
+    SPECIAL = b"<|"  # texts with it may hold special tokens, and are taken word by word as they are
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.inner = Tokenizer.from_file(path)
-        self.known: dict[str, int] = {}
-        self.at = np.zeros(1, np.int64)
-        self.ids = np.zeros(0, np.uint32)
+        (self.mark,) = self.inner.encode(SEPARATOR, add_special_tokens=False).ids
+        self._keep([], np.zeros(0, np.int64), np.zeros(0, np.uint32))
 
     @classmethod
     def of(cls, path: str) -> WordTokenizer:
@@ -63,24 +82,49 @@ class WordTokenizer:
             _tokenizers[path] = cls(path)
         return _tokenizers[path]
 
+    def _keep(self, words: list[str], size: np.ndarray, ids: np.ndarray) -> None:
+        self.known = dict(zip(words, range(len(words))))
+        self.at, self.ids = np.concatenate([[0], np.cumsum(size)]), ids
+        self.slices = np.zeros(len(words), np.int64)
+
+    def _shrink(self) -> None:
+        """Keeps what more than one slice had."""
+        again = self.slices > 1
+        if again.sum() > self.MOST // 2:
+            again[:] = False
+        size = np.diff(self.at)
+        self._keep([w for w, a in zip(self.known, again.tolist()) if a], size[again], self.ids[np.repeat(again, size)])
+
     def _learn(self, words: list[str]) -> None:
-        found = [e.ids for e in self.inner.encode_batch_fast(words, add_special_tokens=False)]
-        size = np.fromiter(map(len, found), np.int64, len(found))
-        flat = np.fromiter((x for ids in found for x in ids), np.uint32, int(size.sum()))
-        self.known.update(zip(words, range(len(self.known), len(self.known) + len(words))))
+        odd = [x for x in words if SEPARATOR in x]
+        plain = [x for x in words if SEPARATOR not in x] if odd else words
+        between = f" {SEPARATOR} "
+        texts = [between.join(plain[i : i + 512]) for i in range(0, len(plain), 512)]
+        found = [np.array(e.ids, np.uint32) for e in self.inner.encode_batch_fast(texts, add_special_tokens=False)]
+        flat = np.concatenate([y for x in found for y in (x, np.array([self.mark], np.uint32))]) if found else np.zeros(0, np.uint32)
+        ends = np.flatnonzero(flat == self.mark)
+        size = np.diff(np.r_[-1, ends]) - 1
+        own = [np.array(self.inner.encode(x, add_special_tokens=False).ids, np.uint32) for x in odd]
+        self.known.update(zip([*plain, *odd], range(len(self.known), len(self.known) + len(words))))
+        size = np.concatenate([size, [len(x) for x in own]]).astype(np.int64)
         self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(size)])
-        self.ids = np.concatenate([self.ids, flat])
+        self.ids = np.concatenate([self.ids, flat[flat != self.mark], *own])
+        self.slices = np.concatenate([self.slices, np.zeros(len(words), np.int64)])
 
     def encode(self, col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids and each document's offsets in them."""
-        w = split(col)
+        special = self.SPECIAL in buffer(col)[0].tobytes()
+        w = split(col, lower=not special)
+        w = w if special else chunks(w)
         coded = w.array().dictionary_encode()
         words = coded.dictionary.to_pylist()
         if len(self.known) > self.MOST:
-            self.known, self.at, self.ids = {}, np.zeros(1, np.int64), np.zeros(0, np.uint32)
+            self._shrink()
         if new := [x for x in words if x not in self.known]:
             self._learn(new)
-        entry = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))[np.asarray(coded.indices)] if words else np.zeros(0, np.int64)
+        known = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
+        self.slices[known] += 1
+        entry = known[np.asarray(coded.indices)] if words else known
         size = np.diff(self.at)[entry]
         ids = self.ids[ranges(self.at[entry], size)]
         ends = np.concatenate([[0], np.cumsum(size)])
@@ -240,4 +284,4 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window
     earlier = counts.select("part", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before"))
     names = [x for x in pieces.columns if x not in ("part", "place")]
     out = ", ".join(x for x in schema.split(", ") if x.split()[0] not in ("part", "place"))
-    return pieces.join(earlier, ["part", "length"]).mapInArrow(_assign(plan, names), out + ", sequence_id bigint, offset bigint")
+    return pieces.join(earlier.hint("merge"), ["part", "length"]).mapInArrow(_assign(plan, names), out + ", sequence_id bigint, offset bigint")
