@@ -8,6 +8,7 @@ slice of its own).
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -16,6 +17,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 SLICE_BYTES = 3 << 20
+HASH_BYTES = 1 << 19  # bytes whose powers are held at once
 _U = np.uint64
 BASE = _U(0x9E3779B97F4A7C15 | 1)
 WORD_BASE = _U(0xD1342543DE82EF95)
@@ -33,6 +35,15 @@ def strings(col: pa.Array | pa.ChunkedArray) -> pa.Array:
     return pc.fill_null(col, "") if col.null_count else col
 
 
+def tidy() -> None:
+    """Gives memory that is free in this worker back to the system; executors share theirs with it."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
+
+
 def slices(batch: pa.RecordBatch, text: str = "text", limit: int = SLICE_BYTES) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
     """Row ranges of a batch whose texts take about ``limit`` bytes, with the text column."""
     if not batch.num_rows:
@@ -44,6 +55,7 @@ def slices(batch: pa.RecordBatch, text: str = "text", limit: int = SLICE_BYTES)
         hi = max(lo + 1, int(np.searchsorted(at, at[lo] + limit, "right")) - 1)
         yield batch.slice(lo, hi - lo), col.slice(lo, hi - lo)
         lo = hi
+    tidy()
 
 
 def buffer(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -109,14 +121,19 @@ def powers(base: np.uint64, n: int) -> np.ndarray:
 
 
 def word_hashes(w: Words, base: np.uint64 = WORD_BASE) -> np.ndarray:
-    if not w.n:
-        return np.zeros(0, _U)
-    size = np.diff(w.at)
-    place = np.arange(len(w.data)) - np.repeat(w.at[:-1], size)
-    v = w.data.astype(_U)
-    v += _U(1)
-    v *= powers(base, int(size.max()))[place]
-    return mix(np.add.reduceat(v, w.at[:-1]) ^ (size.astype(_U) << _U(48)))
+    out = np.empty(w.n, _U)
+    lo = 0
+    while lo < w.n:
+        hi = max(lo + 1, int(np.searchsorted(w.at, w.at[lo] + HASH_BYTES, "right")) - 1)
+        at = w.at[lo : hi + 1] - w.at[lo]
+        size = np.diff(at)
+        place = np.arange(at[-1]) - np.repeat(at[:-1], size)
+        v = w.data[w.at[lo] : w.at[hi]].astype(_U)
+        v += _U(1)
+        v *= powers(base, int(size.max()))[place]
+        out[lo:hi] = mix(np.add.reduceat(v, at[:-1]) ^ (size.astype(_U) << _U(48)))
+        lo = hi
+    return out
 
 
 def _inverse(odd: np.uint64) -> np.uint64:
