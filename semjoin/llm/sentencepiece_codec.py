@@ -191,6 +191,8 @@ class Codec:
         cut = np.zeros(len(out), bool)
         if self.separable:
             cut[1:] = space[1:] & ~space[:-1]
+            mark = (out[:-3] == 0xE2) & (out[1:-2] == 0x96) & (out[2:-1] == 0x81)  # a marker in the text itself joins what follows
+            cut[3:] &= ~mark
         cut[new_at[:-1][some]] = True
         begin = np.flatnonzero(cut)
         chunks = pa.Array.from_buffers(pa.large_string(), len(begin), [None, pa.py_buffer(np.r_[begin, len(out)].astype(np.int64)), pa.py_buffer(out)])
