@@ -28,6 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .blocks import index_pairs, spread, whole_groups
 from .components import components
 from .scratch import Scratch
 from .words import mix
@@ -37,7 +38,6 @@ TABLES = 60
 PROJECTIONS = 18
 WIDTH = 2.0
 BLOCK = 1000
-PAIRS = 200_000  # compared at once
 SEED = 7
 _U = np.uint64
 
@@ -120,31 +120,11 @@ def roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return label
 
 
-def _pairs(group: np.ndarray, side: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Index pairs within each run of equal ``group``: between sides 0 and 1, or all where side is -1."""
-    first = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
-    size = np.diff(np.r_[first, len(group)])
-    of = np.repeat(np.arange(len(first)), size)
-    end = (first + size)[of]
-    i = np.arange(len(group))
-    todo = end - i - 1  # partners after each member
-    at = 0
-    total = np.cumsum(todo)
-    while at < len(i):
-        stop = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + PAIRS, "right")))
-        k = todo[at:stop]
-        a = np.repeat(i[at:stop], k)
-        b = a + 1 + (np.arange(len(a)) - np.repeat(np.cumsum(k) - k, k))
-        keep = (side[a] < 0) | (side[a] != side[b])
-        yield a[keep], b[keep]
-        at = stop
-
-
 def _links(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Sorted bucket members in; per member (rep, links, root) out.  A bucket may span batches."""
 
-    def solve(rows: pa.Table | pa.RecordBatch) -> pa.RecordBatch:
-        col = lambda x: rows.column(x).combine_chunks() if isinstance(rows, pa.Table) else rows.column(rows.schema.get_field_index(x))
+    def solve(rows: pa.Table) -> pa.RecordBatch:
+        col = lambda x: rows.column(x).combine_chunks()
         rep, weight, table = np.asarray(col("rep")), np.asarray(col("weight")), np.asarray(col("t"))
         keys = np.asarray(col("keys").flatten()).reshape(-1, TABLES)
         n = len(rep)
@@ -154,7 +134,7 @@ def _links(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             x[at, : m.shape[1]] = unit_vectors(m)
         count, ea, eb = np.zeros(n, np.int64), [], []
         group = np.asarray(col("g"))
-        for a, b in _pairs(group, np.asarray(col("side"))):
+        for a, b in index_pairs(group, np.asarray(col("side"))):
             for t in range(TABLES):  # a pair met in an earlier table was counted there
                 live = (t >= table[a]) | (keys[a, t] != keys[b, t])
                 if not live.all():
@@ -173,19 +153,7 @@ def _links(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         some = np.flatnonzero(count)
         return pa.RecordBatch.from_arrays([pa.array(rep[some]), pa.array(count[some]), pa.array(rep[root[some]])], ["rep", "links", "root"])
 
-    held: list[pa.RecordBatch] = []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        g = np.asarray(batch.column(batch.schema.get_field_index("g")))
-        cut = int(np.searchsorted(g, g[-1]))  # the last bucket may go on
-        if cut:
-            held.append(batch.slice(0, cut))
-            yield solve(pa.Table.from_batches(held))
-            held = []
-        held.append(batch.slice(cut))
-    if held:
-        yield solve(pa.Table.from_batches(held))
+    yield from whole_groups(batches, solve)
 
 
 def link(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -200,11 +168,7 @@ def link(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
     hashed = scratch.table(reps.mapInArrow(_buckets, f"rep bigint, weight bigint, v {kind}, keys array<bigint>"), "hashed")
     keyed = hashed.select("rep", F.posexplode("keys").alias("t", "key"))
     busy = scratch.table(keyed.groupBy("t", "key").agg(F.count("*").alias("n")).where("n > 1"), "busy")
-    blocks = F.expr(f"cast(ceil(n / {BLOCK}) as int)")
-    mine = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
-    spots = keyed.join(busy, ["t", "key"]).withColumn("blocks", blocks).withColumn("own", mine)
-    spots = spots.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    spots = spots.select("rep", "t", F.xxhash64("t", "key", F.least("own", "other"), F.greatest("own", "other")).alias("g"), F.expr("case when own = other then -1 when own < other then 0 else 1 end").cast("int").alias("side"))
+    spots = spread(keyed.join(busy, ["t", "key"]), ["t", "key"], "n", "rep", BLOCK).select("rep", "t", "g", "side")
     full = scratch.table(spots, "spots").join(hashed, "rep")
     found = full.repartition("g").sortWithinPartitions("g").mapInArrow(_links, "rep bigint, links bigint, root bigint")
     found = scratch.table(found.groupBy("rep", "root").agg(F.sum("links").alias("links")), "found")

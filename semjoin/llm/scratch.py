@@ -1,53 +1,5 @@
-"""Tables written in the shared folder, which cut lineage and outlive lost executors.
+"""Written intermediate tables; the same as the engine's."""
 
-The folder is the session's ``spark.checkpoint.dir``.  Only where that is unset
-(one machine, as in tests) a temporary folder of this process is used.
-"""
+from semjoin.state import Scratch, shared_root
 
-from __future__ import annotations
-
-import atexit
-import shutil
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_own: list[str] = []
-
-
-def shared_root(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root
-    if not _own:
-        _own.append(tempfile.mkdtemp(prefix="semjoin-"))
-        atexit.register(shutil.rmtree, _own[0], ignore_errors=True)
-    return f"file://{_own[0]}"
-
-
-class Scratch:
-    """Written intermediate tables of one run of an operator."""
-
-    def __init__(self, spark: SparkSession, name: str):
-        self.spark = spark
-        self.base = f"{shared_root(spark).rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
-        self._n = 0
-
-    def table(self, df: DataFrame, name: str = "t") -> DataFrame:
-        """Write ``df`` once; what is returned reads the files."""
-        self._n += 1
-        path = f"{self.base}/{self._n}-{name}"
-        df.write.mode("overwrite").parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        out._scratch_path = path
-        return out
-
-    def drop(self, *tables: DataFrame) -> None:
-        """Delete tables that nothing reads any more."""
-        for t in tables:
-            path = getattr(t, "_scratch_path", None)
-            if path:
-                jvm = self.spark._jvm
-                p = jvm.org.apache.hadoop.fs.Path(path)
-                p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
+__all__ = ["Scratch", "shared_root"]
