@@ -33,15 +33,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bitmap import bit_table, may_contain, without
+from .blocks import index_pairs, spread, whole_groups
 from .components import components
 from .scratch import Scratch
 from .words import mix, shingle_sets, slices
 
 WORDS = 5
 SIMILARITY = (75, 100)  # links: 100 * intersection >= 75 * union
-COMMON = 1 << 16  # shingles that the order puts last; a bound on memory, no effect on results
+COMMON = 1 << 18  # shingles that the order puts last; a bound on memory, no effect on results
 PARITY = 256  # bits of the parity sketch at least; it has at least one a shingle
-REGION_ROWS = 2_000_000
+REGION_ROWS = 700_000
+BLOCK = 2000  # members of a region compared in one task
 _U = np.uint64
 
 
@@ -157,52 +159,61 @@ def _shared(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for rows, col in slices(batch):
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([s.tobytes() for s in shingle_sets(col, WORDS)], pa.binary())], ["doc", "s"])
+            sets = shingle_sets(col, WORDS)
+            flat = np.concatenate([*sets, np.zeros(0, _U)]).view(np.int64)
+            at = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))], ["doc", "s"])
 
 
-def _not_apart(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs whose parity sketches allow the similarity: bits that differ are a lower bound of the difference."""
+def _near(sketches: list[np.ndarray], n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Which pairs a-b sizes and parity sketches don't exclude: bits that differ are a lower bound of the difference."""
     num, den = SIMILARITY
+    keep = den * np.minimum(n[a], n[b]) >= num * np.maximum(n[a], n[b])
+    todo = np.flatnonzero(keep)
+    size = np.array([len(x) for x in sketches])
+    kinds = size[a[todo]] * (1 << 32) + size[b[todo]]
+    for kind in np.unique(kinds):
+        mine = todo[kinds == kind]
+        for lo in range(0, len(mine), 2000):
+            part = mine[lo : lo + 2000]
+            x, y = (np.stack([sketches[i] for i in side[part]]) for side in (a, b))
+            while x.shape[1] != y.shape[1]:
+                half = min(x.shape[1], y.shape[1])
+                x, y = (z if z.shape[1] == half else z[:, : z.shape[1] // 2] ^ z[:, z.shape[1] // 2 :] for z in (x, y))
+            differ = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
+            keep[part] = differ * (num + den) <= (n[a[part]] + n[b[part]]) * (den - num)
+    return keep
+
+
+def _not_apart(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
+        m = batch.num_rows
         col = lambda x: batch.column(batch.schema.get_field_index(x))
-        both = np.asarray(col("na")) + np.asarray(col("nb"))
-        sketches = [[np.frombuffer(x.as_buffer(), np.uint8) for x in col(c)] for c in ("pa", "pb")]
-        size = np.array([[len(x) for x in c] for c in sketches]).reshape(2, -1)
-        keep = np.zeros(batch.num_rows, bool)
-        for p, q in np.unique(size, axis=1).T.tolist():
-            mine = np.flatnonzero((size[0] == p) & (size[1] == q))
-            for lo in range(0, len(mine), 2000):
-                part = mine[lo : lo + 2000]
-                a, b = (np.stack([c[i] for i in part]) for c in sketches)
-                while a.shape[1] != b.shape[1]:
-                    if a.shape[1] > b.shape[1]:
-                        a = a[:, : a.shape[1] // 2] ^ a[:, a.shape[1] // 2 :]
-                    else:
-                        b = b[:, : b.shape[1] // 2] ^ b[:, b.shape[1] // 2 :]
-                differ = np.bitwise_count(a ^ b).sum(1, dtype=np.int64)
-                keep[part] = differ * (num + den) <= both[part] * (den - num)
-        yield batch.select([0, 1]).filter(pa.array(keep))
-
-
-def _distances(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sketches = [np.frombuffer(x.as_buffer(), np.uint8) for c in ("pa", "pb") for x in col(c)]
+        n = np.concatenate([np.asarray(col("na")), np.asarray(col("nb"))])
+        yield batch.select([0, 1]).filter(pa.array(_near(sketches, n, np.arange(m), np.arange(m, 2 * m))))
+
+
+def _leaf(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs of a region's documents that are still apart and may link."""
     num, den = SIMILARITY
-    for batch in batches:
-        linked, apart = [], []
-        for x, y in zip(batch.column(batch.schema.get_field_index("sa")), batch.column(batch.schema.get_field_index("sb"))):
-            p, q = np.frombuffer(x.as_buffer(), _U), np.frombuffer(y.as_buffer(), _U)
-            if len(p) > len(q):
-                p, q = q, p
-            if not len(p):
-                linked.append(False)
-                apart.append(1.0)
-                continue
-            at = np.searchsorted(q, p)
-            at[at == len(q)] = 0
-            common = int((q[at] == p).sum())
-            union = len(p) + len(q) - common
-            linked.append(den * common >= num * union)
-            apart.append(1 - common / union)
-        yield pa.RecordBatch.from_arrays([batch.column(batch.schema.get_field_index("a")), batch.column(batch.schema.get_field_index("b")), pa.array(apart, pa.float64()), pa.array(linked, pa.bool_())], ["a", "b", "d", "linked"])
+    slack = 1 - num / den + 1e-9
+
+    def solve(rows: pa.Table) -> pa.RecordBatch:
+        col = lambda x: np.asarray(rows.column(x).combine_chunks())
+        rep, component, n, group, side = (col(x) for x in ("rep", "component", "n", "g", "side"))
+        d = np.asarray(rows.column("d").combine_chunks().fill_null(np.nan))
+        sketches = [np.frombuffer(x.as_buffer(), np.uint8) for x in rows.column("parity").combine_chunks()]
+        found = [np.zeros((0, 2), np.int64)]
+        for a, b in index_pairs(group, side):
+            ok = (component[a] != component[b]) & ~(np.abs(d[a] - d[b]) > slack)
+            a, b = a[ok], b[ok]
+            near = _near(sketches, n, a, b)
+            pairs = np.sort(np.stack([rep[a[near]], rep[b[near]]], 1), axis=1)
+            found = [np.unique(np.concatenate([*found, pairs]), axis=0)]
+        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(found[0][:, i])) for i in (0, 1)], ["a", "b"])
+
+    yield from whole_groups(batches, solve)
 
 
 class _Join:
@@ -231,17 +242,22 @@ class _Join:
         ids = self.members.where("rep is not null").select(F.col("doc_id").alias("doc"), "rep", "n")
         return self.scratch.table(shared.join(ids, "doc").select("region", "rep", "n").distinct(), "regions")
 
-    def measured(self, pairs: DataFrame) -> DataFrame:
-        """(a, b, d, linked) of the pairs that sizes and sketches don't exclude."""
-        num, den = SIMILARITY
+    def near(self, pairs: DataFrame) -> DataFrame:
+        """Of pairs (a, b), those that sizes and sketches don't exclude."""
         sizes = lambda x: self.sizes.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("parity").alias(f"p{x}"))
-        near = pairs.select("a", "b").join(sizes("a"), "a").join(sizes("b"), "b").where(f"{den} * least(na, nb) >= {num} * greatest(na, nb)")
-        near = self.scratch.table(near.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(_not_apart, "a bigint, b bigint"), "near")
+        sized = pairs.join(sizes("a"), "a").join(sizes("b"), "b")
+        return self.scratch.table(sized.select("a", "b", "na", "nb", "pa", "pb").mapInArrow(_not_apart, "a bigint, b bigint"), "near")
+
+    def measured(self, near: DataFrame) -> DataFrame:
+        """(a, b, d, linked): the exact distances of pairs."""
+        num, den = SIMILARITY
         needed = near.select(F.col("a").alias("doc")).union(near.select(F.col("b").alias("doc"))).distinct()
         docs = may_contain(self.rows.select(F.col("doc_id").alias("doc"), "text"), "doc", bit_table(needed, "doc"))
-        sets = self.scratch.table(docs.mapInArrow(_sets, "doc bigint, s binary"), "sets")
+        sets = self.scratch.table(docs.mapInArrow(_sets, "doc bigint, s array<bigint>"), "sets")
         full = near.join(sets.select(F.col("doc").alias("a"), F.col("s").alias("sa")), "a").join(sets.select(F.col("doc").alias("b"), F.col("s").alias("sb")), "b")
-        out = self.scratch.table(full.mapInArrow(_distances, "a bigint, b bigint, d double, linked boolean"), "measured")
+        common = full.select("a", "b", F.size(F.array_intersect("sa", "sb")).cast("long").alias("i"), (F.size("sa") + F.size("sb")).cast("long").alias("both"))
+        union = common.withColumn("u", F.col("both") - F.col("i"))
+        out = self.scratch.table(union.select("a", "b", F.expr("1 - i / u").alias("d"), F.expr(f"{den} * i >= {num} * u").alias("linked")), "measured")
         self.scratch.drop(sets, near)
         return out
 
@@ -250,20 +266,16 @@ class _Join:
         cells = self.regions()
         pivots = cells.groupBy("region").agg(F.min("rep").alias("pivot"), F.count("*").alias("size")).where("size > 1").drop("size")
         cells = self.scratch.table(cells.join(pivots, "region"), "cells")
-        first = self.measured(cells.where("rep <> pivot").select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct())
+        first = self.measured(self.near(cells.where("rep <> pivot").select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct()))
         near = self.scratch.table(components(first.where("linked"), self.scratch), "joined")
         named = cells.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
         named = self.scratch.table(named, "named")
-        split = named.groupBy("region").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("region")
+        split = named.groupBy("region").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size")).where("lo <> hi and size > 2").select("region", "size")
         known = first.select(F.col("a").alias("rep"), F.col("b").alias("pivot"), "d")
         left = named.join(split, "region").where("rep <> pivot").join(known, ["rep", "pivot"], "left")
-        left = self.scratch.table(left, "left")
-        x, y = left.alias("x"), left.alias("y")
-        num, den = SIMILARITY
-        apart = (F.col("x.rep") < F.col("y.rep")) & (F.col("x.component") != F.col("y.component"))
-        sized = F.expr(f"{den} * least(x.n, y.n) >= {num} * greatest(x.n, y.n)")
-        triangle = F.expr(f"coalesce(abs(x.d - y.d) <= {1 - num / den + 1e-9}, true)")
-        pairs = x.join(y, (F.col("x.region") == F.col("y.region")) & apart & sized & triangle).select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct()
+        left = spread(self.scratch.table(left.select("region", "rep", "n", "component", "d", "size"), "left"), ["region"], "size", "rep", BLOCK)
+        left = left.join(self.sizes.select("rep", "parity"), "rep").select("rep", "n", "component", "d", "parity", "g", "side")
+        pairs = left.repartition("g").sortWithinPartitions("g").mapInArrow(_leaf, "a bigint, b bigint").distinct()
         pairs = self.scratch.table(pairs, "pairs")
         if pairs.isEmpty():
             return near
