@@ -8,10 +8,11 @@ first pivots: nearly every text is at distance 1 from nearly every other.  So
    a document are its own shingles, in one global order (common shingles last); the first
    is its home region.  For links at distance 1/4 or less the window of regions that a
    document of n shingles must be replicated to is its first n - ceil(3n/4) + 1 pivots.
-2. In each region the document with the smallest id is the second pivot.  Exact distances
-   to it join what lies within 1/4 of it.
+2. In each region the document with the smallest id is the next pivot.  Exact distances
+   to it join what lies within 1/4 of it.  With ``PIVOTS`` above 1, the first document that is
+   then apart from it is the next pivot in the same way.
 3. What a region still holds apart is joined pair by pair, exactly, where neither sizes nor
-   the distances to the second pivot (which may differ by 1/4 at most) exclude a link.
+   the distances to its first document (which may differ by 1/4 at most) exclude a link.
 
 Documents with equal sets are one class from the start and a class once joined is not
 compared again, so groups of copies cost their size, not its square.  Regions of many
@@ -41,7 +42,8 @@ from .words import mix, shingle_sets, slices
 WORDS = 5
 SIMILARITY = (75, 100)  # links: 100 * intersection >= 75 * union
 COMMON = 1 << 18  # shingles that the order puts last; a bound on memory, no effect on results
-PARITY = 256  # bits of the parity sketch at least; it has at least one a shingle
+PARITY = 256  # bits of the parity sketch at least; it has at least four a shingle
+PIVOTS = 1  # document pivots of a region, one after the other, before the rest is compared pair by pair
 REGION_ROWS = 700_000
 BLOCK = 2000  # members of a region compared in one task
 _U = np.uint64
@@ -53,7 +55,7 @@ def _sets_hash(s: np.ndarray) -> tuple[int, int]:
 
 def _parity(s: np.ndarray) -> bytes:
     """Bit i tells whether an odd number of shingles falls on i; halves of a sketch add up to a shorter one."""
-    bits = max(PARITY, 1 << int(len(s) - 1).bit_length()) if len(s) else PARITY
+    bits = max(PARITY, 1 << int(4 * len(s) - 1).bit_length()) if len(s) else PARITY
     return np.packbits((np.bincount((s >> _U(20)).astype(np.int64) & (bits - 1), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
@@ -266,11 +268,22 @@ class _Join:
         cells = self.regions()
         pivots = cells.groupBy("region").agg(F.min("rep").alias("pivot"), F.count("*").alias("size")).where("size > 1").drop("size")
         cells = self.scratch.table(cells.join(pivots, "region"), "cells")
-        first = self.measured(self.near(cells.where("rep <> pivot").select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct()))
+        apart = lambda df: df.where("a <> b").distinct()
+        first = self.measured(self.near(apart(cells.select(F.col("rep").alias("a"), F.col("pivot").alias("b")))))
         near = self.scratch.table(components(first.where("linked"), self.scratch), "joined")
-        named = cells.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        named = self.scratch.table(named, "named")
-        split = named.groupBy("region").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size")).where("lo <> hi and size > 2").select("region", "size")
+        for number in range(PIVOTS):
+            named = cells.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+            named = self.scratch.table(named, "named")
+            split = named.groupBy("region").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.min_by("component", "rep").alias("own"), F.count("*").alias("size")).where("lo <> hi and size > 2")
+            if number == PIVOTS - 1:
+                break
+            # The next pivot of a region: the first document that is not joined with the pivot before.
+            rest = named.join(split.select("region", "own"), "region").where("component <> own").select("region", "rep", "component")
+            pivots = rest.groupBy("region").agg(F.min("rep").alias("b"), F.min_by("component", "rep").alias("joined"))
+            pairs = rest.join(pivots, "region").where("component <> joined").select(F.col("rep").alias("a"), "b")
+            links = self.measured(self.near(apart(pairs))).where("linked").select("a", "b")
+            near = self.scratch.table(components(near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(links), self.scratch), "joined")
+        split = split.select("region", "size")
         known = first.select(F.col("a").alias("rep"), F.col("b").alias("pivot"), "d")
         left = named.join(split, "region").where("rep <> pivot").join(known, ["rep", "pivot"], "left")
         left = spread(self.scratch.table(left.select("region", "rep", "n", "component", "d", "size"), "left"), ["region"], "size", "rep", BLOCK)
