@@ -162,7 +162,8 @@ def redact(docs: DataFrame, text_col: str = "text") -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = batch.schema.get_field_index(text_col)
-            new = [None if t is None else (redacted(t, s) if (s := find(t)) else t) for t in batch.column(at).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(new, pa.string()) if i == at else batch.column(i) for i in range(batch.num_columns)], batch.schema.names)
+            for rows, _ in slices(batch, text_col, 1 << 20):
+                new = [None if t is None else (redacted(t, s) if (s := find(t)) else t) for t in rows.column(at).to_pylist()]
+                yield pa.RecordBatch.from_arrays([pa.array(new, pa.string()) if i == at else rows.column(i) for i in range(rows.num_columns)], rows.schema.names)
 
     return docs.mapInArrow(run, docs.schema)
