@@ -1,4 +1,4 @@
-"""Language-model scoring with a weighted backoff automaton.
+"""Language-model scoring with a backoff model whose n-grams are joined with, not broadcast.
 
 Tokens are lower-cased (A-Z) words and one end per document; the token before a document's
 first is an end.  Counts cover all training documents.
@@ -6,15 +6,18 @@ first is an end.  Counts cover all training documents.
 The model is a trigram model with absolute discounting and backoff:
   P(t) = (c(t) - D) / N, all unseen tokens together D V / N (one class);
   P(t | v) = (c(v t) - D) / c(v) for retained v t, else bow(v) P(t); trigrams alike.
-N-grams of two or three tokens are retained if they make at least ``SHARE`` of all tokens, so
-there are at most 1 / SHARE of each order at any size of the corpus, and backoff weights make
-every state's distribution sum to one.  Tokens of at least ``HOT`` of all (1 / HOT at most)
-travel with the automaton; the counts of all others stay in a table that the documents'
-rare tokens are joined with, by hash range.
+N-grams of two or three tokens are retained if they occur ``LEAST`` times, at any size of the
+corpus, and backoff weights make every context's distribution sum to one.
 
-States are contexts with retained arcs; a state's failure arc, weighted with its bow, leads to
-the next shorter context.  Documents are cut in segments (a state depends on two tokens, which
-are walked again first), and all segments of a slice take each left-to-right step together.
+A document's log score is a sum over its n-grams, each of which has one value:
+  a token t: log P(t) + log bow(t); a pair (v, t): log P(t | v) - log bow(v) P(t) + log bow(v t);
+  a triple (u, v, t): log P(t | u v) - log bow(u v) P(t | v); what is not retained has 0.
+So positions are joined with values by the hash range of their pair, which holds a pair and all
+triples that continue it.  Tokens of at least ``HOT`` of all (1 / HOT at most) are broadcast, as
+codes of three bytes and with their values; all others travel as hashes and are joined with.
+
+``Automaton`` is the same model in one memory, with failure arcs: what small tables can be
+compared with.
 
 Defined cases: null text is an empty text (the end alone); without training tokens every token
 has base probability 1 and score 1; rows that repeat an id are scored apart; rows with a null id
@@ -31,18 +34,22 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 from .scratch import Scratch
-from .words import mix, slices, split, word_hashes
+from .words import mix, slices, split, tidy, word_hashes
 
 SLICE = 6 << 20
 HOT = 5e-7
-SHARE = 4e-6
+CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+LEAST = 2  # occurrences of a retained n-gram
 DISCOUNT = 0.5
 SEGMENT = 256
 PART_ROWS = 2_000_000
 _U = np.uint64
 END = _U(0x6C62272E07BB0142)
+NONE = _U(0)  # behind an end
+RARE = (1 << 24) - 1  # the code of a token that is not hot
 _C = _U(0x9FB21C651E98DF25)
 
 
@@ -117,10 +124,6 @@ def _unigrams(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c)], ["h", "c"])
 
 
-def _packed(part, data) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.asarray(part, np.int32)), pa.array(data, pa.binary())], ["part", "data"])
-
-
 def _by_range(h: np.ndarray, bits: int) -> tuple[np.ndarray, list[int], np.ndarray]:
     """Order by hash range, the cuts between ranges and the range of each part."""
     part = (h >> _U(64 - bits)).astype(np.int64)
@@ -130,82 +133,113 @@ def _by_range(h: np.ndarray, bits: int) -> tuple[np.ndarray, list[int], np.ndarr
     return order, cuts, part[cuts[:-1]]
 
 
-def _bigrams(often: np.ndarray, bits: int):
-    """Counts of pairs of tokens each of which is frequent enough (a pair is no more frequent than its tokens)."""
+def _codes(ids: np.ndarray, t: np.ndarray) -> bytes:
+    """Tokens as three bytes where they are hot, else as hashes behind those."""
+    rare = ids < 0
+    x = np.where(rare, RARE, ids).astype(np.int32)
+    return np.int64(rare.sum()).tobytes() + _planes(x)[: 3 * len(x)] + t[rare].tobytes()
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Lookup(often)
-        for batch in batches:
-            for _, col in slices(batch, limit=SLICE):
-                t, at = tokens(col)
-                can = known.find(t) >= 0
-                prev = before(t, at, 1)
-                can &= before(can.view(np.uint8).astype(_U), at, 1) != 0  # an END value is not 0: a start counts
-                h, c = np.unique(join2(prev[can], t[can]), return_counts=True)
-                if len(h):
-                    order, cuts, part = _by_range(h, bits)
-                    h, c = h[order], np.minimum(c, 2**31 - 1).astype(np.int32)[order]
-                    yield _packed(part, [h[a:b].tobytes() + c[a:b].tobytes() for a, b in zip(cuts, cuts[1:])])
 
-    return run
+def _planes(x: np.ndarray) -> bytes:
+    """All lowest bytes, then all second ones and so on: high ones are mostly equal, which compression takes away."""
+    return np.ascontiguousarray(x.view(np.uint8).reshape(len(x), x.itemsize).T).tobytes()
 
 
-def _at_least(least: float):
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hs, cs = [], []
-        for batch in batches:
-            for x in batch.column(1):
-                raw = x.as_buffer()
-                n = raw.size // 12
-                hs.append(np.frombuffer(raw, _U, n))
-                cs.append(np.frombuffer(raw, np.int32, n, 8 * n))
-        if hs:
-            h, c = np.concatenate(hs), np.concatenate(cs)
-            order = np.argsort(h)
-            h, c = h[order], c[order].astype(np.int64)
-            first = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
-            total = np.add.reduceat(c, first)
-            keep = total >= least
-            yield pa.RecordBatch.from_arrays([pa.array(h[first][keep].view(np.int64)), pa.array(total[keep])], ["h", "c"])
+def _decoded(raw: memoryview, at: int, n: int, hot: np.ndarray) -> tuple[np.ndarray, int]:
+    k = int(np.frombuffer(raw, np.int64, 1, at)[0])
+    low, mid, high = np.frombuffer(raw, np.uint8, 3 * n, at + 8).reshape(3, n).astype(np.int32)
+    x = low | mid << 8 | high << 16
+    out = np.empty(n, _U)
+    rare = x == RARE
+    out[~rare] = hot[x[~rare]]
+    # The copy is what an offset that is no multiple of eight asks for.
+    out[rare] = np.frombuffer(raw[at + 8 + 3 * n : at + 8 + 3 * n + 8 * k].tobytes(), _U, k)
+    return out, at + 8 + 3 * n + 8 * k
+
+
+def _triples(t: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The token before each position and the one behind it, ``NONE`` behind a document's end."""
+    behind = np.full(len(t), NONE, _U)
+    behind[:-1] = t[1:]
+    behind[at[1:] - 1] = NONE
+    return before(t, at, 1), behind
+
+
+def _pieces(u: np.ndarray, v: np.ndarray, t: np.ndarray, more: np.ndarray, known: Lookup, bits: int, in_order: bool = True) -> tuple[np.ndarray, list[bytes]]:
+    """By the range of the pair (u, v): number of triples, ``more`` (64-bit integers, differences if ``in_order``) and the codes of all three."""
+    order, cuts, part = _by_range(join2(u, v), bits)
+    if not in_order:  # equal first tokens together, which compression takes away
+        order = np.lexsort((u, join2(u, v) >> _U(64 - bits)))
+    cols = [x[order] for x in (u, v, t)]
+    ids, more = [known.find(x) for x in cols], more[order]
+    return part, [np.int64(b - a).tobytes() + _planes(np.diff(more[a:b], prepend=0) if in_order else more[a:b]) + b"".join(_codes(i[a:b], x[a:b]) for i, x in zip(ids, cols)) for a, b in zip(cuts, cuts[1:])]
 
-    return run
 
+def _opened(x: pa.Scalar, hot: np.ndarray, in_order: bool = True) -> tuple[np.ndarray, ...]:
+    raw = memoryview(x.as_buffer())
+    n = int(np.frombuffer(raw, np.int64, 1)[0])
+    more = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 8 * n, 8).reshape(8, n).T).view(np.int64).ravel()
+    more, at, out = np.cumsum(more) if in_order else more, 8 + 8 * n, []
+    for _ in range(3):
+        got, at = _decoded(raw, at, n, hot)
+        out.append(got)
+    return (more, *out)
 
-def _longer(bigram: np.ndarray):
-    """For retained bigrams what they are made of; for trigrams of two retained bigrams, their counts too."""
+
+def _count(hot, bits: int):
+    """Counts of a slice's distinct triples, those with an end behind their pair included."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Lookup(bigram)
-        met = np.zeros(len(bigram), bool)
+        known = Lookup(hot.value[0])
         for batch in batches:
             for _, col in slices(batch, limit=SLICE):
                 t, at = tokens(col)
-                prev = before(t, at, 1)
-                pair = join2(prev, t)
-                which = known.find(pair)
-                _, first = np.unique(which, return_index=True)
-                first = first[(which[first] >= 0)]
-                first = first[~met[which[first]]]
-                met[which[first]] = True
-                z = np.zeros(len(first), np.int64)
-                yield _grams(2, pair[first], prev[first], t[first], z.view(_U), z)
-                begin = np.zeros(len(t), bool)
-                begin[at[:-1]] = True
-                # The pair before: at a document's second token it is (end, first token).
-                last = np.full(len(t), -1, np.int32)
-                last[1:] = which[:-1]
-                last[begin] = -1
-                tri = np.flatnonzero((which >= 0) & (last >= 0))
-                h, first, c = np.unique(join2(pair[tri - 1], t[tri]), return_index=True, return_counts=True)
-                i = tri[first]
-                yield _grams(3, h, pair[i - 1], t[i], pair[i], c)
+                u, w = _triples(t, at)
+                _, first, c = np.unique(join2(join2(u, t), w), return_index=True, return_counts=True)
+                part, data = _pieces(u[first], t[first], w[first], c.astype(np.int64), known, bits, False)
+                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(data, pa.binary())], ["part", "data"])
 
     return run
 
 
-def _grams(order: int, h, context, token, suffix, c) -> pa.RecordBatch:
-    s = lambda x: pa.array(x.view(np.int64))
-    return pa.RecordBatch.from_arrays([pa.array(np.full(len(h), order, np.int32)), s(h), s(context), s(token), s(suffix), pa.array(np.asarray(c, np.int64))], ["order", "h", "context", "token", "suffix", "c"])
+GRAMS = "p bigint, u bigint, v bigint, cu bigint, cv bigint, c2 bigint, g bigint, s bigint, c3 bigint"
+
+
+def _retained(hot):
+    """Pairs (g null) and triples that occur often enough; each pair is followed by one triple, so triples count it."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hot_h, hot_c = hot.value[:2]
+        got = [_opened(x, hot_h, False) for batch in batches for x in batch.column(1)]
+        if not got:
+            return
+        c, u, v, t = (np.concatenate(x) for x in zip(*got))
+        del got
+        tidy()
+        _, first, same = np.unique(join2(join2(u, v), t), return_index=True, return_inverse=True)
+        c3 = np.bincount(same, c, len(first)).astype(np.int64)
+        u, v, t = u[first], v[first], t[first]
+        p, first, same = np.unique(join2(u, v), return_index=True, return_inverse=True)
+        c2 = np.bincount(same, c3, len(p)).astype(np.int64)
+        known = Lookup(hot_h)
+        s = lambda x: pa.array(x.view(np.int64))
+
+        def counted(x):
+            i = known.find(x)
+            return pa.array(hot_c[i] if len(hot_c) else np.zeros(len(x), np.int64), pa.int64(), mask=i < 0)
+
+        k = np.flatnonzero(c2 >= LEAST)
+        a, b = u[first[k]], v[first[k]]
+        null = pa.nulls(len(k), pa.int64())
+        names = [x.split()[0] for x in GRAMS.split(", ")]
+        yield pa.RecordBatch.from_arrays([s(p[k]), s(a), s(b), counted(a), counted(b), pa.array(c2[k]), null, null, null], names)
+        k = np.flatnonzero((c3 >= LEAST) & (t != NONE))
+        null = pa.nulls(len(k), pa.int64())
+        pair = p[same[k]]
+        yield pa.RecordBatch.from_arrays([s(pair), null, null, null, null, pa.array(c2[same[k]]), s(join2(pair, t[k])), s(join2(v[k], t[k])), pa.array(c3[k])], names)
+        tidy()
+
+    return run
 
 
 @dataclass
@@ -328,107 +362,203 @@ def _left(state: np.ndarray, p: np.ndarray, lower: np.ndarray, n: int) -> np.nda
     return np.maximum(mass, 1e-12) / np.maximum(rest, 1e-12)
 
 
-def _score(model, bits: int):
+def _send(model, bits: int):
+    """Rows of documents with what hot tokens give, and pieces of all that is joined with, by hash range."""
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        a: Automaton = model.value
-        a.prepare()
+        hot_h, hot_c, hot_b, n_all, types = model.value
+        a = Automaton(tokens=n_all, types=types)
+        known = Lookup(hot_h)
+        base, value = a.base(hot_c), a.unigram(hot_c) + hot_b
         key = TaskContext.get().partitionId() << 32
-        base = a.base(a.hot_count)
         for batch in batches:
             for rows, col in slices(batch, limit=SLICE):
                 t, at = tokens(col)
-                ids, score = a.walk(t, at)
-                hot = ids >= 0
+                ids = known.find(t)
+                hot = np.flatnonzero(ids >= 0)
                 n = len(col)
                 doc = np.repeat(np.arange(n), np.diff(at))
-                sums = lambda w: np.bincount(doc, w, minlength=n)
-                b = np.zeros(len(t))
-                if len(base):
-                    b[hot] = base[ids[hot]]
+                sums = lambda w: pa.array(np.bincount(doc[hot], w[ids[hot]] if len(hot) else None, n).astype(np.float64))
                 keys = key + np.arange(n)
                 key += n
-                null = pa.nulls(n, pa.int32())
-                yield pa.RecordBatch.from_arrays([pa.array(keys), rows.column(0), pa.array(np.diff(at)), pa.array(np.bincount(doc[hot], minlength=n)), pa.array(sums(b)), pa.array(sums(score)), null, pa.nulls(n, pa.binary())], _SCORED)
-                rare = np.flatnonzero(~hot)
+                part = (np.arange(n) % (1 << bits)).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(np.full(n, ROW, np.int32)), pa.nulls(n, pa.binary()), pa.array(keys), rows.column(0), pa.array(np.diff(at)), pa.array(np.bincount(doc[hot], minlength=n)), sums(base), sums(value)], _NAMES)
+                rare = np.flatnonzero(ids < 0)
                 if len(rare):
                     order, cuts, part = _by_range(t[rare], bits)
-                    at_ = rare[order]
-                    data = [t[at_[x:y]].tobytes() + np.diff(keys[doc[at_[x:y]]], prepend=0).tobytes() for x, y in zip(cuts, cuts[1:])]
-                    m = len(data)
-                    yield pa.RecordBatch.from_arrays([pa.nulls(m, pa.int64()), pa.nulls(m, rows.schema.field(0).type), *(pa.nulls(m, pa.int64()) for _ in range(2)), *(pa.nulls(m, pa.float64()) for _ in range(2)), pa.array(part.astype(np.int32)), pa.array(data, pa.binary())], _SCORED)
+                    i = rare[order]
+                    yield _piece(part, WORD, [t[i[x:y]].tobytes() + np.diff(keys[doc[i[x:y]]], prepend=0).tobytes() for x, y in zip(cuts, cuts[1:])], rows.column(0).type)
+                if n_all:
+                    u, w = _triples(t, at)
+                    yield _piece(*(lambda x: (x[0], TRIPLE, x[1]))(_pieces(u, t, w, keys[doc], known, bits)), rows.column(0).type)
 
     return run
 
 
-_SCORED = ["key", "id", "n_tokens", "known", "base", "score", "part", "data"]
+ROW, WORD, WORD_VALUE, TRIPLE, PAIR_VALUE, TRIPLE_VALUE = range(6)
+_NAMES = ["part", "kind", "data", "key", "id", "n_tokens", "known", "base", "score"]
+
 
+def _piece(part: np.ndarray, kind: int, data: list[bytes], id_type: pa.DataType) -> pa.RecordBatch:
+    m = len(data)
+    i, d = pa.nulls(m, pa.int64()), pa.nulls(m, pa.float64())
+    return pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(np.full(m, kind, np.int32)), pa.array(data, pa.binary()), i, pa.nulls(m, id_type), i, i, d, d], _NAMES)
 
-def _pack_counts(bits: int):
-    """Counts in the same ranges as the rare tokens, marked by a leading zero byte row."""
+
+def _pack(kind: int, bits: int, id_type: pa.DataType):
+    """Columns of eight bytes, one behind the other, in the ranges of the first."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            h, c = np.asarray(batch.column(0)).view(_U), np.asarray(batch.column(1)).astype(np.int64)
-            if len(h):
-                order, cuts, part = _by_range(h, bits)
-                h, c = h[order], c[order]
-                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array([h[a:b].tobytes() + c[a:b].tobytes() for a, b in zip(cuts, cuts[1:])], pa.binary()), pa.array(np.ones(len(part), bool))], ["part", "data", "counts"])
+            if batch.num_rows:
+                cols = [np.asarray(x) for x in batch.columns]
+                order, cuts, part = _by_range(cols[0].view(_U), bits)
+                cols = [x[order] for x in cols]
+                yield _piece(part, kind, [b"".join(x[a:b].tobytes() for x in cols) for a, b in zip(cuts, cuts[1:])], id_type)
 
     return run
 
 
-def _rare(n: int, v: int):
+def _of_pairs(model):
+    """(p, value without bow(u v)) of pairs; weights of hot contexts are here, others come along."""
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model = Automaton(tokens=n, types=v)
-        got = {True: ([], []), False: ([], [])}
+        hot_h, _, hot_b, *_ = model.value
+        known = Lookup(hot_h)
         for batch in batches:
-            for x, counts in zip(batch.column(1), batch.column(2).to_pylist()):
-                raw = x.as_buffer()
-                m = raw.size // 16
-                got[counts][0].append(np.frombuffer(raw, _U, m))
-                got[counts][1].append(np.frombuffer(raw, np.int64, m, 8 * m) if counts else np.cumsum(np.frombuffer(raw, np.int64, m, 8 * m)))
-        if not got[False][0]:
+            p, u, p2, p1 = (np.asarray(batch.column(i)) for i in range(4))
+            i = known.find(u.view(_U))
+            b = np.asarray(batch.column(4)).astype(np.float64).copy()
+            b[i >= 0] = hot_b[i[i >= 0]]
+            yield pa.RecordBatch.from_arrays([pa.array(p), pa.array(np.log10(p2) - b - np.log10(p1))], ["p", "d"])
+
+    return run
+
+
+def _columns(data: list[pa.Scalar], *kinds) -> list[np.ndarray]:
+    out = [[np.zeros(0, k)] for k in kinds]
+    for x in data:
+        raw = x.as_buffer()
+        m = raw.size // (8 * len(kinds))
+        for j, k in enumerate(kinds):
+            out[j].append(np.frombuffer(raw, k, m, 8 * m * j))
+    return [np.concatenate(x) for x in out]
+
+
+def _sum(model, id_type: pa.DataType):
+    """Documents' rows as they are; of each document here the sums of what its rare tokens, pairs and triples give."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hot_h, _, _, n, types = model.value
+        a = Automaton(tokens=n, types=types)
+        got: dict[int, list] = {k: [] for k in range(ROW, TRIPLE_VALUE + 1)}
+        for batch in batches:
+            kind = np.asarray(batch.column(1))
+            rows = batch.filter(pa.array(kind == ROW))
+            if rows.num_rows:
+                yield rows.select(_NAMES[3:])
+            for k, x in zip(kind, batch.column(2)):
+                if k != ROW:
+                    got[k].append(x)
+
+        def summed(key, known, base, score):
+            keys, doc = np.unique(key, return_inverse=True)
+            m = len(keys)
+            s = lambda w: np.bincount(doc, w, m)
+            return pa.RecordBatch.from_arrays([pa.array(keys), pa.nulls(m, id_type), pa.nulls(m, pa.int64()), pa.array(s(known).astype(np.int64)), pa.array(s(base)), pa.array(s(score))], _NAMES[3:])
+
+        if got[WORD]:
+            h, c, b = _columns(got[WORD_VALUE], _U, np.int64, np.float64)
+            words = Lookup(h)
+            # Keys are differences within a piece.
+            t, key = (np.concatenate(x) for x in zip(*((y[0], np.cumsum(y[1])) for y in (_columns([x], _U, np.int64) for x in got[WORD]))))
+            i = words.find(t)
+            count, bow = np.zeros(len(t), np.int64), np.zeros(len(t))
+            count[i >= 0], bow[i >= 0] = c[i[i >= 0]], b[i[i >= 0]]
+            yield summed(key, count > 0, a.base(count), a.unigram(count) + bow)
+        if not got[TRIPLE] or not got[PAIR_VALUE]:
             return
-        t, key = np.concatenate(got[False][0]), np.concatenate(got[False][1])
-        c = np.zeros(len(t), np.int64)
-        if got[True][0]:
-            table = Lookup(np.concatenate(got[True][0]))
-            i = table.find(t)
-            c[i >= 0] = np.concatenate(got[True][1])[i[i >= 0]]
-        keys, doc = np.unique(key, return_inverse=True)
-        sums = lambda w: pa.array(np.bincount(doc, w, minlength=len(keys)))
-        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(np.bincount(doc[c > 0], minlength=len(keys))), sums(model.base(c)), sums(model.unigram(c))], ["key", "known", "base", "score"])
+        p, d = _columns(got[PAIR_VALUE], _U, np.float64)
+        q, g, p3, p2 = _columns(got[TRIPLE_VALUE], _U, _U, np.float64, np.float64)
+        pairs, triples = Lookup(p), Lookup(g)
+        own = pairs.find(q)
+        bow = np.zeros(len(p))
+        if len(q):
+            context, s = np.unique(own, return_inverse=True)
+            bow[context] = np.log10(_left(s, p3, p2, len(context)))
+        d, e = d + bow, np.log10(p3) - np.log10(p2) - (bow[own] if len(q) else 0.0)
+        for x in got[TRIPLE]:
+            key, u, v, t = _opened(x, hot_h)
+            h = join2(u, v)
+            i, j = pairs.find(h), triples.find(join2(h, t))
+            score = np.zeros(len(h))
+            score[i >= 0] = d[i[i >= 0]]
+            score[j >= 0] += e[j[j >= 0]]
+            hit = np.flatnonzero(i >= 0)
+            if len(hit):
+                zero = np.zeros(len(hit))
+                yield summed(key[hit], zero, zero, score[hit])
+        tidy()
 
     return run
 
 
+def _written(scratch: Scratch, df: DataFrame, name: str) -> DataFrame:
+    """A written table, with the shuffles that made it deleted."""
+    conf = scratch.spark.conf
+    was = conf.get(CLEAN)
+    conf.set(CLEAN, "true")
+    try:
+        return scratch.table(df, name)
+    finally:
+        conf.set(CLEAN, was)
+
+
 def score(docs: DataFrame, train: Column, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id, n_tokens, n_known, train_tokens, base_score, score; ``train`` selects what is learnt from."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
+    share = spark.sparkContext.broadcast
     learn = docs.where(train).select(F.col(text_col).alias("text"))
-    counts = scratch.table(learn.mapInArrow(_unigrams, "h bigint, c bigint").groupBy("h").agg(F.sum("c").alias("c")), "counts")
-    n, v = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    hot = counts.where(F.col("c") >= max(2, HOT * n)).toArrow().to_pandas().sort_values("h")
+    counts = _written(scratch, learn.mapInArrow(_unigrams, "h bigint, c bigint").groupBy("h").agg(F.sum("c").alias("c")), "counts")
+    n, v = map(int, counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first())
+    least = max(2, HOT * n)
+    hot = counts.where(F.col("c") >= least).toArrow().to_pandas().sort_values(["c", "h"], ascending=False)
     hot_h, hot_c = hot["h"].to_numpy(np.int64).view(_U), hot["c"].to_numpy(np.int64)
-    least = max(2, SHARE * n)
-    bits = max(4, int(n / 4 / PART_ROWS).bit_length())
+    bits = max(4, int(n / PART_ROWS).bit_length())
     spread = lambda df: df.repartition(1 << bits, "part")
-    pairs = spread(learn.mapInArrow(_bigrams(hot_h[hot_c >= least], bits), "part int, data binary")).mapInArrow(_at_least(least), "h bigint, c bigint").toArrow().to_pandas()
-    made = learn.mapInArrow(_longer(pairs["h"].to_numpy(np.int64).view(_U)), "order int, h bigint, context bigint, token bigint, suffix bigint, c bigint")
-    grams = made.groupBy("order", "h", "context", "token", "suffix").agg(F.sum("c").alias("c")).where((F.col("order") == 2) | (F.col("c") >= least)).toArrow().to_pandas()
-    exact = dict(zip(pairs["h"], pairs["c"]))
-    two = grams["order"] == 2
-    grams.loc[two, "c"] = grams.loc[two, "h"].map(exact)
-    grams = grams.sort_values(["order", "h"], ignore_index=True)
-    model = spark.sparkContext.broadcast(build(int(n), int(v), hot_h, hot_c, grams))
+    common = share((hot_h, hot_c))
+    grams = _written(scratch, learn.mapInArrow(_count(common, bits + 2), "part int, data binary").repartition(4 << bits, "part").mapInArrow(_retained(common), GRAMS), "grams")
+    rare = counts.where(F.col("c") < least)
+    pairs = grams.where("g is null").select("p", "u", "v", "cu", "cv", "c2")
+    for x in ("u", "v"):
+        # Hot keys, of which there are many rows, are not joined.
+        joined = pairs.where(f"c{x} is null").drop(f"c{x}").join(rare.select(F.col("h").alias(x), F.col("c").alias(f"c{x}")), x)
+        pairs = pairs.where(f"c{x} is not null").unionByName(joined)
+    p2, p1 = (F.col("c2") - DISCOUNT) / F.col("cu"), (F.col("cv") - DISCOUNT) / F.lit(n)
+    pairs = _written(scratch, pairs.select("p", "u", "cu", p2.alias("p2"), p1.alias("p1")), "pairs")
+    left = lambda x: F.greatest(1 - F.sum(x), F.lit(1e-12))
+    bows = pairs.groupBy(F.col("u").alias("h")).agg(F.log10(left("p2") / left("p1")).alias("b"))
+    words = _written(scratch, counts.join(bows, "h", "left").select("h", "c", F.coalesce("b", F.lit(0.0)).alias("b")), "words")
+    hot = words.where(F.col("c") >= least).toArrow().to_pandas().set_index("h")["b"]
+    model = share((hot_h, hot_c, hot.loc[hot_h.view(np.int64)].to_numpy(np.float64), n, v))
+    rare = words.where(F.col("c") < least)
+    seldom = pairs.where(F.col("cu") < least).join(rare.select(F.col("h").alias("u"), "b"), "u")
+    cols = ["p", "u", "p2", "p1", "b"]
+    of_pairs = pairs.where(F.col("cu") >= least).withColumn("b", F.lit(0.0)).select(*cols).union(seldom.select(*cols)).mapInArrow(_of_pairs(model), "p bigint, d double")
+    suffixes = pairs.select(F.col("p").alias("s"), "p2")
+    of_triples = grams.where("g is not null").join(suffixes, "s").select("p", "g", ((F.col("c3") - DISCOUNT) / F.col("c2")).alias("p3"), "p2")
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     kind = rows.schema["id"].dataType.simpleString()
-    scored = scratch.table(rows.mapInArrow(_score(model, bits), f"key bigint, id {kind}, n_tokens bigint, known bigint, base double, score double, part int, data binary"), "scored")
-    rare = scored.where("part is not null").select("part", "data", F.lit(False).alias("counts"))
-    table = counts.where(F.col("c") < max(2, HOT * n)).mapInArrow(_pack_counts(bits), "part int, data binary, counts boolean")
-    more = spread(rare.union(table)).mapInArrow(_rare(int(n), int(v)), "key bigint, known bigint, base double, score double")
-    more = more.groupBy("key").agg(*(F.sum(x).alias(f"more_{x}") for x in ("known", "base", "score")))
-    plus = lambda x: F.col(x) + F.coalesce(f"more_{x}", F.lit(0))
-    out = scored.where("part is null").drop("part", "data").join(more, "key", "left")
-    return out.select(F.col("id").alias(id_col), "n_tokens", plus("known").alias("n_known"), F.lit(int(n)).alias("train_tokens"), plus("base").alias("base_score"), plus("score").alias("score"))
+    id_type = to_arrow_type(rows.schema["id"].dataType)
+    sent = f"part int, kind int, data binary, key bigint, id {kind}, n_tokens bigint, known bigint, base double, score double"
+    pack = lambda df, kind: df.mapInArrow(_pack(kind, bits, id_type), sent)
+    # Values are written, so that the shuffles of their joins are gone before positions are sent.
+    values = _written(scratch, pack(rare, WORD_VALUE).union(pack(of_pairs, PAIR_VALUE)).union(pack(of_triples, TRIPLE_VALUE)), "values")
+    scratch.drop(grams, pairs, words, counts)
+    every = spread(rows.mapInArrow(_send(model, bits), sent).union(values))
+    summed = every.mapInArrow(_sum(model, id_type), sent.split("data binary, ")[1]).groupBy("key")
+    total = lambda x: F.sum(x).alias(x)
+    out = summed.agg(F.first("id", ignorenulls=True).alias("id"), *map(total, ("n_tokens", "known", "base", "score")))
+    return out.select(F.col("id").alias(id_col), "n_tokens", F.col("known").alias("n_known"), F.lit(n).alias("train_tokens"), F.col("base").alias("base_score"), "score")
+
