@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from semjoin.functions.tokens import chunks, first_tokens
+from semjoin.functions.tokens import chunks, count_column, first_tokens
 from semjoin.lm.base import EachPair, SameFeature, SemanticPredicate
 from semjoin.sources import load
 
@@ -114,7 +114,7 @@ def offers_large(spark: SparkSession, d: str) -> Workload:
     return Workload("offers_large", left, right, truth, SemanticPredicate("the offer meets the request", SameFeature(_kind, _kind)))
 
 
-CHUNK, OVERLAP = 400, 120  # tokens; the overlap exceeds the longest passage
+CHUNK, OVERLAP = 400, 120  # tokens at least; both grow with the longest passage
 CHUNKS = 1000  # row ids are doc_id * CHUNKS + chunk
 
 
@@ -126,7 +126,9 @@ def quotes(spark: SparkSession, d: str) -> Workload:
     """Document chunks against benchmark passages; ids of chunks are resolved by ``documents_of``."""
     docs = load(spark, d, "documents").select(F.col("doc_id").alias("row_id"), "text")
     marks = load(spark, d, "benchmark").select(F.col("item_id").alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
-    parts = chunks(docs, CHUNK, OVERLAP).select((F.col("row_id") * CHUNKS + F.col("chunk")).alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
+    widest = marks.agg(F.max(count_column(F.col("text")))).first()[0] or 0
+    overlap = max(OVERLAP, widest)  # a passage that begins with a space also takes the end of the token before
+    parts = chunks(docs, CHUNK - OVERLAP + overlap, overlap).select((F.col("row_id") * CHUNKS + F.col("chunk")).alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
     truth = docs.alias("d").join(F.broadcast(marks.alias("m")), F.contains(F.col("d.text"), F.col("m.text"))).select(F.col("d.row_id").alias("left_id"), F.col("m.row_id").alias("right_id"))
     return Workload("quotes", parts, marks, truth, SemanticPredicate("the document quotes the passage", EachPair(_quotes)))
 
