@@ -310,7 +310,7 @@ def _quotes(spark, d, adaptive: bool):
     w = workloads.quotes(spark, d)
     m = _model(w, 8192, 5000)  # chunks vary in width, so plans leave room
     run = joins.adaptive_join(w.left, w.right, w.predicate, m, 0.0001, restart="failed") if adaptive else joins.block_join_planned(w.left, w.right, w.predicate, m, 0.05)
-    return workloads.documents_of(run.pairs)
+    return workloads.documents_of(run.pairs, w.stride)
 
 
 query("quotes_block", _QUOTES)(lambda spark, d: _quotes(spark, d, False))

@@ -21,6 +21,7 @@ class Workload:
     right: DataFrame
     truth: DataFrame
     predicate: SemanticPredicate
+    stride: int = 1000  # row ids of parts are id * stride + part
 
 
 _MONTH = re.compile(r"(Customer#\d+).*?(\d{4}-\d{2})")
@@ -115,7 +116,11 @@ def offers_large(spark: SparkSession, d: str) -> Workload:
 
 
 CHUNK, OVERLAP = 400, 120  # tokens at least; both grow with the longest passage
-CHUNKS = 1000  # row ids are doc_id * CHUNKS + chunk
+
+
+def _stride(parts: DataFrame, part: str) -> int:
+    """Above every part number, so that no two ids meet; 1000 where that is enough."""
+    return max(Workload.stride, (parts.agg(F.max(part)).first()[0] or 0) + 1)
 
 
 def _quotes(a, b) -> bool:
@@ -128,13 +133,15 @@ def quotes(spark: SparkSession, d: str) -> Workload:
     marks = load(spark, d, "benchmark").select(F.col("item_id").alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
     widest = marks.agg(F.max(count_column(F.col("text")))).first()[0] or 0
     overlap = max(OVERLAP, widest)  # a passage that begins with a space also takes the end of the token before
-    parts = chunks(docs, CHUNK - OVERLAP + overlap, overlap).select((F.col("row_id") * CHUNKS + F.col("chunk")).alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
+    parts = chunks(docs, CHUNK - OVERLAP + overlap, overlap)
+    stride = _stride(parts, "chunk")
+    parts = parts.select((F.col("row_id") * stride + F.col("chunk")).alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
     truth = docs.alias("d").join(F.broadcast(marks.alias("m")), F.contains(F.col("d.text"), F.col("m.text"))).select(F.col("d.row_id").alias("left_id"), F.col("m.row_id").alias("right_id"))
-    return Workload("quotes", parts, marks, truth, SemanticPredicate("the document quotes the passage", EachPair(_quotes)))
+    return Workload("quotes", parts, marks, truth, SemanticPredicate("the document quotes the passage", EachPair(_quotes)), stride)
 
 
-def documents_of(pairs: DataFrame) -> DataFrame:
-    return pairs.select(F.floor(F.col("left_id") / CHUNKS).cast("long").alias("doc_id"), F.col("right_id").alias("item_id")).distinct()
+def documents_of(pairs: DataFrame, stride: int = Workload.stride) -> DataFrame:
+    return pairs.select(F.expr(f"(left_id - pmod(left_id, {stride}L)) div {stride}L").alias("doc_id"), F.col("right_id").alias("item_id")).distinct()
 
 
 def _next_turn(text, key):
@@ -145,12 +152,13 @@ def _next_turn(text, key):
 def replies(spark: SparkSession, d: str) -> Workload:
     """User turns against assistant turns: the second answers the first."""
     c = load(spark, d, "conversations")
-    row = [(F.col("conv_id") * 1000 + F.col("turn")).alias("row_id"), "text", F.concat_ws(":", "conv_id", "turn").alias("key")]
+    stride = _stride(c, "turn")
+    row = [(F.col("conv_id") * stride + F.col("turn")).alias("row_id"), "text", F.concat_ws(":", "conv_id", "turn").alias("key")]
     left, right = c.where("role = 'user'").select(*row), c.where("role = 'assistant'").select(*row)
     u, a = c.where("role = 'user'").alias("u"), c.where("role = 'assistant'").alias("a")
     same = (F.col("u.conv_id") == F.col("a.conv_id")) & (F.col("a.turn") == F.col("u.turn") + 1)
-    truth = u.join(a, same).select((F.col("u.conv_id") * 1000 + F.col("u.turn")).alias("left_id"), (F.col("a.conv_id") * 1000 + F.col("a.turn")).alias("right_id"))
-    return Workload("replies", left, right, truth, SemanticPredicate("the second turn answers the first", SameFeature(_next_turn, _key)))
+    truth = u.join(a, same).select((F.col("u.conv_id") * stride + F.col("u.turn")).alias("left_id"), (F.col("a.conv_id") * stride + F.col("a.turn")).alias("right_id"))
+    return Workload("replies", left, right, truth, SemanticPredicate("the second turn answers the first", SameFeature(_next_turn, _key)), stride)
 
 
 def language(spark: SparkSession, d: str) -> Workload:

@@ -20,3 +20,17 @@ def test_wide_passages_lie_in_a_chunk(spark, tmp_path):
     w, pairs = _quoted(spark, tmp_path, docs, marks)
     want = {tuple(x) for x in w.truth.collect()}
     assert len(want) == 6 and {(x["doc_id"], x["item_id"]) for x in workloads.documents_of(pairs).collect()} == want
+
+
+def test_many_chunks_keep_their_document(spark, tmp_path):
+    docs = [(1, " ".join(f"w{i}" for i in range(285_000))), (2, "other words")]
+    w, pairs = _quoted(spark, tmp_path, docs, [(7, "w284800 w284801"), (8, "other")])
+    assert {tuple(x) for x in workloads.documents_of(pairs, w.stride).collect()} == {(1, 7), (2, 8)}
+
+
+def test_long_conversations_have_ids_of_their_own(spark, tmp_path):
+    rows = [(conv, turn, "assistant" if turn % 2 else "user", f"{conv} {turn}") for conv, n in ((1, 2400), (2, 600), (3, 4)) for turn in range(n)]
+    spark.createDataFrame(rows, "conv_id bigint, turn int, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    w = workloads.replies(spark, str(tmp_path))
+    ids = [x[0] for x in w.left.select("row_id").union(w.right.select("row_id")).collect()]
+    assert len(set(ids)) == len(ids) == len(rows) and w.truth.distinct().count() == len(rows) // 2
