@@ -294,6 +294,7 @@ for _w, _sql in _WITH.items():
 
 @query("toxic_adaptive", f"WITH f AS (SELECT doc_id, toxic, row_number() OVER (ORDER BY doc_id) AS k FROM (SELECT * FROM labels ORDER BY doc_id LIMIT 100)), truth AS (SELECT l.doc_id AS left_id, r.doc_id AS right_id FROM f l JOIN f r USING (toxic) WHERE l.k <= 50 AND r.k > 50){TRUTH}")
 def toxic_adaptive(spark, d):
+    """A sample of fixed size, by its SQL: 100 documents, 100 tokens of each; ``toxic_whole`` has all."""
     return _joined(spark, d, "toxic", "adaptive").pairs
 
 
@@ -518,12 +519,41 @@ def _good(a, b) -> bool:
 
 @query("semantic_filter_quality", "SELECT doc_id FROM (SELECT * FROM labels ORDER BY doc_id LIMIT 100) WHERE quality = 1")
 def semantic_filter_quality(spark, d):
+    """A sample of fixed size, by its SQL: 100 documents, 60 tokens of each; ``semantic_filter_quality_whole`` has all."""
     first = load(spark, d, "labels").orderBy("doc_id").limit(100)
     rows = first.join(load(spark, d, "documents").select("doc_id", "text"), "doc_id").select(c("doc_id").alias("row_id"), tokens.first_tokens(c("text"), 60).alias("text"), c("quality").cast("string").alias("key"))
     pred = SemanticPredicate("the text is well written", EachPair(_good))
     return joins.semantic_filter(rows, pred, TruthModel(pred), 20).pairs.select(c("left_id").alias("doc_id"))
 
 
+def _chunks_that(spark, d, label: str, text: str) -> DataFrame:
+    """(doc_id, n, met): of every labelled document the chunks of its whole text and how many of them meet the condition."""
+    docs = load(spark, d, "labels").select("doc_id", label).join(load(spark, d, "documents").select("doc_id", "text"), "doc_id")
+    parts = tokens.chunks(docs, workloads.CHUNK, 0, "doc_id")
+    stride = workloads.stride_of(parts, "chunk")
+    parts = parts.join(docs.select("doc_id", c(label).cast("string").alias("key")), "doc_id")
+    rows = parts.select((c("doc_id") * stride + c("chunk")).alias("row_id"), "text", "key")
+    pred = SemanticPredicate(text, EachPair(_good))
+    found = joins.semantic_filter(rows, pred, TruthModel(pred, ModelProfile(context_tokens=8192)), 12).pairs
+    met = found.groupBy(workloads.document_of(c("left_id"), stride).alias("doc_id")).agg(F.count("*").alias("met"))
+    n = rows.groupBy(workloads.document_of(c("row_id"), stride).alias("doc_id")).agg(F.count("*").alias("n"))
+    return n.join(met, "doc_id", "left").select("doc_id", "n", F.coalesce("met", F.lit(0)).alias("met"))
+
+
+@query("semantic_filter_quality_whole", "SELECT doc_id FROM labels JOIN documents USING (doc_id) WHERE quality = 1")
+def semantic_filter_quality_whole(spark, d):
+    """All labelled documents; one is well written if all of its text is."""
+    return _chunks_that(spark, d, "quality", "the text is well written").where("met = n").select("doc_id")
+
+
+@query("toxic_whole", "WITH f AS (SELECT doc_id, toxic FROM labels JOIN documents USING (doc_id)) SELECT l.doc_id AS left_id, r.doc_id AS right_id FROM f l JOIN f r USING (toxic) WHERE l.doc_id % 2 = 0 AND r.doc_id % 2 = 1")
+def toxic_whole(spark, d):
+    """All labelled documents, even ids against odd ones: each is asked about once, and what is asked about both follows."""
+    f = Scratch(spark, "toxic").table(_chunks_that(spark, d, "toxic", "the text is toxic").select("doc_id", (c("met") > 0).alias("toxic")))
+    side = lambda k, name: f.where(c("doc_id") % 2 == k).select(c("doc_id").alias(name), "toxic")
+    return side(0, "left_id").join(side(1, "right_id"), "toxic").drop("toxic")
+
+
 @query("dedup_texts", "SELECT count(*) AS n_texts, count(DISTINCT text) AS n_distinct, count(*) - count(DISTINCT text) AS saved_calls FROM documents")
 def dedup_texts(spark, d):
     return load(spark, d, "documents").agg(F.count("*").alias("n_texts"), F.countDistinct("text").alias("n_distinct")).withColumn("saved_calls", c("n_texts") - c("n_distinct"))

@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -118,7 +118,7 @@ def offers_large(spark: SparkSession, d: str) -> Workload:
 CHUNK, OVERLAP = 400, 120  # tokens at least; both grow with the longest passage
 
 
-def _stride(parts: DataFrame, part: str) -> int:
+def stride_of(parts: DataFrame, part: str) -> int:
     """Above every part number, so that no two ids meet; 1000 where that is enough."""
     return max(Workload.stride, (parts.agg(F.max(part)).first()[0] or 0) + 1)
 
@@ -134,14 +134,18 @@ def quotes(spark: SparkSession, d: str) -> Workload:
     widest = marks.agg(F.max(count_column(F.col("text")))).first()[0] or 0
     overlap = max(OVERLAP, widest)  # a passage that begins with a space also takes the end of the token before
     parts = chunks(docs, CHUNK - OVERLAP + overlap, overlap)
-    stride = _stride(parts, "chunk")
+    stride = stride_of(parts, "chunk")
     parts = parts.select((F.col("row_id") * stride + F.col("chunk")).alias("row_id"), "text", F.lit(None).cast("string").alias("key"))
     truth = docs.alias("d").join(F.broadcast(marks.alias("m")), F.contains(F.col("d.text"), F.col("m.text"))).select(F.col("d.row_id").alias("left_id"), F.col("m.row_id").alias("right_id"))
     return Workload("quotes", parts, marks, truth, SemanticPredicate("the document quotes the passage", EachPair(_quotes)), stride)
 
 
+def document_of(row_id: Column, stride: int) -> Column:
+    return F.call_function("div", row_id - F.pmod(row_id, F.lit(stride)), F.lit(stride))
+
+
 def documents_of(pairs: DataFrame, stride: int = Workload.stride) -> DataFrame:
-    return pairs.select(F.expr(f"(left_id - pmod(left_id, {stride}L)) div {stride}L").alias("doc_id"), F.col("right_id").alias("item_id")).distinct()
+    return pairs.select(document_of(F.col("left_id"), stride).alias("doc_id"), F.col("right_id").alias("item_id")).distinct()
 
 
 def _next_turn(text, key):
@@ -152,7 +156,7 @@ def _next_turn(text, key):
 def replies(spark: SparkSession, d: str) -> Workload:
     """User turns against assistant turns: the second answers the first."""
     c = load(spark, d, "conversations")
-    stride = _stride(c, "turn")
+    stride = stride_of(c, "turn")
     row = [(F.col("conv_id") * stride + F.col("turn")).alias("row_id"), "text", F.concat_ws(":", "conv_id", "turn").alias("key")]
     left, right = c.where("role = 'user'").select(*row), c.where("role = 'assistant'").select(*row)
     u, a = c.where("role = 'user'").alias("u"), c.where("role = 'assistant'").alias("a")

@@ -1,8 +1,10 @@
 """Workloads keep all true pairs, whatever the tables' sizes."""
 
+import duckdb
+import pytest
 from pyspark.sql import functions as F
 
-from semjoin import workloads
+from semjoin import queries, workloads
 
 
 def _quoted(spark, path, docs, marks):
@@ -34,3 +36,16 @@ def test_long_conversations_have_ids_of_their_own(spark, tmp_path):
     w = workloads.replies(spark, str(tmp_path))
     ids = [x[0] for x in w.left.select("row_id").union(w.right.select("row_id")).collect()]
     assert len(set(ids)) == len(ids) == len(rows) and w.truth.distinct().count() == len(rows) // 2
+
+
+@pytest.mark.parametrize("name", ["semantic_filter_quality_whole", "toxic_whole"])
+def test_all_labelled_documents_are_asked_about(spark, tmp_path, name):
+    """More than 100 labels, and texts of several chunks."""
+    docs = [(i, " ".join(["word"] * (5 if i % 7 else 1300))) for i in range(260)]
+    spark.createDataFrame(docs, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, i % 3 % 2, int(i % 5 == 0)) for i in range(0, 260, 1) if i % 11], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    con = duckdb.connect()
+    for t in ("documents", "labels"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{tmp_path}/{t}.parquet/*.parquet'")
+    want = sorted(con.execute(queries.SQL[name]).fetchall())
+    assert len(want) > 60 and sorted(map(tuple, queries.QUERIES[name](spark, str(tmp_path)).collect())) == want
