@@ -24,7 +24,7 @@ from .words import slices
 BASE_KINDS = ("email", "ip", "card", "phone")
 MORE_KINDS = ("iban", "short_card", "national_id")
 LEAST = 0.5
-NEAR = 40  # characters of context before a span
+NEAR = 40  # characters of context on either side of a span
 
 # Patterns of the base kinds.
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -79,8 +79,20 @@ def _groups(m: str) -> bool:
     return all(len(p.lstrip("0")) < 4 and int(p.lstrip("0") or "0") <= 255 for p in m.split("."))
 
 
-def _near(text: str, start: int, words: re.Pattern) -> bool:
-    return words.search(text, max(0, start - NEAR), start) is not None
+def _near(text: str, start: int, end: int, words: re.Pattern) -> bool:
+    return words.search(text, max(0, start - NEAR), start) is not None or words.search(text, end, end + NEAR) is not None
+
+
+def ibans(text: str) -> Iterator[tuple[int, int]]:
+    """Of each match the longest part up to a space that mod-97 confirms: a word behind may have been taken for a group."""
+    m = IBAN.search(text)
+    while m:
+        end = m.end()
+        while end > m.start() and not (IBAN.fullmatch(text, m.start(), end) and mod97(text[m.start() : end].replace(" ", ""))):
+            end = text.rfind(" ", m.start(), end)
+        if end > m.start():
+            yield m.start(), end
+        m = IBAN.search(text, max(end, m.start() + 1))
 
 
 def find(text: str) -> list[tuple[str, int, int, float]]:
@@ -96,17 +108,15 @@ def find(text: str) -> list[tuple[str, int, int, float]]:
         d = m[0] if m[0].isdigit() else digits_of(m[0])
         if 16 <= len(d) <= 19:
             if luhn(d):
-                out.append(("card", m.start(), m.end(), min(1.0, 0.8 + 0.2 * _near(text, m.start(), CARD_WORDS))))
+                out.append(("card", m.start(), m.end(), min(1.0, 0.8 + 0.2 * _near(text, m.start(), m.end(), CARD_WORDS))))
         elif 13 <= len(d) <= 15 and luhn(d):
-            short.append((m.start(), m.end(), 0.3 + 0.4 * _near(text, m.start(), CARD_WORDS)))
+            short.append((m.start(), m.end(), 0.3 + 0.4 * _near(text, m.start(), m.end(), CARD_WORDS)))
     if "+" in text:
         out += [("phone", m.start(), m.end(), 0.9) for m in PHONE.finditer(text) if 8 <= len(digits_of(m[0])) <= 15]
-    for m in IBAN.finditer(text):
-        if mod97(m[0].replace(" ", "")):
-            out.append(("iban", m.start(), m.end(), min(1.0, 0.8 + 0.2 * _near(text, m.start(), BANK_WORDS))))
+    out += [("iban", a, b, min(1.0, 0.8 + 0.2 * _near(text, a, b, BANK_WORDS))) for a, b in ibans(text)]
     out += [("short_card", a, b, s) for a, b, s in short if s >= LEAST]
     for m in NATIONAL_ID.finditer(text):
-        if (s := 0.2 + 0.5 * _near(text, m.start(), ID_WORDS)) >= LEAST:
+        if (s := 0.2 + 0.5 * _near(text, m.start(), m.end(), ID_WORDS)) >= LEAST:
             out.append(("national_id", m.start(), m.end(), s))
     return out
 
