@@ -97,14 +97,15 @@ def _windows(common: np.ndarray, rank: np.ndarray, bits: int):
             for rows, col in slices(batch):
                 sets = shingle_sets(col, WORDS)
                 ids = np.asarray(rows.column(0).fill_null(-1)).astype(np.int64)
+                nameless = np.asarray(rows.column(0).is_null())
                 flat = np.concatenate([*sets, np.zeros(0, _U)])
                 place = np.minimum(np.searchsorted(common, flat), max(0, len(common) - 1))
                 hot = common[place] == flat if len(common) else np.zeros(len(flat), bool)
                 ends = np.cumsum([len(s) for s in sets])
                 tokens, docs, seen = [], [], set()
                 for i, s in enumerate(sets):
-                    if not len(s) or (key := _sets_hash(s)) in seen:
-                        continue  # its class is met here already
+                    if nameless[i] or not len(s) or (key := _sets_hash(s)) in seen:
+                        continue  # without an id, or its class is met here already
                     seen.add(key)
                     p = window_size(len(s))
                     mine = hot[ends[i] - len(s) : ends[i]]
