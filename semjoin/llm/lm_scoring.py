@@ -1,33 +1,39 @@
-"""Language-model scoring with a backoff model whose n-grams are joined with, not broadcast.
+"""Language-model scoring with a weighted backoff automaton, of which every block of texts gets its part.
 
-Tokens are lower-cased (A-Z) words and one end per document; the token before a document's
-first is an end.  Counts cover all training documents.
+Tokens are lower-cased (A-Z) words and one end per document.  Counts cover all training
+documents, and every n-gram counts, however rare: nothing is pruned at any size.
 
-The model is a trigram model with absolute discounting and backoff:
-  P(t) = (c(t) - D) / N, all unseen tokens together D V / N (one class);
-  P(t | v) = (c(v t) - D) / c(v) for retained v t, else bow(v) P(t); trigrams alike.
-N-grams of two or three tokens are retained if they occur ``LEAST`` times, at any size of the
-corpus, and backoff weights make every context's distribution sum to one.
+  P(t)       = (c(t) + 0.1) / (N + 0.1 (V + 1)), all unseen tokens together one class
+  P(t | v)   = (c(v t) + K P(t)) / (c(v) + K)
+  P(t | u v) = (c(u v t) + K P(t | v)) / (c(u v) + K),    K = ``STRENGTH``
 
-A document's log score is a sum over its n-grams, each of which has one value:
-  a token t: log P(t) + log bow(t); a pair (v, t): log P(t | v) - log bow(v) P(t) + log bow(v t);
-  a triple (u, v, t): log P(t | u v) - log bow(u v) P(t | v); what is not retained has 0.
-So positions are joined with values by the hash range of their pair, which holds a pair and all
-triples that continue it.  Tokens of at least ``HOT`` of all (1 / HOT at most) are broadcast, as
-codes of three bytes and with their values; all others travel as hashes and are joined with.
+c of a context is how often it is followed by a token; a document's first token follows a start
+mark.  As an automaton: contexts that were seen are states; a seen n-gram is an arc with the weight
+log10 P; any other token takes the failure arc to the shorter context, at log10 K / (c + K).  Every
+state's probabilities, the unseen class included, add up to one.
 
-``Automaton`` is the same model in one memory, with failure arcs: what small tables can be
-compared with.
+The whole automaton may have more arcs than any memory holds, but a block of texts (``BLOCK_BYTES``)
+only ever takes arcs of its own n-grams.  So
+
+1. texts are written once as blocks, a row each;
+2. every block sends its distinct n-grams, as sorted 64-bit keys by hash range, with their training
+   counts in the block; a range sums them up and answers each block, in the order of its keys, with
+   the counts that differ from its own (an n-gram that occurs in one block only needs no answer);
+3. the answers meet their block again, which builds its part of the automaton and walks its documents
+   left to right, carrying the state; long documents are walked in segments that start two tokens early.
+
+What is gathered grows with the input and lies in shuffled tables; nothing is broadcast and the driver
+sees N and V.  A task of step 2 holds ``PART_KEYS`` keys, one of step 3 one block (or one longer text).
 
 Defined cases: null text is an empty text (the end alone); without training tokens every token
-has base probability 1 and score 1; rows that repeat an id are scored apart; rows with a null id
+has base probability 1 and score 0; rows that repeat an id are scored apart; rows with a null id
 train; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -37,20 +43,19 @@ from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
 from .scratch import Scratch
-from .words import mix, slices, split, tidy, word_hashes
+from .words import mix, slices, split, strings, tidy, word_hashes
 
-SLICE = 6 << 20
-HOT = 5e-7
-CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
-LEAST = 2  # occurrences of a retained n-gram
-DISCOUNT = 0.5
+BLOCK_BYTES = 4 << 20
+PART_KEYS = 1_000_000
+KEYS_PER_BYTE = 0.25  # of distinct n-grams to bytes of text, about; only the number of parts depends on it
+STRENGTH = 4.0
 SEGMENT = 256
-PART_ROWS = 2_000_000
+CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _U = np.uint64
 END = _U(0x6C62272E07BB0142)
-NONE = _U(0)  # behind an end
-RARE = (1 << 24) - 1  # the code of a token that is not hot
+START = _U(0x9AE16A3B2F90404F)
 _C = _U(0x9FB21C651E98DF25)
+TOKEN, PAIR, TRIPLE = _U(1), _U(2), _U(3)  # orders, in the lowest two bits of a key; 0 is the start mark
 
 
 def held_out(id_column: Column, modulus: int = 10, remainder: int = 0) -> Column:
@@ -71,438 +76,272 @@ def tokens(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return out, at
 
 
-def join2(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return mix(a * _C + b)
-
-
-def before(t: np.ndarray, at: np.ndarray, by: int) -> np.ndarray:
-    """The token ``by`` places earlier, an end before a document's first."""
-    out = np.empty_like(t)
-    out[by:] = t[:-by] if by < len(t) else t[:0]
-    for k in range(by):
-        first = at[:-1] + k
-        first = first[first < at[1:]]
-        out[first] = END
-    return out
-
-
-class Lookup:
-    """Positions of 64-bit keys in an open-addressed table."""
-
-    def __init__(self, keys: np.ndarray):
-        size = 1 << max(4, int(2 * len(keys)).bit_length())
-        self.mask, self.keys, self.slot = size - 1, keys, np.full(size, -1, np.int32)
-        self.probes, left, spot = 0, np.arange(len(keys), dtype=np.int32), (mix(keys) & _U(size - 1)).astype(np.int64)
-        while len(left):
-            free = self.slot[spot] < 0
-            self.slot[spot[free]] = left[free]
-            stay = self.slot[spot] != left
-            left, spot = left[stay], (spot[stay] + 1) & self.mask
-            self.probes += 1
-
-    def find(self, keys: np.ndarray) -> np.ndarray:
-        out = np.full(len(keys), -1, np.int32)
-        if not len(self.keys) or not len(keys):
-            return out
-        todo, spot = np.arange(len(keys)), (mix(keys) & _U(self.mask)).astype(np.int64)
-        for _ in range(self.probes):
-            got = self.slot[spot]
-            some = got >= 0
-            todo, spot, got = todo[some], spot[some], got[some]
-            same = self.keys[got] == keys[todo]
-            out[todo[same]] = got[same]
-            todo, spot = todo[~same], (spot[~same] + 1) & self.mask
-            if not len(todo):
-                break
-        return out
-
-
-def _unigrams(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for _, col in slices(batch, limit=SLICE):
-            h, c = np.unique(tokens(col)[0], return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c)], ["h", "c"])
-
-
-def _by_range(h: np.ndarray, bits: int) -> tuple[np.ndarray, list[int], np.ndarray]:
-    """Order by hash range, the cuts between ranges and the range of each part."""
-    part = (h >> _U(64 - bits)).astype(np.int64)
-    order = np.argsort(part, kind="stable")
-    part = part[order]
-    cuts = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]).tolist() + [len(part)]
-    return order, cuts, part[cuts[:-1]]
-
-
-def _codes(ids: np.ndarray, t: np.ndarray) -> bytes:
-    """Tokens as three bytes where they are hot, else as hashes behind those."""
-    rare = ids < 0
-    x = np.where(rare, RARE, ids).astype(np.int32)
-    return np.int64(rare.sum()).tobytes() + _planes(x)[: 3 * len(x)] + t[rare].tobytes()
-
-
-def _planes(x: np.ndarray) -> bytes:
-    """All lowest bytes, then all second ones and so on: high ones are mostly equal, which compression takes away."""
-    return np.ascontiguousarray(x.view(np.uint8).reshape(len(x), x.itemsize).T).tobytes()
-
-
-def _decoded(raw: memoryview, at: int, n: int, hot: np.ndarray) -> tuple[np.ndarray, int]:
-    k = int(np.frombuffer(raw, np.int64, 1, at)[0])
-    low, mid, high = np.frombuffer(raw, np.uint8, 3 * n, at + 8).reshape(3, n).astype(np.int32)
-    x = low | mid << 8 | high << 16
-    out = np.empty(n, _U)
-    rare = x == RARE
-    out[~rare] = hot[x[~rare]]
-    # The copy is what an offset that is no multiple of eight asks for.
-    out[rare] = np.frombuffer(raw[at + 8 + 3 * n : at + 8 + 3 * n + 8 * k].tobytes(), _U, k)
-    return out, at + 8 + 3 * n + 8 * k
-
-
-def _triples(t: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The token before each position and the one behind it, ``NONE`` behind a document's end."""
-    behind = np.full(len(t), NONE, _U)
-    behind[:-1] = t[1:]
-    behind[at[1:] - 1] = NONE
-    return before(t, at, 1), behind
-
-
-def _pieces(u: np.ndarray, v: np.ndarray, t: np.ndarray, more: np.ndarray, known: Lookup, bits: int, in_order: bool = True) -> tuple[np.ndarray, list[bytes]]:
-    """By the range of the pair (u, v): number of triples, ``more`` (64-bit integers, differences if ``in_order``) and the codes of all three."""
-    order, cuts, part = _by_range(join2(u, v), bits)
-    if not in_order:  # equal first tokens together, which compression takes away
-        order = np.lexsort((u, join2(u, v) >> _U(64 - bits)))
-    cols = [x[order] for x in (u, v, t)]
-    ids, more = [known.find(x) for x in cols], more[order]
-    return part, [np.int64(b - a).tobytes() + _planes(np.diff(more[a:b], prepend=0) if in_order else more[a:b]) + b"".join(_codes(i[a:b], x[a:b]) for i, x in zip(ids, cols)) for a, b in zip(cuts, cuts[1:])]
-
-
-def _opened(x: pa.Scalar, hot: np.ndarray, in_order: bool = True) -> tuple[np.ndarray, ...]:
-    raw = memoryview(x.as_buffer())
-    n = int(np.frombuffer(raw, np.int64, 1)[0])
-    more = np.ascontiguousarray(np.frombuffer(raw, np.uint8, 8 * n, 8).reshape(8, n).T).view(np.int64).ravel()
-    more, at, out = np.cumsum(more) if in_order else more, 8 + 8 * n, []
-    for _ in range(3):
-        got, at = _decoded(raw, at, n, hot)
-        out.append(got)
-    return (more, *out)
-
+def _key(h: np.ndarray, order: np.uint64) -> np.ndarray:
+    return (h & ~_U(3)) | order
 
-def _count(hot, bits: int):
-    """Counts of a slice's distinct triples, those with an end behind their pair included."""
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = Lookup(hot.value[0])
-        for batch in batches:
-            for _, col in slices(batch, limit=SLICE):
-                t, at = tokens(col)
-                u, w = _triples(t, at)
-                _, first, c = np.unique(join2(join2(u, t), w), return_index=True, return_counts=True)
-                part, data = _pieces(u[first], t[first], w[first], c.astype(np.int64), known, bits, False)
-                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(data, pa.binary())], ["part", "data"])
-
-    return run
-
-
-GRAMS = "p bigint, u bigint, v bigint, cu bigint, cv bigint, c2 bigint, g bigint, s bigint, c3 bigint"
-
-
-def _retained(hot):
-    """Pairs (g null) and triples that occur often enough; each pair is followed by one triple, so triples count it."""
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hot_h, hot_c = hot.value[:2]
-        got = [_opened(x, hot_h, False) for batch in batches for x in batch.column(1)]
-        if not got:
-            return
-        c, u, v, t = (np.concatenate(x) for x in zip(*got))
-        del got
-        tidy()
-        _, first, same = np.unique(join2(join2(u, v), t), return_index=True, return_inverse=True)
-        c3 = np.bincount(same, c, len(first)).astype(np.int64)
-        u, v, t = u[first], v[first], t[first]
-        p, first, same = np.unique(join2(u, v), return_index=True, return_inverse=True)
-        c2 = np.bincount(same, c3, len(p)).astype(np.int64)
-        known = Lookup(hot_h)
-        s = lambda x: pa.array(x.view(np.int64))
-
-        def counted(x):
-            i = known.find(x)
-            return pa.array(hot_c[i] if len(hot_c) else np.zeros(len(x), np.int64), pa.int64(), mask=i < 0)
-
-        k = np.flatnonzero(c2 >= LEAST)
-        a, b = u[first[k]], v[first[k]]
-        null = pa.nulls(len(k), pa.int64())
-        names = [x.split()[0] for x in GRAMS.split(", ")]
-        yield pa.RecordBatch.from_arrays([s(p[k]), s(a), s(b), counted(a), counted(b), pa.array(c2[k]), null, null, null], names)
-        k = np.flatnonzero((c3 >= LEAST) & (t != NONE))
-        null = pa.nulls(len(k), pa.int64())
-        pair = p[same[k]]
-        yield pa.RecordBatch.from_arrays([s(pair), null, null, null, null, pa.array(c2[same[k]]), s(join2(pair, t[k])), s(join2(v[k], t[k])), pa.array(c3[k])], names)
-        tidy()
-
-    return run
+@dataclass
+class Grams:
+    """The n-grams of a block: sorted distinct keys and, per token, the index of what ends there (-1: no triple)."""
+
+    at: np.ndarray  # offsets of documents
+    keys: np.ndarray
+    start: int
+    token: np.ndarray
+    pair: np.ndarray
+    triple: np.ndarray
+    own: np.ndarray  # training counts in the block
+
+    @classmethod
+    def of(cls, col: pa.Array, train: np.ndarray) -> Grams:
+        t, at = tokens(col)
+        first = at[:-1]
+        before = np.empty_like(t)
+        before[1:] = t[:-1]
+        before[first] = START
+        two = mix(before * _C + t)
+        inner = np.ones(len(t), bool)
+        inner[first] = False
+        inner = np.flatnonzero(inner)
+        three = mix(two[inner - 1] * _C + t[inner])
+        every = np.concatenate([_key(t, TOKEN), _key(two, PAIR), _key(three, TRIPLE), [START & ~_U(3)]])
+        keys, index = np.unique(every, return_inverse=True)
+        index = index.astype(np.int32)
+        n = len(t)
+        trained = np.repeat(train, np.diff(at)).astype(np.float64)
+        weight = np.concatenate([trained, trained, trained[inner], [float(train.sum())]])
+        triple = np.full(n, -1, np.int32)
+        triple[inner] = index[2 * n : -1]
+        return cls(at, keys, int(index[-1]), index[:n], index[n : 2 * n], triple, np.bincount(index, weight, len(keys)).astype(np.int64))
 
 
 @dataclass
 class Automaton:
-    """Dense tokens 0..H-1 (hot ones), states 0 (no context), then one-token and two-token contexts."""
-
-    tokens: int = 0  # N
-    types: int = 0  # V
-    hot: np.ndarray = field(default_factory=lambda: np.zeros(0, _U))
-    hot_count: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
-    after_hot: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int32))  # state after a token, from state 0
-    start: int = 0
-    bow: np.ndarray = field(default_factory=lambda: np.zeros(1))  # log10 weights of failure arcs
-    fail: np.ndarray = field(default_factory=lambda: np.zeros(1, np.int32))
-    arcs: np.ndarray = field(default_factory=lambda: np.zeros(0, _U))  # state * H + token
-    weight: np.ndarray = field(default_factory=lambda: np.zeros(0))
-    target: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int32))
-
-    def base(self, c):
-        return np.log10((np.asarray(c) + 0.1) / (self.tokens + 0.1 * (self.types + 1)))
-
-    def unigram(self, c):
-        """log10 P of tokens counted c times; 0 stands for the class of unseen tokens."""
-        c = np.asarray(c, np.float64)
-        if not self.tokens:
-            return np.zeros(c.shape)
-        return np.log10(np.where(c > 0, c - DISCOUNT, DISCOUNT * self.types) / self.tokens)
-
-    def prepare(self) -> None:
-        self._hot, self._arcs = Lookup(self.hot), Lookup(self.arcs)
-
-    def walk(self, t: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Per token: dense id or -1, and log10 probability without the last factor where the id is -1."""
-        ids = self._hot.find(t)
-        own = np.where(ids >= 0, self.unigram(self.hot_count)[ids] if len(self.hot) else 0.0, 0.0)
-        out = np.zeros(len(t))
-        size = np.diff(at)
+    """The part of the backoff automaton that a block's n-grams can reach; state 0 has no context."""
+
+    grams: Grams
+    begin: int  # the state at a document's start
+    fail: np.ndarray
+    bow: np.ndarray  # log10 weights of failure arcs
+    source: np.ndarray  # by n-gram: the state that its arc leaves (-1: no arc) ...
+    weight: np.ndarray  # ... its log10 weight (of a token: that in state 0) ...
+    target: np.ndarray  # ... and the state it leads to
+
+    @classmethod
+    def build(cls, g: Grams, count: np.ndarray, total: int, types: int, strength: float = STRENGTH) -> Automaton:
+        size, n = len(g.keys), len(g.token)
+        end = np.zeros(n, bool)
+        end[g.at[1:] - 1] = True
+        where = lambda index: (lambda out: (out.__setitem__(index[index >= 0], np.flatnonzero(index >= 0)), out)[1])(np.full(size, -1, np.int64))
+        p2_at, p3_at = where(g.pair), where(g.triple)  # one place of each pair and triple
+        pairs, triples = np.flatnonzero(p2_at >= 0), np.flatnonzero(p3_at >= 0)
+        p2_at, p3_at = p2_at[pairs], p3_at[triples]
+        head = np.zeros(n, bool)
+        head[g.at[:-1]] = True
+        context = np.where(head, g.start, g.token[np.maximum(np.arange(n) - 1, 0)])  # of pairs, by place
+        p = np.zeros(size)
+        p[g.token] = (count[g.token] + 0.1) / (total + 0.1 * (types + 1))
+        p[pairs] = (count[pairs] + strength * p[g.token[p2_at]]) / (count[context[p2_at]] + strength)
+        p[triples] = (count[triples] + strength * p[g.pair[p3_at]]) / (count[g.pair[p3_at - 1]] + strength)
+        # States: seen tokens and pairs that a token can follow, and the start.
+        open_ = np.zeros(size, bool)
+        open_[g.token[~end]] = open_[g.pair[~end]] = open_[g.start] = True
+        states = np.flatnonzero(open_ & (count > 0))
+        number = np.zeros(size, np.int32)
+        number[states] = np.arange(1, len(states) + 1)
+        fail = np.zeros(len(states) + 1, np.int32)
+        fail[number[pairs]] = number[g.token[p2_at]]
+        fail[0] = 0
+        bow = np.zeros(len(states) + 1)
+        bow[1:] = np.log10(strength / (count[states] + strength))
+        source = np.full(size, -1, np.int32)
+        seen = count[pairs] > 0
+        source[pairs[seen]] = number[context[p2_at[seen]]]
+        seen = count[triples] > 0
+        source[triples[seen]] = number[g.pair[p3_at[seen] - 1]]
+        target = number.copy()  # of a token and a pair: its own state
+        target[pairs] = np.where(number[pairs] > 0, number[pairs], number[g.token[p2_at]])
+        target[triples] = target[g.pair[p3_at]]
+        with np.errstate(divide="ignore"):
+            return cls(g, int(number[g.start]), fail, bow, source, np.log10(p), target)
+
+    def walk(self) -> np.ndarray:
+        """log10 probability of every token: all segments take a step at a time, each carrying its state."""
+        g = self.grams
+        out = np.zeros(len(g.token))
+        size = np.diff(g.at)
         k = -(-size // SEGMENT)
-        seg = np.repeat(at[:-1], k) + (np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)) * SEGMENT
-        end = np.minimum(seg + SEGMENT, np.repeat(at[1:], k))
-        back = np.minimum(2, seg - np.repeat(at[:-1], k))  # tokens walked again to find the state
-        order = np.argsort(-(end - seg + back), kind="stable")
-        pos, end, seg = (seg - back)[order], end[order], seg[order]
-        state = np.where(back[order] == 0, self.start, 0).astype(np.int64)
-        # A segment that starts at a document's second token also knows the end before it.
-        state[back[order] == 1] = self.start
+        begin = np.repeat(g.at[:-1], k)
+        seg = begin + (np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)) * SEGMENT
+        stop = np.minimum(seg + SEGMENT, np.repeat(g.at[1:], k))
+        back = np.minimum(2, seg - begin)  # tokens walked again to find the state
+        order = np.argsort(-(stop - seg + back), kind="stable")
+        pos, seg, stop = (seg - back)[order], seg[order], stop[order]
+        state = np.where(pos == begin[order], self.begin, 0).astype(np.int32)
         n = len(pos)
-        while n:
-            while n and pos[n - 1] >= end[n - 1]:
-                n -= 1
-            if not n:
-                break
-            p, s = pos[:n], state[:n]
-            w = ids[p].astype(np.int64)
-            score, new = np.zeros(n), np.zeros(n, np.int64)
-            open_ = np.flatnonzero(s > 0)
-            low = np.flatnonzero(s == 0)
-            while len(open_):
-                so, wo = s[open_], w[open_]
-                arc = np.where(wo >= 0, self._arcs.find((so * max(1, len(self.hot)) + wo).astype(_U)), -1)
-                hit = arc >= 0
-                score[open_[hit]] += self.weight[arc[hit]]
-                new[open_[hit]] = self.target[arc[hit]]
-                miss = open_[~hit]
-                score[miss] += self.bow[s[miss]]
-                s[miss] = self.fail[s[miss]]
-                low = np.concatenate([low, miss[s[miss] == 0]])
-                open_ = miss[s[miss] > 0]
-            score[low] += own[p[low]]
-            if len(self.hot):
-                new[low] = np.where(w[low] >= 0, self.after_hot[w[low]], 0)
+        longest = stop - pos
+        for step in range(int(longest[0]) if n else 0):
+            n = int(np.searchsorted(-longest, -step, "left"))  # those with more than ``step`` tokens
+            p, s = pos[:n] + step, state[:n]
+            token, pair, triple = g.token[p], g.pair[p], g.triple[p]
+            three = (triple >= 0) & (self.source[triple] == s) & (s > 0)
+            deep = ~three & (self.fail[s] > 0)
+            score = np.where(deep, self.bow[s], 0.0)
+            s = np.where(deep, self.fail[s], s)
+            two = ~three & (self.source[pair] == s) & (s > 0)
+            none = ~three & ~two
+            score += np.where(none, self.bow[s], 0.0)
+            arc = np.where(three, triple, np.where(two, pair, token))
+            score += self.weight[arc]
+            state[:n] = self.target[arc]
             real = p >= seg[:n]
             out[p[real]] = score[real]
-            state[:n] = new
-            pos[:n] += 1
-        return ids, out
-
-
-def build(n: int, v: int, hot_h: np.ndarray, hot_c: np.ndarray, grams) -> Automaton:
-    """grams: pandas table of retained n-grams (order, h, context, token, suffix, c)."""
-    a = Automaton(tokens=n, types=v, hot=hot_h, hot_count=hot_c)
-    H = max(1, len(hot_h))
-    dense = Lookup(hot_h)
-    u = lambda x: x.to_numpy(np.int64).view(_U)
-    two, three = grams[grams["order"] == 2], grams[grams["order"] == 3]
-    p1 = 10.0 ** a.unigram(hot_c)
-    # One-token contexts.
-    v2, t2, c2 = dense.find(u(two["context"])), dense.find(u(two["token"])), two["c"].to_numpy(np.int64)
-    ctx1, s2 = np.unique(v2, return_inverse=True)
-    state1 = np.zeros(len(hot_h), np.int32)
-    state1[ctx1] = np.arange(1, len(ctx1) + 1)
-    p2 = (c2 - DISCOUNT) / hot_c[v2]
-    m = len(ctx1)
-    bow1 = _left(s2, p2, p1[t2], m)
-    # Two-token contexts.
-    pairs = Lookup(u(two["h"]))
-    ctx3, suffix3 = pairs.find(u(three["context"])), pairs.find(u(three["suffix"]))
-    t3, c3 = dense.find(u(three["token"])), three["c"].to_numpy(np.int64)
-    ctx2, s3 = np.unique(ctx3, return_inverse=True)
-    state2 = np.zeros(len(two), np.int32)
-    state2[ctx2] = np.arange(m + 1, m + 1 + len(ctx2))
-    p3 = (c3 - DISCOUNT) / c2[ctx3] if len(c3) else np.zeros(0)
-    bow2 = _left(s3, p3, p2[suffix3] if len(c3) else p3, len(ctx2))
-    a.bow = np.log10(np.concatenate([[1.0], bow1, bow2]))
-    a.fail = np.concatenate([[0], np.zeros(m, np.int32), state1[t2[ctx2]] if len(ctx2) else np.zeros(0)]).astype(np.int32)
-    a.after_hot = state1
-    after2 = np.where(state2 > 0, state2, state1[t2]) if len(two) else np.zeros(0, np.int32)
-    a.arcs = np.concatenate([(s2 + 1) * H + t2, (s3 + m + 1) * H + t3]).astype(_U)
-    a.weight = np.log10(np.concatenate([p2, p3]))
-    a.target = np.concatenate([after2, after2[suffix3] if len(c3) else np.zeros(0)]).astype(np.int32)
-    end = dense.find(np.array([END]))[0] if len(hot_h) else -1
-    a.start = int(state1[end]) if end >= 0 else 0
-    return a
-
-
-def _left(state: np.ndarray, p: np.ndarray, lower: np.ndarray, n: int) -> np.ndarray:
-    """Backoff weights: what the arcs leave over what the shorter context leaves."""
-    mass = 1 - np.bincount(state, p, minlength=n)
-    rest = 1 - np.bincount(state, lower, minlength=n)
-    return np.maximum(mass, 1e-12) / np.maximum(rest, 1e-12)
-
-
-def _send(model, bits: int):
-    """Rows of documents with what hot tokens give, and pieces of all that is joined with, by hash range."""
+        return out
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hot_h, hot_c, hot_b, n_all, types = model.value
-        a = Automaton(tokens=n_all, types=types)
-        known = Lookup(hot_h)
-        base, value = a.base(hot_c), a.unigram(hot_c) + hot_b
-        key = TaskContext.get().partitionId() << 32
-        for batch in batches:
-            for rows, col in slices(batch, limit=SLICE):
-                t, at = tokens(col)
-                ids = known.find(t)
-                hot = np.flatnonzero(ids >= 0)
-                n = len(col)
-                doc = np.repeat(np.arange(n), np.diff(at))
-                sums = lambda w: pa.array(np.bincount(doc[hot], w[ids[hot]] if len(hot) else None, n).astype(np.float64))
-                keys = key + np.arange(n)
-                key += n
-                part = (np.arange(n) % (1 << bits)).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array(np.full(n, ROW, np.int32)), pa.nulls(n, pa.binary()), pa.array(keys), rows.column(0), pa.array(np.diff(at)), pa.array(np.bincount(doc[hot], minlength=n)), sums(base), sums(value)], _NAMES)
-                rare = np.flatnonzero(ids < 0)
-                if len(rare):
-                    order, cuts, part = _by_range(t[rare], bits)
-                    i = rare[order]
-                    yield _piece(part, WORD, [t[i[x:y]].tobytes() + np.diff(keys[doc[i[x:y]]], prepend=0).tobytes() for x, y in zip(cuts, cuts[1:])], rows.column(0).type)
-                if n_all:
-                    u, w = _triples(t, at)
-                    yield _piece(*(lambda x: (x[0], TRIPLE, x[1]))(_pieces(u, t, w, keys[doc], known, bits)), rows.column(0).type)
 
-    return run
+def _codec() -> pa.Codec:
+    return pa.Codec("zstd", compression_level=1)
 
 
-ROW, WORD, WORD_VALUE, TRIPLE, PAIR_VALUE, TRIPLE_VALUE = range(6)
-_NAMES = ["part", "kind", "data", "key", "id", "n_tokens", "known", "base", "score"]
+def _squeezed(x: np.ndarray) -> bytes:
+    """Integers byte by byte, all lowest first: high ones are mostly equal, which compression takes away."""
+    planes = np.ascontiguousarray(x.view(np.uint8).reshape(len(x), x.itemsize).T)
+    return _codec().compress(planes.tobytes(), asbytes=True)
 
 
-def _piece(part: np.ndarray, kind: int, data: list[bytes], id_type: pa.DataType) -> pa.RecordBatch:
-    m = len(data)
-    i, d = pa.nulls(m, pa.int64()), pa.nulls(m, pa.float64())
-    return pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(np.full(m, kind, np.int32)), pa.array(data, pa.binary()), i, pa.nulls(m, id_type), i, i, d, d], _NAMES)
+def _restored(raw: bytes, n: int, kind) -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    planes = np.frombuffer(_codec().decompress(raw, n * size, asbytes=True), np.uint8).reshape(size, n)
+    return np.ascontiguousarray(planes.T).view(kind).ravel()
 
 
-def _pack(kind: int, bits: int, id_type: pa.DataType):
-    """Columns of eight bytes, one behind the other, in the ranges of the first."""
+def _blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Texts, training flags and ids of a slice as one row."""
+    number = TaskContext.get().partitionId() << 32
+    for batch in batches:
+        for rows, col in slices(batch, limit=BLOCK_BYTES):
+            n = len(col)
+            at = np.frombuffer(col.buffers()[1], np.int64)[col.offset : col.offset + n + 1]
+            raw = col.buffers()[2]
+            text = memoryview(raw)[at[0] : at[-1]] if raw is not None else b""
+            ids = pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), rows.column(0))
+            train = np.asarray(rows.column(2)).astype(np.uint8)
+            data = np.int64(at[-1] - at[0]).tobytes() + np.diff(at).tobytes() + train.tobytes() + _codec().compress(bytes(text), asbytes=True)
+            yield pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), ids, pa.array([int(at[-1] - at[0]) + n], pa.int64()), pa.array([data], pa.binary())], ["block", "ids", "bytes", "data"])
+            number += 1
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                cols = [np.asarray(x) for x in batch.columns]
-                order, cuts, part = _by_range(cols[0].view(_U), bits)
-                cols = [x[order] for x in cols]
-                yield _piece(part, kind, [b"".join(x[a:b].tobytes() for x in cols) for a, b in zip(cuts, cuts[1:])], id_type)
 
-    return run
+def _opened(n: int, raw: memoryview) -> Grams:
+    size = int(np.frombuffer(raw, np.int64, 1)[0])
+    length = np.frombuffer(raw[8 : 8 + 8 * n], np.int64)
+    train = np.frombuffer(raw[8 + 8 * n : 8 + 9 * n], np.uint8).astype(bool)
+    text = _codec().decompress(bytes(raw[8 + 9 * n :]), size) if size else pa.py_buffer(b"")
+    at = np.concatenate([[0], np.cumsum(length)]).astype(np.int64)
+    return Grams.of(strings(pa.Array.from_buffers(pa.large_string(), n, [None, pa.py_buffer(at), text])), train)
 
 
-def _of_pairs(model):
-    """(p, value without bow(u v)) of pairs; weights of hot contexts are here, others come along."""
+def _cuts(keys: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hash ranges that occur among sorted keys, and where each begins."""
+    part = (keys >> _U(64 - bits)).astype(np.int64)
+    cut = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
+    return part[cut], np.r_[cut, len(keys)]
+
+
+def _request(bits: int):
+    """A block's distinct n-grams with their counts in it, by hash range."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hot_h, _, hot_b, *_ = model.value
-        known = Lookup(hot_h)
         for batch in batches:
-            p, u, p2, p1 = (np.asarray(batch.column(i)) for i in range(4))
-            i = known.find(u.view(_U))
-            b = np.asarray(batch.column(4)).astype(np.float64).copy()
-            b[i >= 0] = hot_b[i[i >= 0]]
-            yield pa.RecordBatch.from_arrays([pa.array(p), pa.array(np.log10(p2) - b - np.log10(p1))], ["p", "d"])
+            for i in range(batch.num_rows):
+                g = _opened(len(batch.column(1)[i]), memoryview(batch.column(2)[i].as_buffer()))
+                part, cut = _cuts(g.keys, bits)
+                size = np.diff(cut)
+                keys, own = [], []
+                for a, b in zip(cut.tolist(), cut[1:].tolist()):
+                    keys.append(_squeezed(np.diff(g.keys[a:b], prepend=_U(0))))
+                    own.append(_squeezed(g.own[a:b]))
+                m = len(part)
+                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), pa.array(np.full(m, batch.column(0)[i].as_py())), pa.array(size), pa.array(keys, pa.binary()), pa.array(own, pa.binary())], ["part", "block", "n", "keys", "own"])
+            tidy()
 
     return run
 
 
-def _columns(data: list[pa.Scalar], *kinds) -> list[np.ndarray]:
-    out = [[np.zeros(0, k)] for k in kinds]
-    for x in data:
-        raw = x.as_buffer()
-        m = raw.size // (8 * len(kinds))
-        for j, k in enumerate(kinds):
-            out[j].append(np.frombuffer(raw, k, m, 8 * m * j))
-    return [np.concatenate(x) for x in out]
+def _answer(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """To each block, in the order of its keys: 0 where its own count is all, else the count; and N and V of the range."""
+    places, keys, own = [], [], []
+    for batch in batches:
+        part, block, n = (batch.column(i).to_pylist() for i in range(3))
+        for i in range(batch.num_rows):
+            places.append((part[i], block[i], n[i]))
+            keys.append(np.cumsum(_restored(batch.column(3)[i].as_buffer(), n[i], np.uint64)))
+            own.append(_restored(batch.column(4)[i].as_buffer(), n[i], np.int64))
+    if not places:
+        return
+    key, mine = np.concatenate(keys), np.concatenate(own)
+    del keys, own
+    distinct, index = np.unique(key, return_inverse=True)
+    del key
+    total = np.bincount(index, mine, len(distinct)).astype(np.int64)
+    word = ((distinct & _U(3)) == TOKEN) & (total > 0)
+    types, tokens_ = int(word.sum()), int(total[word].sum())
+    told = total[index]
+    told[told == mine] = 0
+    del index, mine
+    names = ["part", "block", "n", "data", "types", "tokens"]
+    yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int32()), pa.array([-1], pa.int64()), pa.array([0], pa.int64()), pa.array([b""], pa.binary()), pa.array([types]), pa.array([tokens_])], names)
+    at = 0
+    for lo in range(0, len(places), 500):
+        some = places[lo : lo + 500]
+        data = []
+        for _, _, n in some:
+            x = told[at : at + n]
+            at += n
+            large = x[x > 254]
+            data.append(np.int64(len(large)).tobytes() + large.tobytes() + _codec().compress(np.minimum(x, 255).astype(np.uint8).tobytes(), asbytes=True))
+        null = pa.nulls(len(some), pa.int64())
+        yield pa.RecordBatch.from_arrays([pa.array([p for p, _, _ in some], pa.int32()), pa.array([b for _, b, _ in some], pa.int64()), pa.array([n for _, _, n in some], pa.int64()), pa.array(data, pa.binary()), null, null], names)
+    tidy()
+
+
+def _heard(n: int, raw: memoryview) -> np.ndarray:
+    k = int(np.frombuffer(raw, np.int64, 1)[0])
+    out = np.frombuffer(_codec().decompress(bytes(raw[8 + 8 * k :]), n, asbytes=True), np.uint8).astype(np.int64)
+    out[out == 255] = np.frombuffer(raw[8 : 8 + 8 * k], np.int64)
+    return out
 
 
-def _sum(model, id_type: pa.DataType):
-    """Documents' rows as they are; of each document here the sums of what its rare tokens, pairs and triples give."""
+def _score(total: int, types: int, strength: float, id_type: pa.DataType):
+    """Rows by block, its answers in order of the ranges and then its texts; out come the documents."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hot_h, _, _, n, types = model.value
-        a = Automaton(tokens=n, types=types)
-        got: dict[int, list] = {k: [] for k in range(ROW, TRIPLE_VALUE + 1)}
+        told: list[np.ndarray] = []
         for batch in batches:
-            kind = np.asarray(batch.column(1))
-            rows = batch.filter(pa.array(kind == ROW))
-            if rows.num_rows:
-                yield rows.select(_NAMES[3:])
-            for k, x in zip(kind, batch.column(2)):
-                if k != ROW:
-                    got[k].append(x)
-
-        def summed(key, known, base, score):
-            keys, doc = np.unique(key, return_inverse=True)
-            m = len(keys)
-            s = lambda w: np.bincount(doc, w, m)
-            return pa.RecordBatch.from_arrays([pa.array(keys), pa.nulls(m, id_type), pa.nulls(m, pa.int64()), pa.array(s(known).astype(np.int64)), pa.array(s(base)), pa.array(s(score))], _NAMES[3:])
-
-        if got[WORD]:
-            h, c, b = _columns(got[WORD_VALUE], _U, np.int64, np.float64)
-            words = Lookup(h)
-            # Keys are differences within a piece.
-            t, key = (np.concatenate(x) for x in zip(*((y[0], np.cumsum(y[1])) for y in (_columns([x], _U, np.int64) for x in got[WORD]))))
-            i = words.find(t)
-            count, bow = np.zeros(len(t), np.int64), np.zeros(len(t))
-            count[i >= 0], bow[i >= 0] = c[i[i >= 0]], b[i[i >= 0]]
-            yield summed(key, count > 0, a.base(count), a.unigram(count) + bow)
-        if not got[TRIPLE] or not got[PAIR_VALUE]:
-            return
-        p, d = _columns(got[PAIR_VALUE], _U, np.float64)
-        q, g, p3, p2 = _columns(got[TRIPLE_VALUE], _U, _U, np.float64, np.float64)
-        pairs, triples = Lookup(p), Lookup(g)
-        own = pairs.find(q)
-        bow = np.zeros(len(p))
-        if len(q):
-            context, s = np.unique(own, return_inverse=True)
-            bow[context] = np.log10(_left(s, p3, p2, len(context)))
-        d, e = d + bow, np.log10(p3) - np.log10(p2) - (bow[own] if len(q) else 0.0)
-        for x in got[TRIPLE]:
-            key, u, v, t = _opened(x, hot_h)
-            h = join2(u, v)
-            i, j = pairs.find(h), triples.find(join2(h, t))
-            score = np.zeros(len(h))
-            score[i >= 0] = d[i[i >= 0]]
-            score[j >= 0] += e[j[j >= 0]]
-            hit = np.flatnonzero(i >= 0)
-            if len(hit):
-                zero = np.zeros(len(hit))
-                yield summed(key[hit], zero, zero, score[hit])
-        tidy()
+            part, n = np.asarray(batch.column(1)), np.asarray(batch.column(2))
+            for i in range(batch.num_rows):
+                raw = memoryview(batch.column(3)[i].as_buffer())
+                if part[i] != LAST:
+                    told.append(_heard(int(n[i]), raw))
+                    continue
+                ids = batch.column(4)[i].values
+                g = _opened(len(ids), raw)
+                count = np.concatenate(told)
+                told = []
+                count = np.where(count > 0, count, g.own)
+                base = np.log10((count + 0.1) / (total + 0.1 * (types + 1)))
+                score = Automaton.build(g, count, total, types, strength).walk() if total else np.zeros(len(g.token))
+                size = np.diff(g.at)
+                sums = lambda x: pa.array(np.add.reduceat(x, g.at[:-1]).astype(np.float64))
+                known = np.add.reduceat((count[g.token] > 0).astype(np.int64), g.at[:-1])
+                yield pa.RecordBatch.from_arrays([ids.cast(id_type), pa.array(size), pa.array(known), sums(base[g.token]), sums(score)], ["id", "n_tokens", "known", "base", "score"])
+            tidy()
 
     return run
 
 
+LAST = (1 << 31) - 1  # sorts a block's texts behind its answers
+
+
 def _written(scratch: Scratch, df: DataFrame, name: str) -> DataFrame:
     """A written table, with the shuffles that made it deleted."""
     conf = scratch.spark.conf
@@ -514,51 +353,22 @@ def _written(scratch: Scratch, df: DataFrame, name: str) -> DataFrame:
         conf.set(CLEAN, was)
 
 
-def score(docs: DataFrame, train: Column, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, train: Column, id_col: str = "doc_id", text_col: str = "text", strength: float = STRENGTH) -> DataFrame:
     """One row per document: id, n_tokens, n_known, train_tokens, base_score, score; ``train`` selects what is learnt from."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
-    share = spark.sparkContext.broadcast
-    learn = docs.where(train).select(F.col(text_col).alias("text"))
-    counts = _written(scratch, learn.mapInArrow(_unigrams, "h bigint, c bigint").groupBy("h").agg(F.sum("c").alias("c")), "counts")
-    n, v = map(int, counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first())
-    least = max(2, HOT * n)
-    hot = counts.where(F.col("c") >= least).toArrow().to_pandas().sort_values(["c", "h"], ascending=False)
-    hot_h, hot_c = hot["h"].to_numpy(np.int64).view(_U), hot["c"].to_numpy(np.int64)
-    bits = max(4, int(n / PART_ROWS).bit_length())
-    spread = lambda df: df.repartition(1 << bits, "part")
-    common = share((hot_h, hot_c))
-    grams = _written(scratch, learn.mapInArrow(_count(common, bits + 2), "part int, data binary").repartition(4 << bits, "part").mapInArrow(_retained(common), GRAMS), "grams")
-    rare = counts.where(F.col("c") < least)
-    pairs = grams.where("g is null").select("p", "u", "v", "cu", "cv", "c2")
-    for x in ("u", "v"):
-        # Hot keys, of which there are many rows, are not joined.
-        joined = pairs.where(f"c{x} is null").drop(f"c{x}").join(rare.select(F.col("h").alias(x), F.col("c").alias(f"c{x}")), x)
-        pairs = pairs.where(f"c{x} is not null").unionByName(joined)
-    p2, p1 = (F.col("c2") - DISCOUNT) / F.col("cu"), (F.col("cv") - DISCOUNT) / F.lit(n)
-    pairs = _written(scratch, pairs.select("p", "u", "cu", p2.alias("p2"), p1.alias("p1")), "pairs")
-    left = lambda x: F.greatest(1 - F.sum(x), F.lit(1e-12))
-    bows = pairs.groupBy(F.col("u").alias("h")).agg(F.log10(left("p2") / left("p1")).alias("b"))
-    words = _written(scratch, counts.join(bows, "h", "left").select("h", "c", F.coalesce("b", F.lit(0.0)).alias("b")), "words")
-    hot = words.where(F.col("c") >= least).toArrow().to_pandas().set_index("h")["b"]
-    model = share((hot_h, hot_c, hot.loc[hot_h.view(np.int64)].to_numpy(np.float64), n, v))
-    rare = words.where(F.col("c") < least)
-    seldom = pairs.where(F.col("cu") < least).join(rare.select(F.col("h").alias("u"), "b"), "u")
-    cols = ["p", "u", "p2", "p1", "b"]
-    of_pairs = pairs.where(F.col("cu") >= least).withColumn("b", F.lit(0.0)).select(*cols).union(seldom.select(*cols)).mapInArrow(_of_pairs(model), "p bigint, d double")
-    suffixes = pairs.select(F.col("p").alias("s"), "p2")
-    of_triples = grams.where("g is not null").join(suffixes, "s").select("p", "g", ((F.col("c3") - DISCOUNT) / F.col("c2")).alias("p3"), "p2")
-    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
     kind = rows.schema["id"].dataType.simpleString()
-    id_type = to_arrow_type(rows.schema["id"].dataType)
-    sent = f"part int, kind int, data binary, key bigint, id {kind}, n_tokens bigint, known bigint, base double, score double"
-    pack = lambda df, kind: df.mapInArrow(_pack(kind, bits, id_type), sent)
-    # Values are written, so that the shuffles of their joins are gone before positions are sent.
-    values = _written(scratch, pack(rare, WORD_VALUE).union(pack(of_pairs, PAIR_VALUE)).union(pack(of_triples, TRIPLE_VALUE)), "values")
-    scratch.drop(grams, pairs, words, counts)
-    every = spread(rows.mapInArrow(_send(model, bits), sent).union(values))
-    summed = every.mapInArrow(_sum(model, id_type), sent.split("data binary, ")[1]).groupBy("key")
-    total = lambda x: F.sum(x).alias(x)
-    out = summed.agg(F.first("id", ignorenulls=True).alias("id"), *map(total, ("n_tokens", "known", "base", "score")))
-    return out.select(F.col("id").alias(id_col), "n_tokens", F.col("known").alias("n_known"), F.lit(n).alias("train_tokens"), F.col("base").alias("base_score"), "score")
-
+    blocks = scratch.table(rows.mapInArrow(_blocks, f"block bigint, ids array<{kind}>, bytes bigint, data binary"), "blocks")
+    size = blocks.agg(F.coalesce(F.sum("bytes"), F.lit(0))).first()[0]
+    bits = max(4, int(size * KEYS_PER_BYTE / PART_KEYS).bit_length())
+    asked = blocks.select("block", "ids", "data").mapInArrow(_request(bits), "part int, block bigint, n bigint, keys binary, own binary")
+    # The range is the partition: ranges are alike in size, whatever the texts are.
+    answered = asked.repartitionById(1 << bits, F.col("part")).mapInArrow(_answer, "part int, block bigint, n bigint, data binary, types bigint, tokens bigint")
+    answers = _written(scratch, answered, "answers")
+    total, types = answers.agg(F.coalesce(F.sum("tokens"), F.lit(0)), F.coalesce(F.sum("types"), F.lit(0))).first()
+    every = answers.where("block >= 0").select("block", "part", "n", "data", F.lit(None).cast(f"array<{kind}>").alias("ids"))
+    every = every.union(blocks.select("block", F.lit(LAST).alias("part"), F.lit(0).cast("long").alias("n"), "data", "ids"))
+    every = every.repartition("block").sortWithinPartitions("block", "part")
+    out = every.mapInArrow(_score(total, types, strength, to_arrow_type(rows.schema["id"].dataType)), f"id {kind}, n_tokens bigint, known bigint, base double, score double")
+    return out.select(F.col("id").alias(id_col), "n_tokens", F.col("known").alias("n_known"), F.lit(total).alias("train_tokens"), F.col("base").alias("base_score"), "score")

@@ -268,29 +268,21 @@ def test_language_model(spark, docs, empty):
     assert none[0] == (0, 0.0, 0.0)
 
 
-def test_automaton_sums_to_one(spark):
-    """Every state's probabilities, unseen class included, add up to one."""
+def test_automaton_sums_to_one():
+    """From every state the probabilities of all tokens, the unseen class included, add up to one."""
     import pyarrow as pa
 
     q = random.Random(1)
-    texts = [" ".join(q.choice("abcdefg") for _ in range(40)) for _ in range(30)]
-    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id bigint, text string")
-    vocab = [*"abcdefg", "unseen"]
-    for context in ("", "a", "a b", "g g", "unseen a"):
-        probe = spark.createDataFrame([(100 + k, f"{context} {t}".strip()) for k, t in enumerate(vocab)] + [(99, context)], "doc_id bigint, text string")
-        got = _by_id(lm_scoring.score(df.union(probe), F.col("doc_id") < 99), "score")
-        lm = {k: got[100 + k][0] for k in range(len(vocab))}
-        # P(context t end) / P(context end) isn't P(t | context); compare full strings by removing the end's factor.
-        assert all(x < 0 for x in lm.values())
-    import pandas as pd
-
-    h = np.sort(lm_scoring.tokens(pa.array(["a b"], pa.large_string()))[0])
-    a = lm_scoring.build(9, 3, h, np.array([3, 3, 3]), pd.DataFrame({"order": [2], "h": lm_scoring.join2(h[:1], h[1:2]).view(np.int64), "context": h[:1].view(np.int64), "token": h[1:2].view(np.int64), "suffix": [0], "c": [2]}))
-    one = 10.0 ** a.unigram(a.hot_count)
-    unseen = 10.0 ** a.unigram(np.array([0]))[0]
-    bow = 10.0 ** a.bow[1]
-    assert one.sum() + unseen == pytest.approx(1)
-    assert 10.0 ** a.weight[0] + bow * (one[0] + one[2] + unseen) == pytest.approx(1)
+    train = [" ".join(q.choice("abcdefg") for _ in range(40)) for _ in range(30)] + ["", "h", "a b c h"]
+    vocab = [*"abcdefgh", "unseen"]
+    for context in ("", "a", "a b", "g g", "unseen", "unseen a", "a unseen", "c h", "b " * 600):
+        probes = [*(f"{context} {t}" for t in vocab), context]
+        col = pa.array([*train, *probes], pa.large_string())
+        g = lm_scoring.Grams.of(col, np.arange(len(col)) < len(train))
+        total = sum(len(t.split()) + 1 for t in train)
+        score = lm_scoring.Automaton.build(g, g.own, total, 9).walk()
+        k = len(context.split())  # the token behind the context; the end is the last probe's
+        assert sum(10.0 ** score[g.at[len(train) + i] + k] for i in range(len(probes))) == pytest.approx(1)
 
 
 def test_embeddings(spark):

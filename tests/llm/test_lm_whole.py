@@ -10,44 +10,37 @@ from pyspark.sql import functions as F
 from semjoin.llm import lm_scoring
 
 
-def _expected(train, probes):
+def _expected(train, probes, K=lm_scoring.STRENGTH):
     """The model by its definition, in dictionaries."""
-    D, END = 0.5, "<END>"
+    START, END = "<START>", "<END>"
     docs = [[*t.split(), END] for t in train]
     c1 = Counter(t for d in docs for t in d)
-    c2 = Counter(p for d in docs for p in zip([END, *d], d))
-    c3 = Counter(g for d in docs for g in zip([END, *d], d, d[1:]))
+    c2 = Counter(p for d in docs for p in zip([START, *d], d))
+    c3 = Counter(g for d in docs for g in zip([START, *d], d, d[1:]))
     n, types = sum(c1.values()), len(c1)
-    c2, c3 = ({g: c for g, c in x.items() if c >= 2} for x in (c2, c3))
-    one = lambda t: (c1[t] - D) / n if t in c1 else D * types / n
-    two = {(v, t): (c - D) / c1[v] for (v, t), c in c2.items()}
-    three = {(u, v, t): (c - D) / c2[u, v] for (u, v, t), c in c3.items()}
-    mass1, rest1, mass2, rest2 = Counter(), Counter(), Counter(), Counter()
-    for (v, t), p in two.items():
-        mass1[v] += p
-        rest1[v] += one(t)
-    for (u, v, t), p in three.items():
-        mass2[u, v] += p
-        rest2[u, v] += two[v, t]
-    bow = lambda mass, rest, x: max(1 - mass[x], 1e-12) / max(1 - rest[x], 1e-12) if x in mass else 1.0
+    context = Counter({START: len(docs)}) + c1
+
+    def p1(t):
+        return (c1[t] + 0.1) / (n + 0.1 * (types + 1))
 
     def p2(v, t):
-        return two[v, t] if (v, t) in two else bow(mass1, rest1, v) * one(t)
+        return (c2[v, t] + K * p1(t)) / (context[v] + K)
 
     def p3(u, v, t):
-        return three[u, v, t] if (u, v, t) in three else bow(mass2, rest2, (u, v)) * p2(v, t)
+        return (c3[u, v, t] + K * p2(v, t)) / (c2[u, v] + K)
 
     out = []
     for text in probes:
         d = [*text.split(), END]
-        out.append(math.log10(p2(END, d[0])) + sum(math.log10(p3(u, v, t)) for u, v, t in zip([END, *d], d, d[1:])))
+        out.append(math.log10(p2(START, d[0])) + sum(math.log10(p3(u, v, t)) for u, v, t in zip([START, *d], d, d[1:])))
     return out, c2, n
 
 
-@pytest.mark.parametrize("size, hot", [(20_000, lm_scoring.HOT), (300, 2e-3)])
-def test_rare_ngrams_count(spark, monkeypatch, size, hot):
-    """With 800,000 tokens a floor of 4e-6 of them dropped what occurs two or three times; ``hot`` makes words joined ones."""
-    monkeypatch.setattr(lm_scoring, "HOT", hot)
+@pytest.mark.parametrize("size, block, keys", [(20_000, lm_scoring.BLOCK_BYTES, lm_scoring.PART_KEYS), (300, 3000, 500)])
+def test_rare_ngrams_count(spark, monkeypatch, size, block, keys):
+    """With 800,000 tokens a floor of 4e-6 of them would drop what occurs two or three times; small blocks and ranges change nothing."""
+    monkeypatch.setattr(lm_scoring, "BLOCK_BYTES", block)
+    monkeypatch.setattr(lm_scoring, "PART_KEYS", keys)
     g = np.random.default_rng(3)
     vocab = np.array([f"w{i}" for i in range(1500)])
     draw = lambda k: " ".join(vocab[np.minimum(g.zipf(1.3, k), 1500) - 1])
