@@ -1,9 +1,9 @@
 """Chat formatting by columnar byte assembly, reading back included.
 
-A turn becomes ``<|role|>`` newline text ``</s>`` newline.  Control strings inside roles and texts
-(``<|``, ``|>``, ``<s>``, ``</s>``, ``[INST]``, ``[/INST]``, ``<<SYS>>``, ``<</SYS>>``) and backslashes get a
-backslash before them, so that what is not escaped is the template's and every text comes back
-unchanged.  For a batch of turns the lengths of all segments give cumulative offsets; headers and
+A turn becomes ``<|role|>`` newline text ``</s>`` newline.  In roles and texts every character that a
+control string (``<|``, ``|>``, ``<s>``, ``</s>``, ``[INST]``, ``[/INST]``, ``<<SYS>>``, ``<</SYS>>``) can begin or end
+with, and the backslash, becomes a backslash and a letter (``ESCAPES``); so no such character is left in
+them, all that are there are the template's, and every text comes back unchanged.  For a batch of turns the lengths of all segments give cumulative offsets; headers and
 contents are scattered into one preallocated buffer, which becomes the Arrow column as it is.
 
 A conversation comes out as pieces, in order, each of whole turns: one for each batch that it
@@ -30,21 +30,22 @@ from .words import buffer, ranges, strings
 
 # Fixed values of the template.
 OPEN, CLOSE, END = b"<|", b"|>\n", b"</s>\n"
-CONTROL = r"(\\|</?s>|\[/?INST\]|<</?SYS>>|<\||\|>)"
+ESCAPES = {"\\": "\\\\", "<": "\\l", ">": "\\g", "|": "\\p", "[": "\\o", "]": "\\c"}
 LOSS_ROLE = "assistant"
 
-_STOP = re.compile(r"\\.|</s>", re.S)
-_ROLE_END = re.compile(r"\\.|\|>", re.S)
 _ESCAPED = re.compile(r"\\(.)", re.S)
+_PLAIN = {made[1]: c for c, made in ESCAPES.items()}
 _NONE = -(1 << 63)
 
 
 def escape(column: pa.Array) -> pa.Array:
-    return pc.replace_substring_regex(column, CONTROL, r"\\\1")
+    for c, made in ESCAPES.items():  # the backslash is the first
+        column = pc.replace_substring(column, c, made)
+    return column
 
 
 def unescape(text: str) -> str:
-    return _ESCAPED.sub(r"\1", text) if "\\" in text else text
+    return _ESCAPED.sub(lambda m: _PLAIN[m[1]], text) if "\\" in text else text
 
 
 def assemble(role: pa.Array, text: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -105,15 +106,11 @@ def parse(formatted: str) -> Iterator[tuple[str, str]]:
     at = 0
     while at < len(formatted):
         at += len(OPEN)
-        for m in _ROLE_END.finditer(formatted, at):
-            if m[0] == "|>":
-                break
-        role, at = formatted[at : m.start()], m.end() + 1
-        for m in _STOP.finditer(formatted, at):
-            if m[0] == "</s>":
-                break
-        yield unescape(role), unescape(formatted[at : m.start()])
-        at = m.end() + 1
+        stop = formatted.index("|>", at)
+        role, at = formatted[at:stop], stop + len(CLOSE)
+        stop = formatted.index("</s>", at)
+        yield unescape(role), unescape(formatted[at:stop])
+        at = stop + len(END)
 
 
 class _Digest:

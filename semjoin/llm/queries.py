@@ -77,6 +77,14 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 _SPLIT = r"list_filter(regexp_split_to_array({}, '[\x20\x09-\x0D]+'), lambda x: x <> '')"
 
+
+
+def _escaped(column: str) -> str:
+    for plain, made in chat_format.ESCAPES.items():
+        column = f"replace({column}, '{plain}', '{made}')"
+    return column
+
+
 SQL: dict[str, str] = {
     "op6_substring_dedup": f"""
         WITH w AS (SELECT doc_id, {_SPLIT.format("coalesce(text, '')")} AS ws FROM documents),
@@ -107,13 +115,12 @@ SQL: dict[str, str] = {
     "op4_chat_format": r"""
         WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
                    UNION ALL SELECT -1, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -1, 1, 'assistant', '</s>[INST] ok [/INST]'),
-        f AS (SELECT *, '<|' || regexp_replace(role, '(\\|</?s>|\[/?INST\]|<</?SYS>>|<\||\|>)', '\\\1', 'g') || '|>' || chr(10)
-                     || regexp_replace(text, '(\\|</?s>|\[/?INST\]|<</?SYS>>|<\||\|>)', '\\\1', 'g') || '</s>' || chr(10) AS made FROM t)
+        f AS (SELECT *, '<|' || {role} || '|>' || chr(10) || {text} || '</s>' || chr(10) AS made FROM t)
         SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
                sum(CASE WHEN role = 'assistant' THEN length(text) ELSE 0 END)::BIGINT AS loss_chars,
                sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
                sum(length(made))::BIGINT AS formatted_chars
-        FROM f GROUP BY conv_id""",
+        FROM f GROUP BY conv_id""".format(role=_escaped("role"), text=_escaped("text")),
     "op7_exact_dedup": r"""
         WITH n AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS t FROM documents)
         SELECT doc_id, min(doc_id) OVER (PARTITION BY t) AS keep_id, count(*) OVER (PARTITION BY t) AS group_size,
