@@ -12,8 +12,9 @@ counted in the first table that it shares (members carry their keys), and what l
 is a count and a root per member, not pairs.
 
 Defined cases: vectors that are null, empty, zero, or hold null or non-finite components link
-with nothing; vectors of different lengths don't link; a row that repeats an id and its vector
-is another vector; an empty table gives an empty result; other columns are ignored.
+with nothing; vectors of different lengths don't link; every row is a vector of its own, so rows
+that repeat an id are linked by their own components each, and a component is named by its smallest
+id; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -81,14 +82,14 @@ def _by_length(column: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
 
 
 def _digests(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """vec_id and, for usable vectors, a 128-bit digest of the components."""
+    """All columns (the vector is the second) and, for usable vectors, a 128-bit digest of the components."""
     for batch in batches:
         d = [None] * batch.num_rows
         for rows, m in _by_length(batch.column(1)):
             m = m + 0.0  # one zero
             for r, x in zip(rows.tolist(), m):
                 d[r] = hashlib.blake2b(x.tobytes(), digest_size=16).digest()
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(d, pa.binary())], ["vec_id", "digest"])
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(d, pa.binary())], [*batch.schema.names, "digest"])
 
 
 def _buckets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,11 +161,15 @@ def link(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
     """One row per vector: id, n_links, component_id, kept."""
     scratch = Scratch(vectors.sparkSession, "embedding")
     rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).alias("v"))
-    digests = scratch.table(rows.mapInArrow(_digests, "vec_id bigint, digest binary"), "digests")
-    classes = scratch.table(digests.where("digest is not null").groupBy("digest").agg(F.min("vec_id").alias("rep"), F.count("*").alias("weight")), "classes")
-    members = digests.join(classes, "digest", "left").select("vec_id", "rep", "weight")
-    reps = classes.where("rep is not null").select("rep", "weight").join(rows.withColumnRenamed("vec_id", "rep").dropDuplicates(["rep"]), "rep").select("rep", "weight", "v")
     kind = rows.schema["v"].dataType.simpleString()
+    digested = rows.mapInArrow(_digests, f"vec_id bigint, v {kind}, digest binary")
+    digests = scratch.table(digested.select("vec_id", "digest"), "digests")
+    classes = digests.where("digest is not null").groupBy("digest").agg(F.min("vec_id").alias("least"), F.count("*").alias("weight"))
+    classes = scratch.table(classes.withColumn("rep", F.monotonically_increasing_id()), "classes")
+    members = digests.join(classes, "digest", "left").select("vec_id", "rep", "weight")
+    # One row of each class gives its vector: that of the smallest id, of which there may be several.
+    first = digested.alias("d").join(classes.alias("c"), (F.col("d.digest") == F.col("c.digest")) & F.col("d.vec_id").eqNullSafe(F.col("c.least")))
+    reps = first.select("rep", "weight", "v").dropDuplicates(["rep"])
     hashed = scratch.table(reps.mapInArrow(_buckets, f"rep bigint, weight bigint, v {kind}, keys array<bigint>"), "hashed")
     keyed = hashed.select("rep", F.posexplode("keys").alias("t", "key"))
     busy = scratch.table(keyed.groupBy("t", "key").agg(F.count("*").alias("n")).where("n > 1"), "busy")
@@ -172,9 +177,11 @@ def link(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embeddin
     full = scratch.table(spots, "spots").join(hashed, "rep")
     found = full.repartition("g").sortWithinPartitions("g").mapInArrow(_links, "rep bigint, links bigint, root bigint")
     found = scratch.table(found.groupBy("rep", "root").agg(F.sum("links").alias("links")), "found")
-    near = components(found.select(F.col("rep").alias("a"), F.col("root").alias("b")), scratch)
+    near = scratch.table(components(found.select(F.col("rep").alias("a"), F.col("root").alias("b")), scratch).select(F.col("node").alias("rep"), "component"), "near")
+    least = near.join(classes, "rep").groupBy("component").agg(F.min("least").alias("smallest"))
+    near = near.join(least, "component").select("rep", "smallest")
     counts = found.groupBy("rep").agg(F.sum("links").alias("links"))
-    extra = counts.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left")
+    extra = classes.select("rep", "least").join(counts, "rep", "left").join(near, "rep", "left").select("rep", "links", F.coalesce("smallest", "least").alias("component"))
     out = members.join(extra, "rep", "left")
-    component = F.coalesce("component", "rep", "vec_id")
+    component = F.coalesce("component", "vec_id")
     return out.select(F.col("vec_id").alias(id_col), (F.coalesce("links", F.lit(0)) + F.coalesce(F.col("weight") - 1, F.lit(0))).alias("n_links"), component.alias("component_id"), F.col("vec_id").eqNullSafe(component).alias("kept"))

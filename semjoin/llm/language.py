@@ -5,9 +5,14 @@ vectors, each rotated by its place; a text is the sum of its trigrams.  The sum
 language's training texts is its prototype, and a text has the language whose
 prototype has the highest cosine with it.
 
+``accepted`` keeps what some prototype knows: a text of ``ENOUGH`` letters or more goes if its best
+cosine is below ``REJECT``, which in 512 dimensions is what random letters reach with some language
+(0.04 is one standard deviation); shorter texts say too little and stay if they have a letter.
+
 Defined cases: null text or a text without a letter is ``und`` with score 0, as is any
-text if nothing was learnt; ties go to the alphabetically first language; an empty
-table gives an empty result; other columns are ignored.
+text if nothing was learnt (``accepted`` then keeps all that has a letter); ties go to the
+alphabetically first language; rows that repeat an id, and rows with a null id, are judged each on their
+own; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,6 +30,7 @@ from .words import slices
 DIMENSIONS = 512
 SYMBOLS = 64  # 0: not a letter; 1-26: a-z; the others share what is left
 UNKNOWN = "und"
+ENOUGH, REJECT = 100, 0.13  # letters, cosine
 SEED = 20240501
 
 
@@ -52,28 +58,28 @@ def trigram_vectors(codes: np.ndarray) -> np.ndarray:
 
 
 def trigrams(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Codes of all trigrams, the text of each, and which texts have a letter."""
+    """Codes of all trigrams, the text of each, and the number of letters of every text."""
     size = np.fromiter(map(len, texts), np.int64, len(texts))
     cps = np.frombuffer("".join([f"\n{t}\n" for t in texts]).encode("utf-32-le", "surrogatepass"), np.uint32)
     doc = np.repeat(np.arange(len(texts)), size + 2)
     x = _symbols()[cps]
     keep = x != 0
-    lettered = np.bincount(doc[keep], minlength=len(texts)) > 0
+    letters = np.bincount(doc[keep], minlength=len(texts))
     keep[1:] |= (x[:-1] != 0) | (doc[1:] != doc[:-1])
     keep[:1] = True
     x, doc = x[keep].astype(np.int64), doc[keep]
     inside = doc[2:] == doc[:-2]
-    return ((x[:-2] << 12) + (x[1:-1] << 6) + x[2:])[inside], doc[2:][inside], lettered
+    return ((x[:-2] << 12) + (x[1:-1] << 6) + x[2:])[inside], doc[2:][inside], letters
 
 
 def bundles(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """The vector of each text, and which texts have a letter."""
-    codes, doc, lettered = trigrams(texts)
+    """The vector of each text and its number of letters."""
+    codes, doc, letters = trigrams(texts)
     used = np.flatnonzero(np.bincount(codes, minlength=SYMBOLS**3))
     row = np.zeros(SYMBOLS**3, np.int64)
     row[used] = np.arange(len(used))
     counts = np.bincount(doc * max(1, len(used)) + row[codes], minlength=len(texts) * len(used)).reshape(len(texts), len(used)).astype(np.float32)
-    return counts @ trigram_vectors(used), lettered
+    return counts @ trigram_vectors(used), letters
 
 
 def _learn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -104,19 +110,25 @@ def learn(train: DataFrame, text_col: str = "text", lang_col: str = "lang") -> d
     return dict(sorted(out.items()))
 
 
+def _judged(texts: list[str], unit: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Number of letters, best prototype and its cosine (0 without letters or prototypes)."""
+    v, letters = bundles(texts)
+    if not len(unit):
+        return letters, np.zeros(len(texts), np.int64), np.zeros(len(texts))
+    v = v.astype(np.float64)
+    norm = np.sqrt((v * v).sum(1))
+    cos = (v @ unit.T) / np.where(norm > 0, norm, 1)[:, None]
+    best = cos.argmax(1)
+    return letters, best, np.where(letters > 0, np.clip(cos[np.arange(len(best)), best], 0, 1), 0.0)
+
+
 def _predict(names: list[str], unit: np.ndarray):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labels = np.array([*names, UNKNOWN], object)
         for batch in batches:
             for rows, col in slices(batch, limit=1 << 20):
-                v, lettered = bundles(col.to_pylist())
-                v = v.astype(np.float64)
-                norm = np.sqrt((v * v).sum(1))
-                cos = (v @ unit.T) / np.where(norm > 0, norm, 1)[:, None] if names else np.zeros((len(col), 1))
-                best = cos.argmax(1)
-                ok = lettered & bool(names)
-                pred = labels[np.where(ok, best, len(names))]
-                score = np.where(ok, np.clip(cos[np.arange(len(best)), best], 0, 1), 0.0)
+                letters, best, score = _judged(col.to_pylist(), unit)
+                pred = labels[np.where((letters > 0) & bool(names), best, len(names))]
                 keep = [rows.column(i) for i in range(rows.num_columns) if rows.schema.names[i] != "text"]
                 cols = [x for x in rows.schema.names if x != "text"]
                 yield pa.RecordBatch.from_arrays([*keep, pa.array(pred, pa.string()), pa.array(score)], [*cols, "lang_pred", "score"])
@@ -124,10 +136,26 @@ def _predict(names: list[str], unit: np.ndarray):
     return run
 
 
+def _units(prototypes: dict[str, np.ndarray]) -> np.ndarray:
+    return np.array([v / max(1e-300, np.linalg.norm(v)) for v in prototypes.values()]).reshape(len(prototypes), DIMENSIONS)
+
+
+def accepted(docs: DataFrame, prototypes: dict[str, np.ndarray], text_col: str = "text") -> DataFrame:
+    """The rows, with all their columns, whose text is in one of the learnt languages; see above for short ones."""
+    unit = _units(prototypes)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for rows, col in slices(batch, text_col, 1 << 20):
+                letters, _, score = _judged(col.to_pylist(), unit)
+                yield rows.filter(pa.array((letters > 0) & ((letters < ENOUGH) | (score >= REJECT) | (not len(unit)))))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, lang_pred, score for every row; the text is the only input."""
-    names = list(prototypes)
-    unit = np.array([prototypes[n] / max(1e-300, np.linalg.norm(prototypes[n])) for n in names]).reshape(len(names), DIMENSIONS)
+    names, unit = list(prototypes), _units(prototypes)
     rows = docs.select(F.col(id_col), F.col(text_col).alias("text"))
     kind = rows.schema[0].dataType.simpleString()
     return rows.mapInArrow(_predict(names, unit), f"`{id_col}` {kind}, lang_pred string, score double")
