@@ -16,6 +16,7 @@ pieces; repeated ids are separate documents; other columns are ignored.
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -28,7 +29,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .scratch import Scratch
-from .words import Words, buffer, ranges, slices, split
+from .words import Words, buffer, ranges, slices, split, tidy
 
 WINDOW = 4096
 END = 2
@@ -66,12 +67,13 @@ class WordTokenizer:
     Each distinct chunk is encoded once, many in one text with a separator between them.
     """
 
-    MOST = 300_000  # chunks remembered from slice to slice; only memory depends on it
+    MOST = 150_000  # chunks remembered from slice to slice; only memory depends on it
     SPECIAL = b"<|"  # texts with it may hold special tokens, and are taken word by word as they are
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core; threads would each keep memory
         self.inner = Tokenizer.from_file(path)
         (self.mark,) = self.inner.encode(SEPARATOR, add_special_tokens=False).ids
         self._keep([], np.zeros(0, np.int64), np.zeros(0, np.uint32))
@@ -87,7 +89,7 @@ class WordTokenizer:
         self.at, self.ids = np.concatenate([[0], np.cumsum(size)]), ids
         self.slices = np.zeros(len(words), np.int64)
 
-    def _shrink(self) -> None:
+    def shrink(self) -> None:
         """Keeps what more than one slice had."""
         again = self.slices > 1
         if again.sum() > self.MOST // 2:
@@ -119,7 +121,7 @@ class WordTokenizer:
         coded = w.array().dictionary_encode()
         words = coded.dictionary.to_pylist()
         if len(self.known) > self.MOST:
-            self._shrink()
+            self.shrink()
         if new := [x for x in words if x not in self.known]:
             self._learn(new)
         known = np.fromiter(map(self.known.__getitem__, words), np.int64, len(words))
@@ -173,6 +175,8 @@ def _cut(path: str, window: int, with_ids: bool):
                     out.append(pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(length)]).astype(np.int32)), flat))
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(out, names)
+        tok.shrink()  # the worker goes on to other tasks, maybe of other stages
+        tidy()
 
     return run
 

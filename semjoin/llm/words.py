@@ -11,6 +11,7 @@ from __future__ import annotations
 import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -35,13 +36,23 @@ def strings(col: pa.Array | pa.ChunkedArray) -> pa.Array:
     return pc.fill_null(col, "") if col.null_count else col
 
 
+@lru_cache(1)
+def _libc() -> ctypes.CDLL | None:
+    """The C library, told to keep two arenas; None where it isn't glibc."""
+    try:
+        libc = ctypes.CDLL("libc.so.6")
+        libc.mallopt(-8, 2)  # arenas at most
+        libc.malloc_trim(0)
+    except (OSError, AttributeError):
+        return None
+    return libc
+
+
 def tidy() -> None:
     """Gives memory that is free in this worker back to the system; executors share theirs with it."""
     pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL("libc.so.6").malloc_trim(0)
-    except (OSError, AttributeError):
-        pass
+    if (libc := _libc()) is not None:
+        libc.malloc_trim(0)
 
 
 def slices(batch: pa.RecordBatch, text: str = "text", limit: int = SLICE_BYTES) -> Iterator[tuple[pa.RecordBatch, pa.Array]]:
