@@ -1,4 +1,10 @@
-"""A corpus pipeline: each stage takes documents and hands on documents; the last one packs them."""
+"""A corpus pipeline: each stage takes documents and hands on documents; the last one packs them.
+
+Every stage works on all rows it gets.  Null texts have no letter and go in the first stage; rows that
+repeat an id are judged each on their own (exact: of equal texts one row stays; near: rows of one id
+are one document, of which one row stays); an empty table passes all stages as an empty table; columns beside
+doc_id and text, whatever their names, are handed on but by the last stage, whose result are pieces.
+"""
 
 from __future__ import annotations
 
@@ -8,22 +14,21 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from semjoin.llm import exact_dedup, language, ngram_join, packing, pii
-from semjoin.llm.bitmap import without
 from semjoin.llm.scratch import Scratch
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which no language is found (no letter) go; the model is learnt from the stage's own input."""
-    prototypes = language.learn(docs.where(~language.held_out(F.col("doc_id"))))
-    rejected = language.predict(docs, prototypes).where(F.col("lang_pred") == language.UNKNOWN).select("doc_id")
-    return without(docs, "doc_id", Scratch(spark, "language").table(rejected, "rejected"))
+    """Texts without a letter go, and longer ones that no prototype knows, learnt from all labelled rows of the input."""
+    return language.accepted(docs, language.learn(docs))
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of rows with equal text the one with the smallest id stays."""
     return exact_dedup.deduplicate(docs)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays: the one with the smallest id."""
     return ngram_join.keep_one(docs)
 
 
@@ -34,6 +39,7 @@ def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row per piece of a document; see ``packing.pack``."""
     return packing.pack(docs)
 
 
