@@ -31,6 +31,15 @@ def is_complete(answer: Column, stopped: Column, completion_check: str = "stop_r
     raise ValueError(f"unknown completion check {completion_check!r}")
 
 
+def complete_value(completion_check: str = "stop_reason"):
+    """``is_complete`` for values."""
+    if completion_check == "stop_reason":
+        return lambda answer, stopped: bool(stopped)
+    if completion_check == "text":
+        return lambda answer, stopped: (answer or "").rstrip(" ").endswith(TERMINATOR)
+    raise ValueError(f"unknown completion check {completion_check!r}")
+
+
 def index_pairs(answer: Column) -> Column:
     """Distinct (x, y) positions of an answer; a pair cut off before its semicolon is not one."""
     text = F.concat(F.regexp_replace(F.coalesce(answer, F.lit("")), rf"{TERMINATOR}\s*$", ";"), F.lit(""))
@@ -45,6 +54,20 @@ def parse_pairs(answers: DataFrame) -> DataFrame:
     return p.where("left_id is not null and right_id is not null")
 
 
+class BadPositions(ValueError):
+    """An answer names rows that its prompt doesn't have, or says something that is no pair."""
+
+
+def strict_parse(answers: DataFrame) -> DataFrame:
+    """As ``parse_pairs``, but positions out of range and any other text raise ``BadPositions``."""
+    rest = F.trim(F.regexp_replace(F.regexp_replace(F.coalesce("answer", F.lit("")), PAIR, ""), rf"{TERMINATOR}\s*$", ""))
+    odd = answers.where(rest != "").count()
+    bad = count_bad_positions(answers).first()[0]
+    if odd or bad:
+        raise BadPositions(f"{odd} answers hold other text, {bad} positions are out of range")
+    return parse_pairs(answers)
+
+
 def count_bad_positions(answers: DataFrame) -> DataFrame:
     """How many reported positions are out of range."""
     p = answers.select(F.size("left_ids").alias("n"), F.size("right_ids").alias("m"), F.explode(index_pairs(F.col("answer"))).alias("p"))

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from semjoin.functions.tokens import count_column
 
 BROADCAST_BYTES = 32 << 20
+GROUP_CELLS = 64  # of one group in one task
 
 
 def buckets_for(rows: int) -> int:
@@ -42,20 +43,36 @@ def _items(grouped, order_by: str) -> DataFrame:
     return grouped.agg(F.sort_array(F.collect_list(item)).alias("items"), F.sum("tokens").alias("tokens"))
 
 
-def make_batches(rows: DataFrame, size: int, counter: str = "words", buckets: int = 8, order: str = "hash", by: str | None = None) -> DataFrame:
-    """(batch_id, items, tokens), the last one ragged; ``by`` keeps groups of that column apart, as (by, batch_id)."""
+def _index_within(rows: DataFrame, by: str, buckets: int = 32) -> DataFrame:
+    """``row_index`` 0..n-1 within each value of ``by``; a hot value is numbered in buckets, not in one task."""
+    rows = rows.withColumn("bucket", F.pmod(F.xxhash64("row_id"), F.lit(buckets)).cast("int"))
+    counts = rows.groupBy(by, "bucket").agg(F.count("*").alias("n"))
+    before = counts.select(by, "bucket", F.coalesce(F.sum("n").over(W.partitionBy(by).orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    number = F.row_number().over(W.partitionBy(by, "bucket").orderBy("row_id")) - 1
+    return rows.withColumn("number", number).join(before, [by, "bucket"]).withColumn("row_index", F.col("number") + F.col("before")).drop("bucket", "number", "before")
+
+
+def indexed(rows: DataFrame, counter: str = "words", buckets: int = 8, order: str = "hash", by: str | None = None) -> DataFrame:
+    """Rows with ``tokens`` and ``row_index``, from which batches of any size are cut."""
+    rows = rows.withColumn("tokens", count_column(F.col("text"), counter))
+    return _index_within(rows, by) if by is not None else with_row_index(rows, "row_id", buckets, order)
+
+
+def cut_batches(rows: DataFrame, size: int, by: str | None = None, only: list[int] | None = None) -> DataFrame:
+    """Batches of indexed rows, or of those only that are named."""
     if size < 1:
         raise ValueError("a batch holds at least one row")
-    rows = rows.withColumn("tokens", count_column(F.col("text"), counter))
-    if by is not None:
-        n = F.row_number().over(W.partitionBy(by).orderBy("row_id")) - 1
-        rows = rows.withColumn("row_index", n)
-    else:
-        rows = with_row_index(rows, "row_id", buckets, order)
     rows = rows.withColumn("batch_id", F.floor(F.col("row_index") / size).cast("long")).withColumn("pos", F.col("row_index") % size + 1)
+    if only is not None:
+        rows = rows.where(F.col("batch_id").isin(only))
     return _items(rows.groupBy(*([by] if by else []), "batch_id"), "pos")
 
 
+def make_batches(rows: DataFrame, size: int, counter: str = "words", buckets: int = 8, order: str = "hash", by: str | None = None) -> DataFrame:
+    """(batch_id, items, tokens), the last one ragged; ``by`` keeps groups of that column apart, as (by, batch_id)."""
+    return cut_batches(indexed(rows, counter, buckets, order, by), size, by)
+
+
 def pack_batches(rows: DataFrame, token_limit: int, counter: str = "words", buckets: int = 8) -> DataFrame:
     """(batch_id, items, tokens) with at most ``token_limit`` tokens each, whatever the widths.
 
@@ -73,19 +90,36 @@ def pack_batches(rows: DataFrame, token_limit: int, counter: str = "words", buck
     return _items(rows.groupBy("batch_id"), "pos")
 
 
-def make_cells(left: DataFrame, right: DataFrame, small_bytes: int | None = None, tiles: int = 8, on: str | None = None) -> DataFrame:
+def make_cells(left: DataFrame, right: DataFrame, small_bytes: int | None = None, tiles: int = 8, on: str | None = None, parallelism: int | None = None, counts: tuple[int, int] | None = None) -> DataFrame:
     """All pairs of batches: (left_batch, left_items, right_batch, right_items).
 
     ``small_bytes`` is a bound of the right side's size: up to ``BROADCAST_BYTES`` it is sent
     to all tasks and no cell is shuffled.  Beyond that both sides are replicated on a square
-    of tiles and every tile forms its own cells.  ``on`` pairs batches of equal groups only.
+    of tiles and every tile forms its own cells.  ``on`` pairs batches of equal groups only; a group
+    of many cells is dealt to several tasks.
+
+    With ``parallelism`` and the numbers of batches (``counts``) cells are dealt to so many tasks before they are
+    formed, by left batches and, where those are too few, by ranges of right ones: small batches would
+    otherwise end in one task, whose calls follow one another.
     """
     l = left.select(*([F.col(on)] if on else []), F.col("batch_id").alias("left_batch"), F.col("items").alias("left_items"))  # noqa: E741
     r = right.select(*([F.col(on)] if on else []), F.col("batch_id").alias("right_batch"), F.col("items").alias("right_items"))
     if on:
-        return l.join(r, on)
+        count = lambda x, n: x.groupBy(on).agg(F.count("*").alias(n))
+        ways = count(l, "nl").join(count(r, "nr"), on).select(on, F.ceil(F.col("nl") * F.col("nr") / GROUP_CELLS).cast("int").alias("ways"))
+        ways = ways.withColumn("ways", F.least("ways", F.lit(4096)))
+        l = l.join(ways, on).withColumn("way", F.pmod(F.xxhash64("left_batch"), F.col("ways")).cast("int")).drop("ways")  # noqa: E741
+        r = r.join(ways, on).withColumn("way", F.explode(F.sequence(F.lit(0), F.col("ways") - 1))).drop("ways")
+        return l.join(r, [on, "way"]).drop("way")
+    tiles = max(tiles, math.isqrt(parallelism or 1))
     if small_bytes is not None and small_bytes <= BROADCAST_BYTES:
-        return l.crossJoin(F.broadcast(r))
+        if not parallelism or not counts or not all(counts):
+            return l.crossJoin(F.broadcast(r))
+        ways = min(counts[1], -(-parallelism // counts[0]))
+        n = min(parallelism, counts[0] * ways)
+        l = l.withColumn("way", F.explode(F.sequence(F.lit(0), F.lit(ways - 1))))  # noqa: E741
+        l = l.repartitionById(n, F.pmod(F.col("left_batch") * ways + F.col("way"), F.lit(n)).cast("int"))  # noqa: E741
+        return l.join(F.broadcast(r.withColumn("way", F.pmod(F.col("right_batch"), F.lit(ways)).cast("int"))), "way").drop("way")
     place = lambda name: F.pmod(F.xxhash64(name), F.lit(tiles)).cast("int")
     spread = F.explode(F.sequence(F.lit(0), F.lit(tiles - 1)))
     l = l.withColumn("tile_row", place("left_batch")).withColumn("tile_col", spread)  # noqa: E741

@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import time
 import uuid
-import zlib
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -17,6 +16,7 @@ from pyspark.sql import functions as F
 from semjoin import schemas
 from semjoin.functions.tokens import count_column
 from semjoin.operators.batching import BROADCAST_BYTES
+from semjoin.state import Scratch
 from semjoin.types import JoinRun
 
 BLOCK = 2048  # vectors a block
@@ -35,21 +35,36 @@ class HashingEmbedder:
     gram: int = 3
     profile: EmbedderProfile = EmbedderProfile()
 
-    def vector(self, text: str) -> np.ndarray:
-        v = np.zeros(self.size)
-        t = f" {text.lower()} "
-        for i in range(len(t) - self.gram + 1):
-            v[zlib.crc32(t[i : i + self.gram].encode()) % self.size] += 1
-        n = np.linalg.norm(v)
-        return v / n if n else v
+    def vectors(self, texts: list[str | None]) -> np.ndarray:
+        """One row a text; the grams of all texts are hashed together."""
+        lower = [f" {(t or '').lower()} " for t in texts]
+        size = np.fromiter(map(len, lower), np.int64, len(lower))
+        points = np.frombuffer("".join(lower).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+        n = max(0, len(points) - self.gram + 1)
+        h = np.zeros(n, np.uint64)
+        for k in range(self.gram):
+            h = h * np.uint64(0x9E3779B97F4A7C15) + points[k : k + n]
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xBF58476D1CE4E5B9)
+        h ^= h >> np.uint64(32)
+        text = np.repeat(np.arange(len(lower)), size)
+        inside = text[:n] == text[self.gram - 1 :]
+        at = text[:n][inside] * self.size + (h[inside] % np.uint64(self.size)).astype(np.int64)
+        v = np.bincount(at, minlength=len(lower) * self.size).reshape(len(lower), self.size).astype(np.float64)
+        norm = np.linalg.norm(v, axis=1, keepdims=True)
+        return v / np.where(norm > 0, norm, 1)
 
     def embed(self, rows: DataFrame) -> DataFrame:
-        """(row_id, vector)"""
-        make = self.vector
+        """(row_id, vector); the caller writes it once, every evaluation would be charged."""
+        make, size = self.vectors, self.size
 
         def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([make(t or "").tolist() for t in b.column(1).to_pylist()], pa.list_(pa.float64()))], ["row_id", "vector"])
+            for batch in batches:
+                for lo in range(0, batch.num_rows, 500):
+                    b = batch.slice(lo, 500)
+                    v = make(b.column(1).to_pylist())
+                    lists = pa.ListArray.from_arrays(pa.array(np.arange(len(v) + 1, dtype=np.int32) * size), pa.array(v.ravel()))
+                    yield pa.RecordBatch.from_arrays([b.column(0), lists], ["row_id", "vector"])
 
         return rows.select("row_id", "text").mapInArrow(run, "row_id bigint, vector array<double>")
 
@@ -106,10 +121,18 @@ def nearest(left: DataFrame, right: DataFrame, top: int = 1, rows: tuple[int, in
     return found.withColumn("rank", rank).where(F.col("rank") <= top).drop("rank")
 
 
+def embedded(left: DataFrame, right: DataFrame, embedder, name: str = "embedded") -> tuple[DataFrame, DataFrame]:
+    """The vectors of both sides, made and written once."""
+    if embedder is None:
+        return left, right
+    scratch = Scratch(left.sparkSession, name)
+    return scratch.table(embedder.embed(left), "left"), scratch.table(embedder.embed(right), "right")
+
+
 def embedding_join(left: DataFrame, right: DataFrame, embedder=None, direction: str = "left", min_similarity: float | None = None) -> JoinRun:
     """Every row with its most similar row of the other side.  With an embedder the sides have texts, else vectors."""
     began, run_id = time.perf_counter(), f"embedding-{uuid.uuid4().hex[:8]}"
-    a, b = (embedder.embed(left), embedder.embed(right)) if embedder else (left, right)
+    a, b = embedded(left, right, embedder, run_id)
     forward = lambda: nearest(a, b)
     backward = lambda: nearest(b, a).select(F.col("right_id").alias("left_id"), F.col("left_id").alias("right_id"), "similarity")
     if direction == "left":
@@ -134,7 +157,7 @@ def embedding_join(left: DataFrame, right: DataFrame, embedder=None, direction:
 
 def embedding_prefilter(left: DataFrame, right: DataFrame, embedder=None, top_k: int = 5, min_similarity: float | None = None) -> DataFrame:
     """Candidate pairs for ``pairwise_join(candidates=...)``; lossy where similarity is the wrong signal."""
-    a, b = (embedder.embed(left), embedder.embed(right)) if embedder else (left, right)
+    a, b = embedded(left, right, embedder)
     found = nearest(a, b, top_k)
     if min_similarity is not None:
         found = found.where(F.col("similarity") >= min_similarity)

@@ -37,6 +37,7 @@ class ModelProfile:
     timeout_s: float = 20.0
     temperature: float = 0.0
     max_retries: int = 3
+    max_parallel: int | None = None  # calls at a time; None: as many as there are cores
 
     @property
     def write_ratio(self) -> float:
@@ -97,6 +98,11 @@ class JoinRun:
         cents = lambda tokens, price: F.col(tokens).cast("decimal(18,0)") * F.lit(price / 1000).cast("decimal(12,6)")
         return self.usage().select((cents("tokens_read", model.read_price) + cents("tokens_written", model.write_price)).cast("decimal(24,6)").alias("fee"))
 
+    def quality(self, truth: DataFrame) -> DataFrame:
+        from semjoin.operators.quality import quality
+
+        return quality(self.pairs, truth)
+
     def with_payload(self, left: DataFrame, right: DataFrame, left_id: str = "row_id", right_id: str = "row_id") -> DataFrame:
         l = left.select(*[F.col(c).alias("left_id" if c == left_id else f"left_{c}") for c in left.columns])  # noqa: E741
         r = right.select(*[F.col(c).alias("right_id" if c == right_id else f"right_{c}") for c in right.columns])
