@@ -3,12 +3,13 @@
 Jaccard distance is a metric, so pivots cut the space into Voronoi regions, and the triangle inequality tells
 which documents near a border must be replicated.  Links are pairs at a distance of at most r = 1/4.
 
-1. ``PIVOTS`` documents, drawn over all distinct sets and thinned so that any two are more than 2 r apart,
+1. ``PIVOTS`` documents, drawn over all distinct sets and thinned so that any two are more than 3 r apart,
    are sent to all tasks.  The pass over the texts measures every document's exact distances to them.  With D its
-   least one, a document with D < 3 r lies in the region of its nearest pivot and is replicated to every region
-   whose pivot is at most D + 2 r away: its partner's region is among them.  What is within r of a pivot
-   is linked to it on the spot, so large groups of copies cost no shuffle of sets.
-2. A document with D >= 2 r is (also) in the far region: all pivots are about equally far from it.  In this space
+   least one, a document lies in the region of its nearest pivot and is replicated to every region whose pivot
+   is at most D + r away and nearer than 3 r: of two linked documents that are not both far, the one with the larger
+   D is so replicated to the other's own region (its distance there is at most the other's D + r).  What is
+   within r of a pivot is linked to it on the spot, so large groups of copies cost no shuffle of sets.
+2. A document with D >= 2 r is (also) in the far region, where two such documents meet: all pivots are about equally far from it.  In this space
    that is nearly every document - nearly all distances are 1 - so whole documents as pivots cannot cut it,
    and it is cut by pivots of a single shingle instead.  A document of n shingles is at less than distance 1 from n of
    those; in one global order (common shingles last) its first n - ceil(3 n / 4) + 1 are the regions it is
@@ -56,7 +57,7 @@ PIVOT_SIZE = 2048
 RADIUS = 1 - SIMILARITY[0] / SIMILARITY[1]
 BAND = 4 / 3  # sizes of linked documents differ by this factor at most
 REGION_ROWS = 700_000
-BLOCK = 2000  # members of a region compared in one task
+BLOCK = 4000  # members of a region compared in one task
 LEAF = 64  # members of a region that are compared pair by pair
 SLACK = 1e-9
 _U = np.uint64
@@ -119,7 +120,7 @@ class Pivots:
         return cls(np.array(ids, np.int64), np.array([len(s) for s in sets], np.int64), flat[order], owner[order])
 
     def thinned(self) -> Pivots:
-        """Each pivot more than 2 r away from those before it."""
+        """Each pivot more than 3 r away from those before it."""
         order = np.argsort(self.owners, kind="stable")
         sets = np.split(self.shingles[order], np.cumsum(self.sizes)[:-1]) if len(self.ids) else []
         a, p, d, _ = self.distances(sets)
@@ -127,7 +128,7 @@ class Pivots:
         for i in range(len(sets)):
             if free[i]:
                 chosen.append(i)
-                free[p[(a == i) & (d <= 2 * RADIUS)]] = False
+                free[p[(a == i) & (d <= 3 * RADIUS)]] = False
         return Pivots.of(self.ids[chosen].tolist(), [sets[i] for i in chosen])
 
     def distances(self, sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -172,7 +173,7 @@ def _windows(common: np.ndarray, rank: np.ndarray, bits: int, pivots):
                 a, p, d, linked = measure.distances(sets)
                 least = np.ones(len(sets))
                 np.minimum.at(least, a, d)
-                cell = (least[a] < 3 * RADIUS + SLACK) & (d <= least[a] + 2 * RADIUS + SLACK)
+                cell = (d < 3 * RADIUS + SLACK) & (d <= least[a] + RADIUS + SLACK)
                 if cell.any():
                     yield _sent([-1], None, None, ids[a[cell]], p[cell], d[cell], linked[cell], measure.ids)
                 far = np.flatnonzero(least >= 2 * RADIUS - SLACK)
@@ -372,6 +373,32 @@ def _leaf(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     tidy()
 
 
+def _dealt(left: DataFrame) -> DataFrame:
+    """Adds ``g`` and ``side`` (as ``blocks.spread`` does) to members of regions: which of them meet in a task.
+
+    Of a large region most members are joined already, in one component.  They need not meet each other, so
+    they are cut in blocks that each meet the blocks of the others, and only those meet among themselves.
+    """
+    whole = lambda df: df.withColumn("g", F.xxhash64("region")).withColumn("side", F.lit(-1))
+    large = left.where(F.col("size") > BLOCK)
+    counts = large.groupBy("region", "component").agg(F.count("*").alias("rows"))
+    main = counts.groupBy("region").agg(F.max_by("component", F.struct("rows", "component")).alias("main"), F.max("rows").alias("inside"), F.sum("rows").alias("rows"))
+    main = main.select("region", "main", F.ceil(F.col("inside") / BLOCK).alias("inner"), F.ceil(F.greatest(F.col("rows") - F.col("inside"), F.lit(1)) / BLOCK).alias("outer"), (F.col("rows") - F.col("inside")).alias("others"))
+    large = large.join(main, "region")
+    block = lambda n: F.pmod(F.xxhash64("rep"), F.col(n))
+    each = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+    inside = large.where("component = main").withColumn("own", block("inner")).withColumn("other", each("outer"))
+    outside = large.where("component <> main")
+    across = outside.withColumn("other", block("outer")).withColumn("own", each("inner"))
+    meet = lambda df, side: df.withColumn("g", F.xxhash64("region", F.lit(1), "own", "other")).withColumn("side", F.lit(side))
+    cols = [*left.columns, "g", "side"]
+    parts = [whole(left.where(F.col("size") <= BLOCK)), meet(inside, 0), meet(across, 1), spread(outside, ["region"], "others", "rep", BLOCK)]
+    out = parts[0].select(cols)
+    for x in parts[1:]:
+        out = out.union(x.select(cols))
+    return out
+
+
 class _Join:
     def __init__(self, docs: DataFrame, id_col: str, text_col: str):
         self.rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
@@ -463,7 +490,7 @@ class _Join:
         known = first.select(F.col("a").alias("rep"), F.col("b").alias("pivot"), F.col("d").alias("dp"))
         # A pivot that was measured is not compared again; those of the first step are no members here.
         left = named.join(split, "region").where("known or rep <> pivot").join(known, ["rep", "pivot"], "left").withColumn("d", F.coalesce("d", "dp"))
-        left = spread(self.scratch.table(left.select("region", "rep", "n", "component", "d", "size"), "left"), ["region"], "size", "rep", BLOCK)
+        left = _dealt(self.scratch.table(left.select("region", "rep", "n", "component", "d", "size"), "left"))
         left = left.join(self.sizes.select("rep", "parity"), "rep").select("rep", "n", "component", "d", "parity", "g", "side")
         pairs = left.repartition("g").sortWithinPartitions("g").mapInArrow(_leaf, "a bigint, b bigint").distinct()
         pairs = self.scratch.table(pairs, "pairs")
