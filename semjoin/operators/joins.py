@@ -364,9 +364,11 @@ def _downward(left, right, predicate, model, estimate, growth, style, order, beg
     n_right = right.count()
     for k in range(parts):
         part = left.where(F.pmod(F.xxhash64("row_id"), F.lit(parts)) == k)
-        n = part.count()
+        n, widest = part.count(), False
         while n and n_right:
             plan, profiles = plan_join(part, right, predicate, model, estimate, style)
+            if widest:
+                plan, _ = plan_join(part, right, predicate, model, estimate, style, profiles=tuple(replace(p, width_mean=float(p.width_max)) for p in profiles))
             if max_fee is not None and (fee := spent + plan.expected_cost * model.profile.read_price / 1000) > max_fee:
                 raise FeeLimit(f"{fee:.2f} cents are forecast, {max_fee} allowed")
             run = block_join(part, right, predicate, model, plan.batch_left, plan.batch_right, style, "report", completion_check, order, parallelism, profiles, plan)
@@ -379,8 +381,9 @@ def _downward(left, right, predicate, model, estimate, growth, style, order, beg
                 pairs.append(run.pairs)
                 estimate = min(estimate, max(growth * run.pairs.count() / (n * n_right), 1e-6))
                 break
-            if estimate >= 1:
-                raise BudgetTooSmall("batches for an estimate of 1 overflow")
+            if estimate >= 1 and widest:
+                raise BudgetTooSmall("batches for the widest rows overflow")
+            widest = estimate >= 1
             estimate = min(1.0, estimate * growth)
     spark = left.sparkSession
     return JoinRun(run_id, "adaptive_down", _union(pairs) if pairs else spark.createDataFrame([], schemas.PAIR), _union(ledger) if ledger else spark.createDataFrame([], schemas.LEDGER), None, rounds, time.perf_counter() - began)

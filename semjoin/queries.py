@@ -230,17 +230,7 @@ def price_statement(spark, d):
     return spark.createDataFrame(rows, "method string, holds boolean")
 
 
-@query("growth_ablation")
-def growth_ablation(spark, d):
-    from dataclasses import replace
-
-    rows = []
-    for g in (1.5, 2.0, 4.0, 8.0, 16.0):
-        s = replace(simulate.Setting(), growth=g)
-        void, _ = simulate.void_calls(s)
-        fee = {r["method"]: r["fee"] for r in simulate.simulate(spark, [(g, s)], ("informed", "adaptive")).collect()}
-        rows.append((g, len(void), fee["adaptive"], fee["adaptive"] / fee["informed"]))
-    return spark.createDataFrame(rows, "growth double, void_calls int, fee double, regret double")
+GROWTHS = (1.5, 2.0, 4.0, 8.0, 16.0)
 
 
 # ---- semantic joins on the workloads ----
