@@ -16,14 +16,15 @@ The whole automaton may have more arcs than any memory holds, but a block of tex
 only ever takes arcs of its own n-grams.  So
 
 1. texts are written once as blocks, a row each;
-2. every block sends its distinct n-grams, as sorted 64-bit keys by hash range, with their training
+2. every block sends its distinct n-grams, as sorted keys of ``KEY_BITS`` by hash range, with their training
    counts in the block; a range sums them up and answers each block, in the order of its keys, with
    the counts that differ from its own (an n-gram that occurs in one block only needs no answer);
 3. the answers meet their block again, which builds its part of the automaton and walks its documents
    left to right, carrying the state; long documents are walked in segments that start two tokens early.
 
 What is gathered grows with the input and lies in shuffled tables; nothing is broadcast and the driver
-sees N and V.  A task of step 2 holds ``PART_KEYS`` keys, one of step 3 one block (or one longer text).
+sees N and V.  Two of n n-grams of one order share a key with probability n / 2^54: at 30 GB of text one
+n-gram in a million counts for another too, at 100 TB one in a thousand.  A task of step 2 holds ``PART_KEYS`` keys, one of step 3 one block (or one longer text).
 
 Defined cases: null text is an empty text (the end alone); without training tokens every token
 has base probability 1 and score 0; rows that repeat an id are scored apart; rows with a null id
@@ -45,9 +46,10 @@ from pyspark.sql.pandas.types import to_arrow_type
 from .scratch import Scratch
 from .words import mix, slices, split, strings, tidy, word_hashes
 
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 6 << 20
+KEY_BITS = 56
 PART_KEYS = 1_000_000
-KEYS_PER_BYTE = 0.25  # of distinct n-grams to bytes of text, about; only the number of parts depends on it
+KEYS_PER_BYTE = 0.28  # of distinct n-grams to bytes of text, about; only the number of parts depends on it
 STRENGTH = 4.0
 SEGMENT = 256
 CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
@@ -77,7 +79,7 @@ def tokens(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _key(h: np.ndarray, order: np.uint64) -> np.ndarray:
-    return (h & ~_U(3)) | order
+    return (h >> _U(64 - KEY_BITS)) & ~_U(3) | order
 
 
 @dataclass
@@ -104,7 +106,7 @@ class Grams:
         inner[first] = False
         inner = np.flatnonzero(inner)
         three = mix(two[inner - 1] * _C + t[inner])
-        every = np.concatenate([_key(t, TOKEN), _key(two, PAIR), _key(three, TRIPLE), [START & ~_U(3)]])
+        every = np.concatenate([_key(t, TOKEN), _key(two, PAIR), _key(three, TRIPLE), _key(np.array([START]), _U(0))])
         keys, index = np.unique(every, return_inverse=True)
         index = index.astype(np.int32)
         n = len(t)
@@ -242,7 +244,7 @@ def _opened(n: int, raw: memoryview) -> Grams:
 
 def _cuts(keys: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
     """Hash ranges that occur among sorted keys, and where each begins."""
-    part = (keys >> _U(64 - bits)).astype(np.int64)
+    part = (keys >> _U(KEY_BITS - bits)).astype(np.int64)
     cut = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
     return part[cut], np.r_[cut, len(keys)]
 
