@@ -1,5 +1,5 @@
 """Written intermediate tables; the same as the engine's."""
 
-from semjoin.state import Scratch, shared_root
+from semjoin.state import Scratch, delete, shared_root
 
-__all__ = ["Scratch", "shared_root"]
+__all__ = ["Scratch", "delete", "shared_root"]

@@ -4,16 +4,20 @@ The model's protobuf is parsed here; from it come the normaliser, the metaspace
 pieces with their scores (unigram, or for BPE the merges that the scores order) and byte
 fallback.  Where no piece has the marker behind another character - checked on loading - a
 text falls apart at its spaces without any effect on the ids, so each distinct chunk (spaces
-and what follows) is encoded once, many in one multithreaded batch.  Every new chunk is held
-against the sentencepiece library itself; its ids win and the difference is counted.
+and what follows) is encoded once, many in one multithreaded batch.  Parity with the sentencepiece
+library itself is verified for every chunk (for models without a dummy prefix, or that strip spaces, for
+every text).  Ids are always those of this backend; what differs is counted in ``n_differ``, and with
+``strict`` it raises ``ParityError``.  Decoding is the tokenizers library's decoder.
 
 Defined cases: null text is an empty text, without ids; bytes without a piece fall back to
-byte pieces; an empty table gives an empty result; other columns are ignored.
+byte pieces; rows that repeat an id, and rows with a null id, are encoded each on their own; an empty
+table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
+import os
 import re
 import struct
 from collections.abc import Iterable, Iterator
@@ -32,6 +36,10 @@ NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6  # fixed values
 UNIGRAM, BPE = 1, 2
 
 
+class ParityError(RuntimeError):
+    """The tokenizers backend and the sentencepiece library give different ids."""
+
+
 def model_path(name: str = MODEL) -> str:
     import public_tokenizers
 
@@ -138,6 +146,13 @@ class Codec:
         raw = [bytes([int(p[3:5], 16)]) if kind == BYTE else b"" if kind in (CONTROL, UNKNOWN) else p.replace(MARK, " ").encode() for p, _, kind in self.model.pieces]
         self.raw = raw
         self.is_byte = np.array([kind == BYTE for _, _, kind in self.model.pieces])
+        self.plain = np.array([kind not in (CONTROL, UNKNOWN) for _, _, kind in self.model.pieces])
+        self.by_chunk = self.separable and self.model.dummy_prefix and not self.model.remove_extra and not self.normalizer
+        from tokenizers import decoders
+
+        steps = [decoders.Replace(MARK, " "), decoders.ByteFallback(), decoders.Fuse()]
+        leading = 1 << 20 if self.model.remove_extra else int(self.model.dummy_prefix)  # spaces that encoding put there or would take away
+        self.inner.decoder = decoders.Sequence([*steps, decoders.Strip(" ", leading, 0)])
         self.forget()
 
     @classmethod
@@ -156,16 +171,15 @@ class Codec:
         if self.normalizer:
             text = self.normalizer.normalize_str(text)
         if self.model.remove_extra:
-            text = re.sub(" {2,}", " ", text).strip(" ")
+            text = re.sub(" {2,}", " ", text).lstrip(" ").rstrip(f" {MARK}")  # at the end a marker of the text counts as a space
         return text
 
     def _learn(self, chunks: list[str]) -> None:
+        os.environ["TOKENIZERS_PARALLELISM"] = "true"
         found = [e.ids for e in self.inner.encode_batch_fast([c.replace(" ", MARK) for c in chunks], add_special_tokens=False)]
         differ = np.zeros(len(chunks), bool)
-        if self.model.dummy_prefix:
-            for i, ids in enumerate(self.reference.encode([c[1:] for c in chunks], num_threads=1)):
-                if ids != found[i] and len(chunks[i]) > 1:
-                    differ[i], found[i] = True, ids
+        if self.by_chunk:
+            differ[:] = [ids != mine and len(c) > 1 for c, ids, mine in zip(chunks, self.reference.encode([c[1:] for c in chunks]), found)]
         size = np.fromiter(map(len, found), np.int64, len(found))
         self.known.update(zip(chunks, range(len(self.known), len(self.known) + len(chunks))))
         self.at = np.concatenate([self.at, self.at[-1] + np.cumsum(size)])
@@ -176,6 +190,7 @@ class Codec:
 
     def encode(self, col: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Flat ids, each text's offsets, whether it decodes to what went in, chunks that differed from the reference."""
+        given = col
         if self.normalizer or self.model.remove_extra:
             col = pa.array([self.normalised(t) for t in col.to_pylist()], pa.large_string())
         data, at = buffer(col)
@@ -209,19 +224,25 @@ class Codec:
         ends = np.concatenate([[0], np.cumsum(n)])
         bad = np.concatenate([[0], np.cumsum(~self.same[entry])])
         differ = np.concatenate([[0], np.cumsum(self.differ[entry])])
-        return ids, ends[docs], np.diff(bad[docs]) == 0, np.diff(differ[docs])
+        differ = np.diff(differ[docs])
+        if not self.by_chunk:
+            at = ends[docs]
+            wanted = self.reference.encode(given.to_pylist())
+            differ = np.array([ids[a:b].tolist() != w for a, b, w in zip(at.tolist(), at[1:].tolist(), wanted)], np.int64)
+        return ids, ends[docs], np.diff(bad[docs]) == 0, differ
 
     def decode(self, ids: Iterable[int]) -> str:
-        text = b"".join([self.raw[i] for i in ids]).decode("utf-8", "replace")
-        return text[1:] if self.model.dummy_prefix and text.startswith(" ") else text
+        return self.inner.decode([i for i in ids if self.plain[i]], skip_special_tokens=False)
 
 
-def _run(path: str, with_ids: bool):
+def _run(path: str, with_ids: bool, strict: bool):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = Codec.of(path)
         for batch in batches:
             for rows, col in slices(batch):
                 ids, at, same, differ = codec.encode(col)
+                if strict and differ.any():
+                    raise ParityError(f"{int((differ > 0).sum())} texts of a slice have other ids in the sentencepiece library")
                 little = np.ascontiguousarray(ids.astype("<i4"))
                 digests = [hashlib.sha256(little[a:b]).hexdigest() for a, b in zip(at[:-1].tolist(), at[1:].tolist())]
                 byte = np.concatenate([[0], np.cumsum(codec.is_byte[ids])])
@@ -235,12 +256,12 @@ def _run(path: str, with_ids: bool):
     return run
 
 
-def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, with_ids: bool = False) -> DataFrame:
+def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, with_ids: bool = False, strict: bool = False) -> DataFrame:
     """Ids of every whole text, as digests and (``with_ids``) themselves; one scan, no shuffle."""
     rows = docs.select(F.col(id_col), F.col(text_col).alias("text"))
     kind = rows.schema[0].dataType.simpleString()
     schema = f"`{id_col}` {kind}, n_tokens bigint, n_byte_tokens bigint, ids_sha256 string, round_trip boolean, n_differ bigint" + (", ids array<int>" if with_ids else "")
-    return rows.mapInArrow(_run(path or model_path(), with_ids), schema)
+    return rows.mapInArrow(_run(path or model_path(), with_ids, strict), schema)
 
 
 def decode(encoded: DataFrame, ids_col: str = "ids", path: str | None = None) -> DataFrame:

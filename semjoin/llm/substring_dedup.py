@@ -7,11 +7,15 @@ an entry (fingerprint, document, first window, last window) stands for all of th
 
 The index holds fingerprints in immutable runs: distinct, bucketed by fingerprint and sorted.
 Each batch becomes a run and is merge-joined with the older runs, bucket by bucket, without
-moving those; what both hold is shared.  When ``FANOUT`` runs have gathered they are merged
-into one.  A hot passage is one row of a run, however many documents have it.
-
-Windows with a shared fingerprint are then verified: within a fingerprint, 35-word hashes are
-compared.  Windows that repeat inside a task's slice are decided there and only one of each
+moving those; what both hold is shared.  When ``FANOUT`` runs of one level have gathered they are merged
+into one.  A hot passage is one row of a run, however many documents have it.  The index lives on a path: a
+manifest names its complete runs and the entries of their batches, so that a later call, in another
+session, opens it and joins the next batch with all that came before.  A run counts once the manifest that names
+it is written; what a lost driver left behind is not read.
+
+Windows with a shared fingerprint are then verified: within a fingerprint, two independent 64-bit hashes
+of all 35 words are compared, 128 bits in all (at 2e13 windows a false equal has probability below 1e-11).
+Windows that repeat inside a task's slice are decided there and only one of each
 goes on, so the most frequent window costs one row a slice.
 
 Defined cases: null text has no words; documents of fewer than ``WINDOW`` words lose nothing;
@@ -24,14 +28,15 @@ from __future__ import annotations
 import hashlib
 import uuid
 from collections.abc import Iterable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .bitmap import bit_table, lacks, may_contain
-from .scratch import Scratch
+from .scratch import Scratch, delete
 from .words import Words, gram_hashes, mix, ranges, slices, split, word_hashes
 
 WINDOW = 35
@@ -40,7 +45,10 @@ BATCHES = 3
 FANOUT = 4
 BUCKET_ROWS = 2_000_000
 REGION_WINDOWS = 1_500_000
+ENTRIES = "fp bigint, doc bigint, lo int, hi int"
+_MANIFEST = "kind string, name string, level int, place int, buckets int"
 _U = np.uint64
+_SECOND = (_U(0x2545F4914F6CDD1D), _U(0xA0761D6478BD642F))  # bases of the second hash
 
 
 def _entries(h: np.ndarray, docs: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -88,45 +96,89 @@ def _anchors(window: int):
 
 
 class FingerprintIndex:
-    """Sorted immutable runs of distinct fingerprints; ``n`` is how often each occurred so far in its run."""
-
-    def __init__(self, scratch: Scratch, buckets: int):
-        self.scratch, self.buckets = scratch, buckets
-        self.runs: list[tuple[str, int]] = []  # table, level
+    """Sorted immutable runs of distinct fingerprints on a path; ``n`` is how often each occurred so far in its run."""
+
+    def __init__(self, spark: SparkSession, path: str, buckets: int):
+        self.spark, self.path, self.buckets = spark, path.rstrip("/"), buckets
+        self.runs: list[tuple[str, int]] = []  # name, level
+        self.batches: list[str] = []  # entries of every batch
+        self.version = 0
+
+    @classmethod
+    def open(cls, spark: SparkSession, path: str, buckets: int = 8) -> FingerprintIndex:
+        """The index on a path as its last manifest has it; a new one (with so many buckets) where there is none."""
+        index = cls(spark, path, buckets)
+        folder = spark._jvm.org.apache.hadoop.fs.Path(f"{index.path}/manifest")
+        fs = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+        if fs.exists(folder):
+            made = [int(x.getPath().getName()) for x in fs.listStatus(folder) if fs.exists(spark._jvm.org.apache.hadoop.fs.Path(x.getPath(), "_SUCCESS"))]
+            if made:
+                index.version = max(made)
+                rows = spark.read.schema(_MANIFEST).json(f"{index.path}/manifest/{index.version}").collect()
+                index.buckets = rows[0]["buckets"]
+                index.runs = [(x["name"], x["level"]) for x in sorted(rows, key=lambda x: x["place"]) if x["kind"] == "run"]
+                index.batches = [x["name"] for x in sorted(rows, key=lambda x: x["place"]) if x["kind"] == "batch"]
+                for name, _ in index.runs:
+                    index._register(name)
+        return index
+
+    def _register(self, name: str) -> None:
+        """A name in this session's catalogue for a run's files, so that their buckets are known."""
+        self.spark.sql(f"CREATE TABLE IF NOT EXISTS {name} (fp BIGINT, n BIGINT) USING parquet CLUSTERED BY (fp) SORTED BY (fp) INTO {self.buckets} BUCKETS LOCATION '{self.path}/{name}'")
+
+    def _commit(self) -> None:
+        self.version += 1
+        rows = [("run", name, level, i, self.buckets) for i, (name, level) in enumerate(self.runs)] + [("batch", name, 0, i, self.buckets) for i, name in enumerate(self.batches)]
+        self.spark.createDataFrame(rows, _MANIFEST).coalesce(1).write.mode("overwrite").json(f"{self.path}/manifest/{self.version}")
 
     def _store(self, rows: DataFrame) -> str:
         name = f"semjoin_run_{uuid.uuid4().hex[:12]}"
-        rows.repartition(self.buckets, "fp").write.bucketBy(self.buckets, "fp").sortBy("fp").option("path", f"{self.scratch.base}/{name}").saveAsTable(name)
+        rows.repartition(self.buckets, "fp").write.bucketBy(self.buckets, "fp").sortBy("fp").option("path", f"{self.path}/{name}").saveAsTable(name)
         return name
 
+    def entries(self) -> list[DataFrame]:
+        """(fp, doc, lo, hi) of every batch so far."""
+        return [self.spark.read.schema(ENTRIES).parquet(f"{self.path}/{name}") for name in self.batches]
+
     def ingest(self, entries: DataFrame) -> list[DataFrame]:
         """Adds a batch; returns tables of fingerprints that are shared within it or with older runs."""
-        spark = self.scratch.spark
+        spark, batch = self.spark, f"batch_{uuid.uuid4().hex[:12]}"
+        entries.write.parquet(f"{self.path}/{batch}")
+        entries = spark.read.schema(ENTRIES).parquet(f"{self.path}/{batch}")
         name = self._store(entries.groupBy("fp").agg(F.count("*").alias("n")))
         new = spark.table(name)
         shared = [new.where("n > 1").select("fp")]
         shared += [new.select("fp").join(spark.table(old).select("fp"), "fp", "left_semi") for old, _ in self.runs]
-        shared = [self.scratch.table(s, "shared") for s in shared]
+        for i, x in enumerate(shared):
+            x.write.parquet(f"{self.path}/shared/{batch}-{i}")
         self.runs.append((name, 0))
-        self.compact()
-        return shared
-
-    def compact(self) -> None:
-        """Merges the youngest runs when ``FANOUT`` of one level have gathered."""
+        self.batches.append(batch)
+        gone = self.compact()
+        self._commit()
+        for old in gone:
+            self._forget(old)
+        return [spark.read.schema("fp bigint").parquet(f"{self.path}/shared/{batch}-{i}") for i in range(len(shared))]
+
+    def compact(self) -> list[str]:
+        """Merges the youngest runs when ``FANOUT`` of one level have gathered; returns those that are merged."""
+        gone = []
         while len(last := [x for x in self.runs if x[1] == self.runs[-1][1]]) >= FANOUT:
-            spark = self.scratch.spark
-            merged = spark.table(last[0][0])
+            merged = self.spark.table(last[0][0])
             for name, _ in last[1:]:
-                merged = merged.union(spark.table(name))
+                merged = merged.union(self.spark.table(name))
             made = self._store(merged.groupBy("fp").agg(F.sum("n").alias("n")))
             self.runs = [x for x in self.runs if x not in last] + [(made, last[0][1] + 1)]
-            for name, _ in last:
-                spark.sql(f"DROP TABLE {name}")
+            gone += [name for name, _ in last]
+        return gone
+
+    def _forget(self, name: str) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS {name}")
+        delete(self.spark, f"{self.path}/{name}")
 
     def close(self) -> None:
+        """Takes the names out of the session's catalogue; the files stay."""
         for name, _ in self.runs:
-            self.scratch.spark.sql(f"DROP TABLE {name}")
-        self.runs = []
+            self.spark.sql(f"DROP TABLE IF EXISTS {name}")
 
 
 def _spans(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -155,6 +207,7 @@ def _windows(window: int, bits: int):
             for rows, col in slices(batch):
                 w = split(col)
                 g = gram_hashes(word_hashes(w), window)
+                g2 = gram_hashes(word_hashes(w, _SECOND[0]), window, _SECOND[1])
                 ids = np.asarray(rows.column(0))
                 doc, fp, lo, hi = _spans(rows.column(rows.schema.get_field_index("spans")))
                 ok = w.docs[doc] + hi + window <= w.docs[doc + 1]  # spans of another row with this id
@@ -165,8 +218,9 @@ def _windows(window: int, bits: int):
                 start, of, key = ranges(lo, size), np.repeat(doc, size), np.repeat(fp, size)
                 if not len(start):
                     continue
-                h = mix(g[start + w.docs[of]] ^ key)
-                _, first, count = np.unique(h, return_index=True, return_counts=True)
+                place = start + w.docs[of]
+                h, h2 = mix(g[place] ^ key), g2[place]
+                first, count = _distinct(h, h2)
                 lone = np.zeros(len(h), bool)
                 lone[first] = True  # one of each goes on
                 many = np.zeros(len(h), bool)
@@ -183,12 +237,20 @@ def _windows(window: int, bits: int):
                 send, part = send[by], part[by]
                 cuts = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]).tolist() + [len(part)]
                 where = start * 2 + many  # the flag rides in the lowest bit
-                data = [h[send[x:y]].tobytes() + np.diff(ids[of[send[x:y]]], prepend=0).tobytes() + where[send[x:y]].astype(np.int32).tobytes() for x, y in zip(cuts, cuts[1:])]
+                data = [h[send[x:y]].tobytes() + h2[send[x:y]].tobytes() + np.diff(ids[of[send[x:y]]], prepend=0).tobytes() + where[send[x:y]].astype(np.int32).tobytes() for x, y in zip(cuts, cuts[1:])]
                 yield _packed(part[cuts[:-1]], data)
 
     return run
 
 
+def _distinct(h: np.ndarray, h2: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Index of one of each distinct pair, and how often it occurs."""
+    order = np.lexsort((h2, h))
+    a, b = h[order], h2[order]
+    first = np.flatnonzero(np.r_[True, (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+    return order[first], np.diff(np.r_[first, len(h)])
+
+
 def _packed(part, data) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.asarray(part, np.int32)), pa.array(data, pa.binary())], ["part", "data"])
 
@@ -201,7 +263,7 @@ def _repeated(window: int):
             yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 100_000]) for x in (d, a, b)], ["doc", "a", "b"])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, docs, wheres = [], [], []
+        hashes, seconds, docs, wheres = [], [], [], []
         for batch in batches:
             for part, x in zip(batch.column(0).to_pylist(), batch.column(1)):
                 raw = x.as_buffer()
@@ -209,18 +271,20 @@ def _repeated(window: int):
                     d = np.frombuffer(raw, np.int64).reshape(3, -1)
                     yield from out(d[0], d[1], d[2])
                     continue
-                n = raw.size // 20
+                n = raw.size // 28
                 hashes.append(np.frombuffer(raw, _U, n))
-                docs.append(np.cumsum(np.frombuffer(raw, np.int64, n, 8 * n)))
-                wheres.append(np.frombuffer(raw, np.int32, n, 16 * n))
+                seconds.append(np.frombuffer(raw, _U, n, 8 * n))
+                docs.append(np.cumsum(np.frombuffer(raw, np.int64, n, 16 * n)))
+                wheres.append(np.frombuffer(raw, np.int32, n, 24 * n))
         if not hashes:
             return
-        h, doc, where = np.concatenate(hashes), np.concatenate(docs), np.concatenate(wheres)
-        del hashes, docs, wheres
-        order = np.argsort(h)
-        h = h[order]
-        first = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
+        h, h2, doc, where = np.concatenate(hashes), np.concatenate(seconds), np.concatenate(docs), np.concatenate(wheres)
+        del hashes, seconds, docs, wheres
+        order = np.lexsort((h2, h))
+        h, h2 = h[order], h2[order]
+        first = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (h2[1:] != h2[:-1])])
         size = np.diff(np.r_[first, len(h)])
+        del h, h2
         # Those met twice in their slice are marked there already; others are marked here.
         again = order[np.repeat(size > 1, size)]
         again = again[(where[again] & 1) == 0]
@@ -256,6 +320,28 @@ def _finish(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(n), pa.array(n - np.diff(kept)), pa.array(digests, pa.string())], [rows.schema.names[0], "n_words", "n_removed", "kept_sha256"])
 
 
+def _union(tables: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.union, tables)
+
+
+def _entries_of(docs: DataFrame, window: int) -> DataFrame:
+    return docs.select("doc", "text").mapInArrow(_anchors(window), ENTRIES)
+
+
+def _verified(docs: DataFrame, entries: list[DataFrame], shared: list[DataFrame], scratch: Scratch, window: int) -> DataFrame:
+    """(doc, a, b) of windows whose anchor is shared and whose words are the same."""
+    # Both sides of the join are written or scanned as they are, so that adaptive execution can split a hot fingerprint.
+    fps = scratch.table(_union(shared).distinct(), "fps")
+    some = [may_contain(e.where("doc is not null"), "fp", table) for table in [bit_table(fps, "fp")] for e in entries]
+    mine = scratch.table(_union(some).join(fps, "fp", "left_semi"), "candidates")
+    windows = mine.agg(F.sum(F.expr("hi - lo + 1"))).first()[0] or 0
+    bits = max(4, int(windows / REGION_WINDOWS).bit_length())
+    spans = mine.groupBy("doc").agg(F.collect_list(F.struct("fp", F.col("lo").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi"))).alias("spans"))
+    texts = may_contain(docs, "doc", bit_table(mine, "doc")).join(spans, "doc").select("doc", "text", "spans")
+    packed = texts.mapInArrow(_windows(window, bits), "part int, data binary")
+    return scratch.table(packed.repartition(1 << bits, "part").mapInArrow(_repeated(window), "doc bigint, a bigint, b bigint"), "ranges")
+
+
 def repeated_ranges(docs: DataFrame, scratch: Scratch, window: int = WINDOW, batches: int = BATCHES) -> DataFrame:
     """(doc, a, b): ranges of words covered by windows that occur elsewhere; ``docs`` has doc and text.
 
@@ -264,28 +350,37 @@ def repeated_ranges(docs: DataFrame, scratch: Scratch, window: int = WINDOW, bat
     ids = docs.select("doc").where("doc is not null")
     cuts = (ids.agg(F.percentile_approx("doc", [i / batches for i in range(1, batches)], 1000)).first()[0] or []) if batches > 1 else []
     edges = [None, *sorted(set(cuts)), None]
-    index, stored, shared = None, [], []
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    # About one entry for 90 bytes.
+    index, shared = FingerprintIndex(docs.sparkSession, f"{scratch.base}/index", max(8, (size // 90 // BUCKET_ROWS).bit_length() * 8)), []
     for lo, hi in zip(edges, edges[1:]):
         batch = docs
         if lo is not None:
             batch = batch.where(F.col("doc") > lo)
         if hi is not None:
             batch = batch.where((F.col("doc") <= hi) | (F.col("doc").isNull() if lo is None else F.lit(False)))
-        entries = scratch.table(batch.select("doc", "text").mapInArrow(_anchors(window), "fp bigint, doc bigint, lo int, hi int"), "entries")
-        if index is None:
-            index = FingerprintIndex(scratch, max(8, (entries.count() * batches // BUCKET_ROWS).bit_length() * 8))
-        shared += index.ingest(entries)
-        stored.append(entries)
-    both = lambda tables: tables[0] if len(tables) == 1 else tables[0].union(both(tables[1:]))
-    fps = both(shared).distinct()
-    mine = scratch.table(both(stored).where("doc is not null").join(fps, "fp", "left_semi"), "candidates")
+        shared += index.ingest(_entries_of(batch, window))
+    found = _verified(docs, index.entries(), shared, scratch, window)
     index.close()
-    windows = mine.agg(F.sum(F.expr("hi - lo + 1"))).first()[0] or 0
-    bits = max(4, int(windows / REGION_WINDOWS).bit_length())
-    spans = mine.groupBy("doc").agg(F.collect_list(F.struct("fp", F.col("lo").cast("long").alias("lo"), F.col("hi").cast("long").alias("hi"))).alias("spans"))
-    texts = may_contain(docs, "doc", bit_table(mine, "doc")).join(spans, "doc").select("doc", "text", "spans")
-    packed = texts.mapInArrow(_windows(window, bits), "part int, data binary")
-    return scratch.table(packed.repartition(1 << bits, "part").mapInArrow(_repeated(window), "doc bigint, a bigint, b bigint"), "ranges")
+    return found
+
+
+def ingest_batch(docs: DataFrame, history: DataFrame | None, path: str, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, buckets: int = 64) -> DataFrame:
+    """Joins the next batch of documents with the index on ``path`` and adds it there.
+
+    Returns (doc, a, b): word ranges covered by windows that occur twice and at least once in this batch, of the
+    batch's documents and of those in ``history`` (all earlier batches; null for the first).  Their union over all
+    batches is what ``repeated_ranges`` gives for all documents together.
+    """
+    spark = docs.sparkSession
+    scratch = Scratch(spark, "substrings")
+    named = lambda df: df.select(F.col(id_col).cast("long").alias("doc"), F.col(text_col).alias("text"))
+    index = FingerprintIndex.open(spark, path, buckets)
+    shared = index.ingest(_entries_of(named(docs), window))
+    every = named(docs) if history is None else named(history).union(named(docs))
+    found = _verified(every, index.entries(), shared, scratch, window)
+    index.close()
+    return found
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, batches: int = BATCHES) -> DataFrame:

@@ -133,6 +133,26 @@ def test_substrings(spark, docs, empty):
     assert substring_dedup.remove_repeats(empty).count() == 0
 
 
+def test_substrings_in_separate_calls(spark, docs, tmp_path):
+    """Batches that come one by one, each with an index opened from its path, give what one call gives."""
+    def ids(df):
+        return {(x["doc"], i) for x in df.collect() for i in range(x["a"], x["b"])}
+
+    path = f"file://{tmp_path}/index"
+    parts = [docs.where(F.col("doc_id") % 6 == k) for k in range(6)]
+    found, history = set(), None
+    for part in parts:
+        found |= ids(substring_dedup.ingest_batch(part, history, path, window=8))
+        history = part if history is None else history.union(part)
+    named = docs.select(F.col("doc_id").alias("doc"), "text")
+    assert found == ids(substring_dedup.repeated_ranges(named, Scratch(spark, "t"), 8, 1)) and found
+    index = substring_dedup.FingerprintIndex.open(spark, path)
+    assert len(index.batches) == 6 and len(index.runs) == 3 and index.runs[0][1] == 1  # four runs were merged
+    n = index.spark.table(index.runs[0][0]).join(index.spark.table(index.runs[1][0]), "fp")
+    assert "Exchange hashpartitioning" not in n._jdf.queryExecution().executedPlan().toString()  # runs are not moved
+    index.close()
+
+
 def test_pii(docs, empty):
     card, iban = "4111 1111 1111 1111", "GB82 WEST 1234 5698 7654 32"
     text = f"mail a.b@c-d.org, x@y no, 10.0.0.256 and 192.168.1.9.7; {card}; +49 (30) 1234-567; {iban}; a@b.c@d.e_f@g.hh +1 2"
