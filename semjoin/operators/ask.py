@@ -10,7 +10,9 @@ from pyspark.sql import functions as F
 
 from semjoin import schemas
 from semjoin.lm.base import Prompt
+from semjoin.lm.cache import AnswerCache, with_hashes
 from semjoin.prompts import PromptStyle
+from semjoin.state import Scratch
 
 CELLS = 16  # cells per Arrow slice; bounds what a worker holds
 
@@ -24,6 +26,27 @@ def _prompts(rows: list[dict], condition: str, style: PromptStyle, kind: str) ->
         yield Prompt(text, kind, tuple(x["key"] for x in l), tuple(x["key"] for x in r), ids(l), ids(r))
 
 
+def ask_cached(cells: DataFrame, model, condition: str, style: PromptStyle, kind: str, cache: AnswerCache, scratch: Scratch) -> DataFrame:
+    """As ``ask``, with answers that are recorded taken from the cache (they cost nothing) and new ones recorded.
+
+    Equal prompts are asked once.  Cells are written, for they are read twice.
+    """
+    spark = cells.sparkSession
+    ids = lambda c: F.transform(c, lambda x: x["row_id"])
+    keyed = scratch.table(cells.select("left_batch", "right_batch", "left_items", "right_items"), "cells")
+    hashes = scratch.table(with_hashes(keyed, lambda rows: _prompts(rows, condition, style, kind)), "hashes")
+    known = cache.answers(spark)
+    new = hashes.join(known, "prompt", "left_anti").groupBy("prompt").agg(F.min(F.struct("left_batch", "right_batch")).alias("c"))
+    new = scratch.table(new.select("prompt", "c.*"), "new")
+    if not new.isEmpty():
+        asked = ask(keyed.join(new, ["left_batch", "right_batch"], "left_semi"), model, condition, style, kind)
+        cache.record(asked.join(new, ["left_batch", "right_batch"]))
+    paid = hashes.join(new.withColumn("paid", F.lit(True)), ["prompt", "left_batch", "right_batch"], "left")
+    out = paid.join(cache.answers(spark), "prompt").join(keyed, ["left_batch", "right_batch"])
+    free = lambda name, zero: F.when(F.col("paid"), F.col(name)).otherwise(F.lit(zero)).alias(name)
+    return out.select("left_batch", "right_batch", ids(F.col("left_items")).alias("left_ids"), ids(F.col("right_items")).alias("right_ids"), "answer", "stopped", free("tokens_read", 0).cast("int").alias("tokens_read"), free("tokens_written", 0).cast("int").alias("tokens_written"), free("latency_ms", 0.0))
+
+
 def ask(cells: DataFrame, model, condition: str, style: PromptStyle, kind: str = "block", parallelism: int | None = None) -> DataFrame:
     """One answer a cell, in the ANSWER schema.  Written once by the caller: every evaluation would be charged."""
 

@@ -15,7 +15,7 @@ from semjoin import schemas
 from semjoin.functions import parse
 from semjoin.functions.tokens import count_column
 from semjoin.lm.base import SemanticPredicate
-from semjoin.operators.ask import ask, ledger_of
+from semjoin.operators.ask import ask, ask_cached, ledger_of
 from semjoin.operators.batching import buckets_for, cut_batches, indexed, make_batches, make_cells, pack_batches
 from semjoin.plans.optimize import optimal_batches
 from semjoin.plans.profile import profile_tables
@@ -53,7 +53,7 @@ def _singles(rows: DataFrame) -> DataFrame:
     return rows.select(F.col("row_id").alias("batch_id"), F.array(item).alias("items"))
 
 
-def pairwise_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, style: PromptStyle | None = None, max_output: int = 1, parallelism: int | None = None, candidates: DataFrame | None = None, method: str = "pairwise", max_fee: float | None = None, profiles: tuple[TableProfile, TableProfile] | None = None) -> JoinRun:
+def pairwise_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, style: PromptStyle | None = None, max_output: int = 1, parallelism: int | None = None, candidates: DataFrame | None = None, method: str = "pairwise", max_fee: float | None = None, profiles: tuple[TableProfile, TableProfile] | None = None, cache=None) -> JoinRun:
     """One prompt per pair; ``candidates`` (left_id, right_id) restricts the pairs, e.g. to a prefilter's."""
     began, style, run_id = time.perf_counter(), style or PromptStyle(), _new_run(method)
     scratch = Scratch(left.sparkSession, run_id)
@@ -74,7 +74,8 @@ def pairwise_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicat
             check_fee(model, n * style.instruction_tokens(predicate.text, "pair") + read, n * max_output, max_fee)
         side = lambda x, s: x.select(F.col("batch_id").alias(f"{s}_batch"), F.col("items").alias(f"{s}_items"))
         cells = c.join(side(l, "left"), F.col("left_id") == F.col("left_batch")).join(side(r, "right"), F.col("right_id") == F.col("right_batch"))
-    answers = scratch.table(ask(cells, model, predicate.text, style, "pair", tasks), "answers")
+    asked = ask_cached(cells, model, predicate.text, style, "pair", cache, scratch) if cache else ask(cells, model, predicate.text, style, "pair", tasks)
+    answers = scratch.table(asked, "answers")
     found = answers.where(parse.read_verdict(F.col("answer"))).select(F.col("left_batch").alias("left_id"), F.col("right_batch").alias("right_id"))
     ledger = ledger_of(answers, run_id, 0, ~F.col("stopped"), parse.is_malformed(F.col("answer")))
     return JoinRun(run_id, method, found, ledger, seconds=time.perf_counter() - began)
@@ -106,7 +107,7 @@ def _index(left, right, profiles, style, order):
     return tuple(indexed(rows, style.counter, buckets_for(p.rows), order) for rows, p in zip((left, right), profiles))
 
 
-def block_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, batch_left: int, batch_right: int, style: PromptStyle | None = None, on_overflow: str = "fail", completion_check: str | None = None, order: str = "hash", parallelism: int | None = None, profiles: tuple[TableProfile, TableProfile] | None = None, plan: BatchPlan | None = None, method: str = "block", max_fee: float | None = None, resume: str | None = None) -> JoinRun:
+def block_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, batch_left: int, batch_right: int, style: PromptStyle | None = None, on_overflow: str = "fail", completion_check: str | None = None, order: str = "hash", parallelism: int | None = None, profiles: tuple[TableProfile, TableProfile] | None = None, plan: BatchPlan | None = None, method: str = "block", max_fee: float | None = None, resume: str | None = None, cache=None) -> JoinRun:
     """One prompt per pair of batches.  ``on_overflow``: fail (error), report (round says so), keep (complete cells only)."""
     began, style, run_id = time.perf_counter(), style or PromptStyle(), _new_run(method)
     scratch = Scratch(left.sparkSession, run_id, resume)
@@ -119,7 +120,8 @@ def block_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate,
         check_fee(model, nl * nr * style.instruction_tokens(predicate.text) + nr * n * profiles[0].width_mean + nl * m * profiles[1].width_mean, written, max_fee)
     check = completion_check or ("stop_reason" if model.profile.stop_word else "text")
     cells = _cells(_index(left, right, profiles, style, order), (batch_left, batch_right), profiles, tasks_for(left, model, parallelism))
-    answers = scratch.table(ask(cells, model, predicate.text, style, "block"), "answers")
+    asked = ask_cached(cells, model, predicate.text, style, "block", cache, scratch) if cache else ask(cells, model, predicate.text, style, "block")
+    answers = scratch.table(asked, "answers")
     complete = parse.is_complete(F.col("answer"), F.col("stopped"), check)
     calls, cut = answers.agg(F.count("*"), F.count_if(~complete)).first()
     found = _resolve(answers.where(complete), style, left, right)
@@ -165,6 +167,31 @@ def budget_of(model, condition: str, style: PromptStyle) -> int:
     return model.profile.limit - style.instruction_tokens(condition) - 1
 
 
+def fitting(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, policy: str = "error", style: PromptStyle | None = None) -> tuple[DataFrame, DataFrame]:
+    """Both sides with rows that half a call's budget holds; see ``oversize`` for what happens to wider ones.
+
+    With ``chunk`` a row stands for its windows, under ids of their own; ``whole_rows`` takes pairs back.
+    """
+    style = style or PromptStyle()
+    room = max(1, budget_of(model, predicate.text, style) // 2 - WIDTH_MATCH - style.row_overhead)
+    out = []
+    for rows in (left, right):
+        fit = oversize(rows, room, policy, style.counter)
+        if policy == "chunk":
+            last = fit.agg(F.max("chunk")).first()[0] or 0
+            keys = rows.select("row_id", "key")
+            fit = fit.drop("key").join(keys, "row_id").select((F.col("row_id") * (last + 1) + F.col("chunk")).alias("row_id"), "text", "key", F.lit(last + 1).alias("stride"))
+        out.append(fit)
+    return out[0], out[1]
+
+
+def whole_rows(pairs: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
+    """Pairs of rows of pairs of their windows, as ``fitting`` numbered them."""
+    key = lambda rows, s: rows.select(F.col("row_id").alias(f"{s}_id"), F.floor(F.col("row_id") / F.col("stride")).cast("long").alias(f"{s}_row"))
+    both = pairs.join(key(left, "left"), "left_id").join(key(right, "right"), "right_id")
+    return both.select(F.col("left_row").alias("left_id"), F.col("right_row").alias("right_id")).distinct()
+
+
 def plan_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, estimate: float, style: PromptStyle | None = None, clamp: bool = True, profiles=None) -> tuple[BatchPlan, tuple[TableProfile, TableProfile]]:
     style = style or PromptStyle()
     profiles = profiles or profile_tables(left, right, style.counter, style.row_overhead)
@@ -193,9 +220,9 @@ def _step(n: int) -> int:
 
 
 class _Adaptive:
-    def __init__(self, left, right, predicate, model, growth, style, order, parallelism, max_fee, check, resume, part_cells):
+    def __init__(self, left, right, predicate, model, growth, style, order, parallelism, max_fee, check, resume, part_cells, cache):
         self.left, self.right, self.predicate, self.model, self.growth = left, right, predicate, model, growth
-        self.style, self.max_fee, self.part_cells = style, max_fee, part_cells
+        self.style, self.max_fee, self.part_cells, self.cache = style, max_fee, part_cells, cache
         self.tasks = tasks_for(left, model, parallelism)
         self.check = check or ("stop_reason" if model.profile.stop_word else "text")
         self.run_id = _new_run("adaptive")
@@ -219,7 +246,8 @@ class _Adaptive:
 
     def ask(self, cells: DataFrame, number: int, few: bool = False) -> tuple[DataFrame, int, int]:
         """Answers with ``complete``; how many calls, how many cut off.  ``few`` answers are kept as values."""
-        got = ask(cells, self.model, self.predicate.text, self.style, "block")
+        what = (cells, self.model, self.predicate.text, self.style, "block")
+        got = ask_cached(*what, self.cache, self.scratch) if self.cache else ask(*what)
         if few and not self.scratch.resume:
             rows = got.collect()  # at most the eight cells of a probe
             answers = self.left.sparkSession.createDataFrame(rows, got.schema)
@@ -319,11 +347,12 @@ def _split(cells: DataFrame, a: int, b: int) -> DataFrame:
     return c.select(F.xxhash64("left_batch", "right_batch", "l.i").alias("left_batch"), F.xxhash64("left_batch", "right_batch", "r.i", F.lit(1)).alias("right_batch"), F.col("l.items").alias("left_items"), F.col("r.items").alias("right_items"))
 
 
-def adaptive_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, start_estimate: float, growth: float = 4.0, restart: str = "all", direction: str = "up", probe: str = "doubling", style: PromptStyle | None = None, order: str = "hash", parallelism: int | None = None, max_fee: float | None = None, completion_check: str | None = None, resume: str | None = None, part_cells: int | None = None) -> JoinRun:
+def adaptive_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicate, model, start_estimate: float, growth: float = 4.0, restart: str = "all", direction: str = "up", probe: str = "doubling", style: PromptStyle | None = None, order: str = "hash", parallelism: int | None = None, max_fee: float | None = None, completion_check: str | None = None, resume: str | None = None, part_cells: int | None = None, cache=None) -> JoinRun:
     """Block joins for a rising selectivity estimate, until no answer is cut off.
 
     ``resume`` is a folder in which finished parts are kept: the same call after a lost driver takes their answers
     from there and pays for the others only (``part_cells`` cells a part).  Arguments or tables that differ raise.
+    ``cache`` is an ``AnswerCache``: what any run has recorded there is not asked again.
     """
     if growth <= 1:
         raise ValueError("growth must exceed 1")
@@ -341,7 +370,7 @@ def adaptive_join(left: DataFrame, right: DataFrame, predicate: SemanticPredicat
         return _downward(left, right, predicate, model, start_estimate, growth, style, order, began, parallelism, max_fee, completion_check)
     if direction != "up":
         raise ValueError(f"unknown direction {direction!r}")
-    a = _Adaptive(left, right, predicate, model, growth, style, order, parallelism, max_fee, completion_check, resume, part_cells)
+    a = _Adaptive(left, right, predicate, model, growth, style, order, parallelism, max_fee, completion_check, resume, part_cells, cache)
     spark = left.sparkSession
     if not (a.profiles[0].rows and a.profiles[1].rows):
         return JoinRun(a.run_id, "adaptive", spark.createDataFrame([], schemas.PAIR), spark.createDataFrame([], schemas.LEDGER), None, [], time.perf_counter() - began)

@@ -40,3 +40,17 @@ def read_texts(spark: SparkSession, fmt: str, path: str, id_col: str | None = No
 def write_pairs(pairs: DataFrame, path: str, run_id: str, number: int = 0) -> None:
     """Pairs of a run, partitioned by run and round."""
     pairs.withColumn("run_id", F.lit(run_id)).withColumn("round", F.lit(number)).write.mode("append").partitionBy("run_id", "round").parquet(path)
+
+
+def from_table(spark: SparkSession, name: str, id_col: str, text_col: str = "text") -> DataFrame:
+    """A catalogue table or view as (row_id, text, key)."""
+    return texts(spark.table(name), id_col, text_col)
+
+
+def write_table(pairs: DataFrame, name: str, run_id: str, number: int = 0) -> None:
+    """Pairs of a run appended to a catalogue table, partitioned by run and round."""
+    rows = pairs.select("left_id", "right_id", F.lit(run_id).alias("run_id"), F.lit(number).alias("round"))
+    if pairs.sparkSession.catalog.tableExists(name):
+        rows.write.mode("append").insertInto(name)
+    else:
+        rows.write.partitionBy("run_id", "round").saveAsTable(name)

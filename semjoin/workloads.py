@@ -32,11 +32,11 @@ def _contradicts(a, b) -> bool:
     return x[1] == y[1] and x[2] < y[2]
 
 
-def contradiction(spark: SparkSession, d: str) -> Workload:
-    """Orders of ten customers against what those claim their first month was; even keys claim wrongly."""
+def contradiction(spark: SparkSession, d: str, customers: int | None = 10) -> Workload:
+    """Orders of so many customers (null: all) against what those claim their first month was; even keys claim wrongly."""
     m = load(spark, d, "orders").select("o_orderkey", "o_custkey", F.date_format("o_orderdate", "yyyy-MM").alias("mon"))
-    chosen = m.groupBy("o_custkey").agg(F.countDistinct("mon").alias("n")).where("n >= 2").orderBy("o_custkey").limit(10).select("o_custkey")
-    m = m.join(F.broadcast(chosen), "o_custkey")
+    chosen = m.groupBy("o_custkey").agg(F.countDistinct("mon").alias("n")).where("n >= 2").select("o_custkey")
+    m = m.join(F.broadcast(chosen.orderBy("o_custkey").limit(customers)) if customers else chosen, "o_custkey")
     tag = F.format_string("Customer#%09d", "o_custkey")
     months = m.groupBy("o_custkey").agg(F.sort_array(F.collect_set("mon")).alias("mons"))
     claims = months.select("o_custkey", F.element_at("mons", F.when(F.col("o_custkey") % 2 == 0, 2).otherwise(1)).alias("said"))
@@ -61,11 +61,11 @@ def sentiment(spark: SparkSession, d: str) -> Workload:
     return Workload("sentiment", left, right, truth, SemanticPredicate("both texts are well written, or both are poor", SameFeature(_key, _key)))
 
 
-def toxic(spark: SparkSession, d: str) -> Workload:
-    """The first 50 labelled documents against the next 50, same toxic label."""
-    first = load(spark, d, "labels").select("doc_id", "toxic").orderBy("doc_id").limit(100)
-    rows = first.join(load(spark, d, "documents").select("doc_id", "text"), "doc_id").withColumn("rank", F.row_number().over(W.orderBy("doc_id")))
-    rows = rows.select(F.col("doc_id").alias("row_id"), first_tokens(F.col("text"), 100).alias("text"), F.col("toxic").cast("string").alias("key"), "rank")
+def toxic(spark: SparkSession, d: str, label: str = "toxic") -> Workload:
+    """The first 50 labelled documents against the next 50, same label (an expression over quality and toxic); the published size."""
+    first = load(spark, d, "labels").select("doc_id", F.expr(label).alias("label")).join(load(spark, d, "documents").select("doc_id", "text"), "doc_id").orderBy("doc_id").limit(100)
+    rows = first.withColumn("rank", F.row_number().over(W.orderBy("doc_id")))
+    rows = rows.select(F.col("doc_id").alias("row_id"), first_tokens(F.col("text"), 100).alias("text"), F.col("label").cast("string").alias("key"), "rank")
     left, right = rows.where("rank <= 50").drop("rank"), rows.where("rank > 50").drop("rank")
     truth = left.select(F.col("row_id").alias("left_id"), "key").join(right.select(F.col("row_id").alias("right_id"), "key"), "key").drop("key")
     return Workload("toxic", left, right, truth, SemanticPredicate("both texts are toxic, or neither is", SameFeature(_key, _key)))
@@ -166,11 +166,14 @@ def replies(spark: SparkSession, d: str) -> Workload:
 
 
 def language(spark: SparkSession, d: str) -> Workload:
-    """Web pages against documents in the same language."""
-    pages = load(spark, d, "pages").select(F.col("page_id").alias("row_id"), F.substring("url", 1, 80).alias("text"), F.regexp_extract("url", "://[^/]+/([a-z]+)/", 1).alias("key"))
-    docs = load(spark, d, "documents").select(F.col("doc_id").alias("row_id"), first_tokens(F.col("text"), 20).alias("text"), F.col("lang").alias("key"))
+    """Addresses of web pages against whole documents, in chunks, in the same language; ``document_of`` takes chunks back."""
+    pages = load(spark, d, "pages").select(F.col("page_id").alias("row_id"), F.col("url").alias("text"), F.regexp_extract("url", "://[^/]+/([a-z]+)/", 1).alias("key"))
+    docs = load(spark, d, "documents").select(F.col("doc_id").alias("row_id"), "text", F.col("lang").alias("key"))
+    parts = chunks(docs, CHUNK, 0)
+    stride = stride_of(parts, "chunk")
+    rows = parts.join(docs.select("row_id", "key"), "row_id").select((F.col("row_id") * stride + F.col("chunk")).alias("row_id"), "text", "key")
     truth = pages.select(F.col("row_id").alias("left_id"), "key").join(docs.select(F.col("row_id").alias("right_id"), "key"), "key").drop("key")
-    return Workload("language", pages, docs, truth, SemanticPredicate("both are in the same language", SameFeature(_key, _key)))
+    return Workload("language", pages, rows, truth, SemanticPredicate("both are in the same language", SameFeature(_key, _key)), stride)
 
 
 def clusters(spark: SparkSession, d: str) -> Workload:

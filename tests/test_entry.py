@@ -10,7 +10,7 @@ import pytest
 import __spark_entry__ as e
 
 SF = "/root/testdata/sf0.001"
-SMALL = ["token_counts", "batches_fixed", "cells_count", "cost_surface", "optimum_integer", "offers_block", "offers_adaptive", "contradiction_block", "offers_noisy", "offers_usage", "clusters_embedding", "semantic_filter_quality"]
+SMALL = ["token_counts", "batches_fixed", "cells_count", "cost_surface", "optimum_integer", "offers_block", "offers_adaptive", "contradiction_block", "offers_noisy", "offers_usage", "clusters_embedding", "semantic_filter_quality", "price_statement", "batches_packed_limits", "growth_ablation", "clamp_switch", "hybrid_same_customer"]
 
 
 def test_registry():

@@ -38,7 +38,7 @@ def test_long_conversations_have_ids_of_their_own(spark, tmp_path):
     assert len(set(ids)) == len(ids) == len(rows) and w.truth.distinct().count() == len(rows) // 2
 
 
-@pytest.mark.parametrize("name", ["semantic_filter_quality_whole", "toxic_whole"])
+@pytest.mark.parametrize("name", ["semantic_filter_quality", "toxic_whole"])
 def test_all_labelled_documents_are_asked_about(spark, tmp_path, name):
     """More than 100 labels, and texts of several chunks."""
     docs = [(i, " ".join(["word"] * (5 if i % 7 else 1300))) for i in range(260)]
