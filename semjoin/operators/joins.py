@@ -152,7 +152,9 @@ def _resolve(answers: DataFrame, style: PromptStyle, left: DataFrame, right: Dat
         return parse.parse_pairs(answers)
     # Rows as they stand come back as texts, and are found again by them.
     line = answers.select(F.explode(F.split("answer", "\n")).alias("line")).where("line <> '' and line <> 'DONE'")
-    both = line.select(F.split_part("line", F.lit(" | "), F.lit(1)).alias("a"), F.split_part("line", F.lit(" | "), F.lit(2)).alias("b")).distinct()
+    # Texts may hold the mark between them, so every place of it is tried; only real rows are found.
+    parts = line.select(F.split("line", r" \| ", -1).alias("p")).where("size(p) > 1").withColumn("k", F.explode(F.sequence(F.lit(1), F.size("p") - 1)))
+    both = parts.select(F.array_join(F.slice("p", F.lit(1), F.col("k")), " | ").alias("a"), F.array_join(F.slice("p", F.col("k") + 1, F.size("p") - F.col("k")), " | ").alias("b")).distinct()
     one = lambda df, name, text: df.select(F.col("row_id").alias(name), F.trim(F.regexp_replace("text", r"\s+", " ")).alias(text))
     return both.join(one(left, "left_id", "a"), "a").join(one(right, "right_id", "b"), "b").select("left_id", "right_id")
 

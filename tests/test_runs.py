@@ -93,6 +93,12 @@ def test_rows_as_answers_in_every_join(spark):
     assert _ids(joins.hybrid_join(*keyed, "k", SAME, TruthModel(SAME), 5, 5, style)) == {(i, j) for i, j in TRUE if i % 2 == j % 2}
 
 
+def test_rows_that_hold_the_mark_between_them(spark):
+    left, right = from_lists(spark, ["w1 | x", "w1 x", "w2 | | y"]), from_lists(spark, ["w1 | z | z", "w2"])
+    m = TruthModel(SAME, ModelProfile(8192))
+    assert _ids(joins.block_join(left, right, SAME, m, 3, 2, PromptStyle(answer_form="rows"))) == {(0, 0), (1, 0), (2, 1)}
+
+
 def test_every_operator_refuses_a_fee(spark):
     left, right = from_lists(spark, LEFT), from_lists(spark, RIGHT)
     m = TruthModel(SAME, ModelProfile(400))
