@@ -43,7 +43,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 
-from .scratch import Scratch
+from .scratch import Scratch, small_batches
 from .words import mix, slices, split, strings, tidy, word_hashes
 
 BLOCK_BYTES = 6 << 20
@@ -218,19 +218,30 @@ def _restored(raw: bytes, n: int, kind) -> np.ndarray:
 
 
 def _blocks(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Texts, training flags and ids of a slice as one row."""
+    """Texts, training flags and ids of about ``BLOCK_BYTES`` as one row."""
     number = TaskContext.get().partitionId() << 32
+    held: list[tuple[pa.Array, np.ndarray, np.ndarray, bytes]] = []
+
+    def block() -> pa.RecordBatch:
+        nonlocal number
+        ids, size, train = pa.concat_arrays([x[0] for x in held]), np.concatenate([x[1] for x in held]), np.concatenate([x[2] for x in held])
+        text = b"".join([x[3] for x in held])
+        held.clear()
+        data = np.int64(len(text)).tobytes() + size.tobytes() + train.tobytes() + _codec().compress(text, asbytes=True)
+        number += 1
+        lists = pa.ListArray.from_arrays(pa.array([0, len(size)], pa.int32()), ids)
+        return pa.RecordBatch.from_arrays([pa.array([number - 1], pa.int64()), lists, pa.array([len(text) + len(size)], pa.int64()), pa.array([data], pa.binary())], ["block", "ids", "bytes", "data"])
+
     for batch in batches:
-        for rows, col in slices(batch, limit=BLOCK_BYTES):
+        for rows, col in slices(batch, limit=BLOCK_BYTES // 4):
             n = len(col)
             at = np.frombuffer(col.buffers()[1], np.int64)[col.offset : col.offset + n + 1]
             raw = col.buffers()[2]
-            text = memoryview(raw)[at[0] : at[-1]] if raw is not None else b""
-            ids = pa.ListArray.from_arrays(pa.array([0, n], pa.int32()), rows.column(0))
-            train = np.asarray(rows.column(2)).astype(np.uint8)
-            data = np.int64(at[-1] - at[0]).tobytes() + np.diff(at).tobytes() + train.tobytes() + _codec().compress(bytes(text), asbytes=True)
-            yield pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), ids, pa.array([int(at[-1] - at[0]) + n], pa.int64()), pa.array([data], pa.binary())], ["block", "ids", "bytes", "data"])
-            number += 1
+            held.append((rows.column(0), np.diff(at), np.asarray(rows.column(2)).astype(np.uint8), bytes(memoryview(raw)[at[0] : at[-1]]) if raw is not None else b""))
+            if sum(len(x[3]) for x in held) >= 7 * BLOCK_BYTES // 8:
+                yield block()
+    if held:
+        yield block()
 
 
 def _opened(n: int, raw: memoryview) -> Grams:
@@ -359,6 +370,7 @@ def score(docs: DataFrame, train: Column, id_col: str = "doc_id", text_col: str
     """One row per document: id, n_tokens, n_known, train_tokens, base_score, score; ``train`` selects what is learnt from."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
+    small_batches(spark)
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
     kind = rows.schema["id"].dataType.simpleString()
     blocks = scratch.table(rows.mapInArrow(_blocks, f"block bigint, ids array<{kind}>, bytes bigint, data binary"), "blocks")

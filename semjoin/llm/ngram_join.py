@@ -45,7 +45,7 @@ from pyspark.sql import functions as F
 from .bitmap import bit_table, may_contain, one_each, without
 from .blocks import PAIRS, index_pairs, spread, whole_groups
 from .components import components
-from .scratch import Scratch
+from .scratch import Scratch, small_batches
 from .words import mix, ranges, shingle_sets, slices, tidy
 
 WORDS = 5
@@ -403,6 +403,7 @@ class _Join:
     def __init__(self, docs: DataFrame, id_col: str, text_col: str):
         self.rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
         self.scratch = Scratch(docs.sparkSession, "ngram")
+        small_batches(docs.sparkSession)
 
     def signatures(self) -> DataFrame:
         return self.scratch.table(self.rows.mapInArrow(_signatures, "doc_id bigint, n bigint, h1 bigint, h2 bigint, parity binary, common array<bigint>, times array<bigint>"), "signatures")

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .scratch import Scratch
+from .scratch import Scratch, small_batches
 from .words import Words, buffer, ranges, slices, split, tidy
 
 WINDOW = 4096
@@ -67,7 +67,7 @@ class WordTokenizer:
     Each distinct chunk is encoded once, many in one text with a separator between them.
     """
 
-    MOST = 150_000  # chunks remembered from slice to slice; only memory depends on it
+    MOST = 100_000  # chunks remembered from slice to slice; only memory depends on it
     SPECIAL = b"<|"  # texts with it may hold special tokens, and are taken word by word as they are
 
     def __init__(self, path: str):
@@ -151,7 +151,7 @@ def _cut(path: str, window: int, with_ids: bool):
         seen = np.zeros(window + 1, np.int64)
         part = TaskContext.get().partitionId()
         for batch in batches:
-            for rows, col in slices(batch):
+            for rows, col in slices(batch, limit=2 << 20):
                 ids, at = tok.encode(col)
                 n = len(col)
                 whole = np.empty(len(ids) + n, np.uint32)
@@ -278,6 +278,7 @@ def _assign(plan: Plan, names: list[str]):
 def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW, path: str | None = None, with_ids: bool = False) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, [ids,] sequence_id, offset."""
     scratch = Scratch(docs.sparkSession, "packing")
+    small_batches(docs.sparkSession)
     schema = PIECES + (", ids array<int>" if with_ids else "")
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     pieces = scratch.table(rows.mapInArrow(_cut(path or vocabulary_path(), window, with_ids), schema), "pieces")
