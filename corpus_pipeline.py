@@ -14,11 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from semjoin.llm import exact_dedup, language, ngram_join, packing, pii
-from semjoin.llm.scratch import Scratch
+from semjoin.llm.scratch import Scratch, small_batches
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without a letter go, and longer ones that no prototype knows, learnt from all labelled rows of the input."""
+    small_batches(spark)
     return language.accepted(docs, language.learn(docs))
 
 
@@ -34,6 +35,7 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def private(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Spans in the text give way to marks; n_chars follows."""
+    small_batches(spark)
     out = pii.redact(docs)
     return out.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long"))).select(docs.columns)
 
