@@ -1,7 +1,6 @@
 """What is done to the sides before a model is asked, self joins, as-of joins, and a semantic aggregate."""
 
-from __future__ import annotations
-
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -77,7 +76,6 @@ def as_of(left: DataFrame, right: DataFrame, on: str, left_time: str, right_time
 
 def register_aggregates(spark) -> None:
     """``fee_sum(read, written, price_read, price_write)`` and ``f1_of(hits, reported, truth)`` as grouped functions in SQL."""
-    import pandas as pd
     from pyspark.sql.functions import pandas_udf
 
     @pandas_udf("double")
