@@ -102,7 +102,8 @@ class WordTokenizer:
         plain = [x for x in words if SEPARATOR not in x] if odd else words
         between = f" {SEPARATOR} "
         texts = [between.join(plain[i : i + 512]) for i in range(0, len(plain), 512)]
-        found = [np.array(e.ids, np.uint32) for e in self.inner.encode_batch_fast(texts, add_special_tokens=False)]
+        # A few at a time: an encoding holds its tokens as texts too.
+        found = [np.array(e.ids, np.uint32) for i in range(0, len(texts), 16) for e in self.inner.encode_batch_fast(texts[i : i + 16], add_special_tokens=False)]
         flat = np.concatenate([y for x in found for y in (x, np.array([self.mark], np.uint32))]) if found else np.zeros(0, np.uint32)
         ends = np.flatnonzero(flat == self.mark)
         size = np.diff(np.r_[-1, ends]) - 1
