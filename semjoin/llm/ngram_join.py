@@ -19,6 +19,7 @@ which documents near a border must be replicated.  Links are pairs at a distance
 4. What a region still holds apart is joined recursively in the metric of parity sketches, which never exceeds the
    sets' difference: farthest-first pivots, Voronoi regions, windows of twice the largest radius, until a
    region is small or no longer shrinks; there pairs are compared, and exactly measured if the sketches allow a link.
+   A document's likeliest partners are measured first, and others only while they are in another component.
 
 Documents with equal sets are one class from the start and a class once joined is not
 compared again, so groups of copies cost their size, not its square.  Regions of many
@@ -59,6 +60,7 @@ BAND = 4 / 3  # sizes of linked documents differ by this factor at most
 REGION_ROWS = 700_000
 BLOCK = 4000  # members of a region compared in one task
 LEAF = 64  # members of a region that are compared pair by pair
+FEW = 2  # partners that a row of a region asks for at first
 SLACK = 1e-9
 _U = np.uint64
 
@@ -266,25 +268,31 @@ def _sets(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(at), pa.array(flat))], ["doc", "s"])
 
 
-def _near(sketches: list[np.ndarray], n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Which pairs a-b sizes and parity sketches don't exclude: bits that differ are a lower bound of the difference."""
-    num, den = SIMILARITY
-    keep = den * np.minimum(n[a], n[b]) >= num * np.maximum(n[a], n[b])
-    todo = np.flatnonzero(keep)
-    if not len(todo):
-        return keep
+def _differ(sketches: list[np.ndarray], a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Bits that differ between the sketches of each pair, both folded to the shorter one's size."""
+    out = np.zeros(len(a), np.int64)
     size = np.array([len(x) for x in sketches])
-    kinds = size[a[todo]] * (1 << 32) + size[b[todo]]
+    kinds = size[a] * (1 << 32) + size[b]
     for kind in np.unique(kinds):
-        mine = todo[kinds == kind]
+        mine = np.flatnonzero(kinds == kind)
         for lo in range(0, len(mine), 2000):
             part = mine[lo : lo + 2000]
             x, y = (np.stack([sketches[i] for i in side[part]]) for side in (a, b))
             while x.shape[1] != y.shape[1]:
                 half = min(x.shape[1], y.shape[1])
                 x, y = (z if z.shape[1] == half else z[:, : z.shape[1] // 2] ^ z[:, z.shape[1] // 2 :] for z in (x, y))
-            differ = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
-            keep[part] = differ * (num + den) <= (n[a[part]] + n[b[part]]) * (den - num)
+            out[part] = np.bitwise_count(x ^ y).sum(1, dtype=np.int64)
+    return out
+
+
+def _near(sketches: list[np.ndarray], n: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Which pairs a-b sizes and parity sketches don't exclude: bits that differ are a lower bound of the difference."""
+    num, den = SIMILARITY
+    keep = den * np.minimum(n[a], n[b]) >= num * np.maximum(n[a], n[b])
+    todo = np.flatnonzero(keep)
+    if not len(todo):
+        return keep
+    keep[todo] = _differ(sketches, a[todo], b[todo]) * (num + den) <= (n[a[todo]] + n[b[todo]]) * (den - num)
     return keep
 
 
@@ -332,20 +340,32 @@ def voronoi_pairs(x: np.ndarray, radius: np.ndarray, rows: np.ndarray) -> Iterat
         yield rows[a], rows[b]
 
 
-def _leaf(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of a region's documents that are still apart and may link."""
+LEAF_OUT = "a bigint, b bigint, g bigint, rep bigint, cursor bigint"
+
+
+def _leaf(most: int):
+    """Of a region's documents that are still apart and may link: to each the ``most`` likely partners behind its cursor.
+
+    A pair belongs to the one of its two that is not of the component that most of the region's rows had at first, or to the larger
+    id.  Partners come in order of likeness and id; the rows with a cursor say who has more of them.
+    """
 
     def solve(rows: pa.Table) -> pa.RecordBatch:
         col = lambda x: np.asarray(rows.column(x).combine_chunks())
-        rep, component, n, group, side = (col(x) for x in ("rep", "component", "n", "g", "side"))
+        rep, component, n, group, side, at_first = (col(x) for x in ("rep", "component", "n", "g", "side", "at_first"))
+        cursor = np.asarray(rows.column("cursor").combine_chunks().fill_null(-1)).astype(np.int64)
         d = np.asarray(rows.column("d").combine_chunks().fill_null(np.nan))
         sketches = [np.frombuffer(x.as_buffer(), np.uint8) for x in rows.column("parity").combine_chunks()]
-        found = [np.zeros((0, 2), np.int64)]
         radius = n * (SIMILARITY[1] - SIMILARITY[0]) / (SIMILARITY[0] + SIMILARITY[1])  # two of them bound the difference of a link
         first = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+        bounds = list(zip(first.tolist(), [*first[1:].tolist(), len(group)]))
+        main = np.empty(len(group), bool)
+        for lo, hi in bounds:
+            names, times = np.unique(at_first[lo:hi], return_counts=True)
+            main[lo:hi] = at_first[lo:hi] == names[times.argmax()]
 
         def pairs():
-            large = [(lo, hi) for lo, hi in zip(first.tolist(), [*first[1:].tolist(), len(group)]) if hi - lo > LEAF]
+            large = [(lo, hi) for lo, hi in bounds if hi - lo > LEAF]
             small = np.ones(len(group), bool)
             for lo, hi in large:
                 small[lo:hi] = False
@@ -360,17 +380,44 @@ def _leaf(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     keep = (side[a] < 0) | (side[a] != side[b])
                     yield a[keep], b[keep]
 
+        # Of each owner the ``most`` least keys and one more, which tells that there are others; a key is likeness and place.
+        order = np.empty(len(rep), np.int64)  # in the region, so that it is the same when fewer regions are left
+        order[np.lexsort((rep, group))] = np.arange(len(rep)) - np.repeat(first, np.diff(np.r_[first, len(group)]))
+        held = np.zeros((0, 3), np.int64)  # owner, key, partner
         for a, b in pairs():
             ok = (component[a] != component[b]) & ~(np.abs(d[a] - d[b]) > RADIUS + SLACK)
             a, b = a[ok], b[ok]
             near = _near(sketches, n, a, b)
-            both = np.sort(np.stack([rep[a[near]], rep[b[near]]], 1), axis=1)
-            if len(both):
-                found = [np.unique(np.concatenate([*found, both]), axis=0)]
-        return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(found[0][:, i])) for i in (0, 1)], ["a", "b"])
+            a, b = a[near], b[near]
+            if not len(a):
+                continue
+            swap = np.where(main[a] == main[b], rep[a] < rep[b], main[a])
+            a, b = np.where(swap, b, a), np.where(swap, a, b)
+            key = (_differ(sketches, a, b) << 40) | order[b]
+            ahead = key > cursor[a]
+            held = np.unique(np.concatenate([held, np.stack([a, key, b], 1)[ahead]]), axis=0)
+            held = held[_rank_within(held[:, 0]) <= most]
+        rank = _rank_within(held[:, 0])
+        out = held[rank < most]
+        last = np.flatnonzero(rank == most) - 1  # the last one taken of those that have more
+        m, k = len(out), len(last)
+        both = np.sort(rep[out[:, [0, 2]]], axis=1)
+        cols = [pa.array(np.r_[both[:, 0], np.zeros(k, np.int64)]), pa.array(np.r_[both[:, 1], np.zeros(k, np.int64)]), pa.array(np.r_[np.zeros(m, np.int64), group[held[last, 0]]]), pa.array(np.r_[np.zeros(m, np.int64), rep[held[last, 0]]]), pa.array(np.r_[np.full(m, -1), held[last, 1]])]
+        return pa.RecordBatch.from_arrays(cols, [x.split()[0] for x in LEAF_OUT.split(", ")])
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from whole_groups(batches, solve)
+        tidy()
+
+    return run
+
 
-    yield from whole_groups(batches, solve)
-    tidy()
+def _rank_within(owner: np.ndarray) -> np.ndarray:
+    """0, 1, 2, ... within each run of equal values."""
+    if not len(owner):
+        return np.zeros(0, np.int64)
+    first = np.flatnonzero(np.r_[True, owner[1:] != owner[:-1]])
+    return np.arange(len(owner)) - np.repeat(first, np.diff(np.r_[first, len(owner)]))
 
 
 def _dealt(left: DataFrame) -> DataFrame:
@@ -492,13 +539,36 @@ class _Join:
         # A pivot that was measured is not compared again; those of the first step are no members here.
         left = named.join(split, "region").where("known or rep <> pivot").join(known, ["rep", "pivot"], "left").withColumn("d", F.coalesce("d", "dp"))
         left = _dealt(self.scratch.table(left.select("region", "rep", "n", "component", "d", "size"), "left"))
-        left = left.join(self.sizes.select("rep", "parity"), "rep").select("rep", "n", "component", "d", "parity", "g", "side")
-        pairs = left.repartition("g").sortWithinPartitions("g").mapInArrow(_leaf, "a bigint, b bigint").distinct()
-        pairs = self.scratch.table(pairs, "pairs")
-        if pairs.isEmpty():
-            return near
-        more = self.measured(pairs).where("linked").select("a", "b")
-        return components(near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more), self.scratch)
+        left = left.join(self.sizes.select("rep", "parity"), "rep").select("rep", "n", F.col("component").alias("at_first"), "d", "parity", "g", "side", F.lit(-1).cast("long").alias("cursor"))
+        return self.settled(left, near)
+
+    def settled(self, left: DataFrame, near: DataFrame) -> DataFrame:
+        """Joins what regions still hold apart, the likeliest pairs first.
+
+        Once a pair links, all other pairs of its two components are settled without being measured.  So each row asks for
+        a few partners, then for four times as many of those that are still in another component, and so on until no row has one left:
+        every pair is measured or within a component in the end, and a group of near copies does not cost its square.
+        """
+        most, first = FEW, True
+        while True:
+            now = left.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+            said = now.repartition("g").sortWithinPartitions("g").mapInArrow(_leaf(most), LEAF_OUT)
+            said = self.scratch.table(said, "said")
+            pairs = self.scratch.table(said.where("cursor < 0").select("a", "b").distinct(), "pairs")
+            if pairs.isEmpty():
+                return near
+            linked = self.measured(pairs).where("linked").select("a", "b")
+            near = self.scratch.table(components(near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(linked), self.scratch), "joined")
+            more = said.where("cursor >= 0").select("g", "rep", "cursor")
+            if more.isEmpty():
+                return near
+            # Only regions in which a row has more to ask go on; a row without more keeps a cursor behind all of its partners.
+            open_ = left.drop("cursor").join(more.select("g").distinct(), "g", "left_semi").join(more, ["g", "rep"], "left")
+            old, left = left, self.scratch.table(open_.select("rep", "n", "at_first", "d", "parity", "g", "side", F.coalesce("cursor", F.lit((1 << 63) - 1)).alias("cursor")), "open")
+            if not first:
+                self.scratch.drop(old)
+            self.scratch.drop(said)
+            most, first = most * 4, False
 
 
 def cluster(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

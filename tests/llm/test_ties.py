@@ -153,3 +153,38 @@ def test_language_against_sums_of_single_trigrams(spark):
 def test_held_out_is_by_crc32(spark):
     got = spark.range(50).select("id", language.held_out(F.col("id")).alias("h"), lm_scoring.held_out(F.col("id")).alias("s")).collect()
     assert all((x["h"], x["s"]) == (zlib.crc32(str(x["id"]).encode()) % 4 == 2, zlib.crc32(str(x["id"]).encode()) % 10 == 0) for x in got)
+
+
+def test_near_copies_do_not_cost_their_square(spark, monkeypatch):
+    """Most copies are linked at once; what is left asks a few partners each, not all, and has the same components."""
+    import random
+
+    from semjoin.llm import ngram_join
+
+    r = random.Random(1)
+    base = [f"w{i}" for i in range(120)]
+    texts = []
+    for _ in range(400):
+        t = list(base)
+        for _ in range(int(r.random() * 5) + 1):
+            t[r.randrange(len(t))] = f"x{r.randrange(10**6)}"
+        texts.append(t)
+    sets = [{tuple(t[i : i + 5]) for i in range(len(t) - 4)} for t in texts]
+    root = list(range(len(sets)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(sets)):
+        for j in range(i):
+            if 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                a, b = sorted((find(i), find(j)))
+                root[b] = a
+    asked, plain = [], ngram_join._Join.measured
+    monkeypatch.setattr(ngram_join._Join, "measured", lambda self, near: asked.append(near.count()) or plain(self, near))
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    got = {x["doc_id"]: x["component_id"] for x in ngram_join.cluster(docs).collect()}
+    assert got == {i: find(i) for i in range(len(sets))}
+    assert sum(asked) < 2 * len(texts)
