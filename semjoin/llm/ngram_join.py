@@ -45,7 +45,7 @@ from pyspark.sql import functions as F
 
 from .bitmap import bit_table, may_contain, one_each, without
 from .blocks import PAIRS, index_pairs, spread, whole_groups
-from .components import components
+from .components import components_of_few
 from .scratch import Scratch, small_batches
 from .words import mix, ranges, shingle_sets, slices, tidy
 
@@ -531,7 +531,7 @@ class _Join:
         cells = self.scratch.table(self.cells.join(pivots, "region"), "with_pivots")
         fit = (F.least("n", "np") * den >= F.greatest("n", "np") * num) & ~F.col("known") & (F.col("rep") != F.col("pivot"))
         first = self.measured(self.near(cells.where(fit).select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct()))
-        near = self.scratch.table(components(first.where("linked").select("a", "b").union(self.hubs), self.scratch), "joined")
+        near = self.scratch.table(components_of_few(first.where("linked").select("a", "b").union(self.hubs), self.scratch), "joined")
         named = cells.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
         named = self.scratch.table(named, "named")
         split = named.groupBy("region").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.first("known").alias("k"), F.count("*").alias("rows")).where("lo <> hi and (rows > 2 or k)").select("region")
@@ -548,8 +548,10 @@ class _Join:
         Once a pair links, all other pairs of its two components are settled without being measured.  So each row asks for
         a few partners, then for four times as many of those that are still in another component, and so on until no row has one left:
         every pair is measured or within a component in the end, and a group of near copies does not cost its square.
+        Where few rows are left they ask for more at once, up to a quarter as many pairs as there are distinct sets, since a round costs
+        its stages however little it measures.
         """
-        most, first = FEW, True
+        most, first, fair = FEW, True, self.sizes.count() // 4
         while True:
             now = left.join(near.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
             said = now.repartition("g").sortWithinPartitions("g").mapInArrow(_leaf(most), LEAF_OUT)
@@ -558,9 +560,10 @@ class _Join:
             if pairs.isEmpty():
                 return near
             linked = self.measured(pairs).where("linked").select("a", "b")
-            near = self.scratch.table(components(near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(linked), self.scratch), "joined")
+            near = self.scratch.table(components_of_few(near.select(F.col("node").alias("a"), F.col("component").alias("b")).union(linked), self.scratch), "joined")
             more = said.where("cursor >= 0").select("g", "rep", "cursor")
-            if more.isEmpty():
+            asking = more.count()
+            if not asking:
                 return near
             # Only regions in which a row has more to ask go on; a row without more keeps a cursor behind all of its partners.
             open_ = left.drop("cursor").join(more.select("g").distinct(), "g", "left_semi").join(more, ["g", "rep"], "left")
@@ -568,7 +571,7 @@ class _Join:
             if not first:
                 self.scratch.drop(old)
             self.scratch.drop(said)
-            most, first = most * 4, False
+            most, first = max(most * 4, fair // asking), False
 
 
 def cluster(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

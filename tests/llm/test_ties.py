@@ -188,3 +188,55 @@ def test_near_copies_do_not_cost_their_square(spark, monkeypatch):
     got = {x["doc_id"]: x["component_id"] for x in ngram_join.cluster(docs).collect()}
     assert got == {i: find(i) for i in range(len(sets))}
     assert sum(asked) < 2 * len(texts)
+
+
+def test_few_links_are_contracted_in_few_steps(spark, monkeypatch):
+    """Few links take two written tables, whatever their paths; more than a task holds take the distributed rounds, with the same result."""
+    import random
+
+    import numpy as np
+    import pyarrow as pa
+
+    from semjoin.llm import components as c
+    from semjoin.llm.scratch import Scratch
+
+    r = random.Random(2)
+    pairs = [(i, i + 1) for i in range(300)] + [(r.randrange(1000, 1400), r.randrange(1000, 1400)) for _ in range(250)] + [(7, 7), (5000, 4000)]
+    root = {x: x for p in pairs for x in p}
+    for _ in root:
+        for a, b in pairs:
+            root[a] = root[b] = min(root[a], root[b])
+    r.shuffle(pairs)
+    links = spark.createDataFrame(pairs, "a bigint, b bigint").repartition(3)
+    written, plain = [], Scratch.table
+    monkeypatch.setattr(Scratch, "table", lambda self, df, name="t": written.append(name) or plain(self, df, name))
+    own = lambda df: {x["node"]: x["component"] for x in df.collect()}
+    joined = {n: m for n, m in root.items() if n != m or n in root.values()}
+    got = own(c.components_of_few(links, Scratch(spark, "few")))
+    assert written == ["forest"] and {n: got.get(n, n) for n in root} == joined
+    monkeypatch.setattr(c, "HELD", 40)
+    got = own(c.components_of_few(links, Scratch(spark, "few")))
+    assert len(written) > 3 and {n: got.get(n, n) for n in root} == joined
+    batches = [pa.RecordBatch.from_arrays([pa.array([p[0] for p in pairs[i : i + 25]]), pa.array([p[1] for p in pairs[i : i + 25]])], ["a", "b"]) for i in range(0, len(pairs), 25)]
+    forest = list(c._forest(iter(batches)))  # a task that lets go of some
+    node, least = c.roots(*(np.concatenate([np.asarray(x.column(k)) for x in forest]) for k in (0, 1)))
+    assert len(forest) > 1 and {n: dict(zip(node.tolist(), least.tolist())).get(n, n) for n in root} == joined
+
+
+def test_settling_takes_few_steps(spark, monkeypatch):
+    """A group of near copies is joined in a bounded number of written tables, each of which costs a run of tasks."""
+    import random
+
+    from semjoin.llm.scratch import Scratch
+
+    r = random.Random(3)
+    base = [f"w{i}" for i in range(60)]
+    texts = [list(base) for _ in range(300)]
+    for t in texts:
+        for _ in range(r.randrange(1, 4)):
+            t[r.randrange(60)] = f"x{r.randrange(10**6)}"
+    written, plain = [], Scratch.table
+    monkeypatch.setattr(Scratch, "table", lambda self, df, name="t": written.append(name) or plain(self, df, name))
+    docs = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id bigint, text string")
+    assert ngram_join.cluster(docs).count() == 300
+    assert written.count("said") <= 4 and "large" not in written
