@@ -61,6 +61,7 @@ REGION_ROWS = 700_000
 BLOCK = 4000  # members of a region compared in one task
 LEAF = 64  # members of a region that are compared pair by pair
 FEW = 2  # partners that a row of a region asks for at first
+MANY = 512  # and that few rows ask for at once sooner than by fours: a block's rows hold 50 MB of them
 SLACK = 1e-9
 _U = np.uint64
 
@@ -571,7 +572,7 @@ class _Join:
             if not first:
                 self.scratch.drop(old)
             self.scratch.drop(said)
-            most, first = max(most * 4, fair // asking), False
+            most, first = max(most * 4, min(MANY, fair // asking)), False
 
 
 def cluster(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
